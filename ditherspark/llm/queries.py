@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ditherspark.llm import packing, secret_scan, simhash, token_counts
+from ditherspark.llm import packing, quality, secret_scan, simhash, token_counts
 
 #: Where the installed public tokenizer files are; a parameter of every operator that needs one.
 TOKENIZERS = "/opt/tokenizers"
@@ -37,12 +37,17 @@ def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.digest(_table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("piece_bpe_32k.model"))
 
 
+def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    labels = _table(spark, sf_dir, "labels", "doc_id", "quality", "toxic")
+    return quality.digest(_table(spark, sf_dir, "documents", "doc_id", "text"), labels)
+
+
 def op10_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.digest(_table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("byte_bpe_50k.json"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_secret_scan, op2_simhash, op4_token_counts, op10_best_fit_packing)
+    f.__name__: f for f in (op1_secret_scan, op2_simhash, op4_token_counts, op9_quality_rules, op10_best_fit_packing)
 }
 
 ORACLES: dict[str, str] = {}
