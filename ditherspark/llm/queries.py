@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ditherspark.llm import packing, quality, secret_scan, simhash, token_counts
+from ditherspark.llm import language_id, multiset_hash, packing, quality, secret_scan, simhash, token_counts, warc
 
 #: Where the installed public tokenizer files are; a parameter of every operator that needs one.
 TOKENIZERS = "/opt/tokenizers"
@@ -37,6 +37,18 @@ def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.digest(_table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("piece_bpe_32k.model"))
 
 
+def op6_warc_dictionary(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.digest(_table(spark, sf_dir, "pages", "page_id", "url", "html"))
+
+
+def op7_multiset_hash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return multiset_hash.digest(_table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_id.digest(_table(spark, sf_dir, "documents", "doc_id", "text", "lang"))
+
+
 def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     labels = _table(spark, sf_dir, "labels", "doc_id", "quality", "toxic")
     return quality.digest(_table(spark, sf_dir, "documents", "doc_id", "text"), labels)
@@ -47,7 +59,7 @@ def op10_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_secret_scan, op2_simhash, op4_token_counts, op9_quality_rules, op10_best_fit_packing)
+    f.__name__: f for f in (op1_secret_scan, op2_simhash, op4_token_counts, op6_warc_dictionary, op7_multiset_hash, op8_language_id, op9_quality_rules, op10_best_fit_packing)
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op6_warc_dictionary": warc.SQL}
