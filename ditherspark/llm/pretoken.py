@@ -68,6 +68,26 @@ def ragged(starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
     return np.repeat(starts - total[:-1], lens) + np.arange(total[-1])
 
 
+def gathered(pieces: pa.Array, counts: np.ndarray, encode, cache: dict[bytes, bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of all texts end to end, and how many each has; ``encode`` is asked once for what ``cache`` lacks."""
+    coded = pieces.dictionary_encode()
+    if len(cache) > CACHE_ENTRIES:
+        cache.clear()
+    packed = []
+    for p in coded.dictionary.to_pylist():
+        got = cache.get(p)
+        if got is None:
+            got = cache[p] = encode(p)
+        packed.append(got)
+    lens = np.fromiter(map(len, packed), np.int64, len(packed)) >> 2
+    flat = np.frombuffer(b"".join(packed), "<u4")
+    starts = np.cumsum(lens) - lens
+    code = coded.indices.to_numpy(zero_copy_only=False)
+    if not len(code):
+        return flat, np.zeros(len(counts), np.int64)
+    return flat[ragged(starts[code], lens[code])], per_text(lens[code], counts)
+
+
 class BytePairs:
     """Byte-level BPE read from a tokenizers file, run by tiktoken's merge loop where the file allows it.
 
@@ -106,22 +126,7 @@ class BytePairs:
 
     def ids(self, data: np.ndarray, offsets: np.ndarray, tail: int | None = None) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts end to end, each followed by ``tail`` if given, and how many each text has."""
-        pieces, counts = byte_pieces(data, offsets)
-        coded = pieces.dictionary_encode()
-        packed, cache = [], self.cache
-        if len(cache) > CACHE_ENTRIES:
-            cache.clear()
-        for p in coded.dictionary.to_pylist():
-            got = cache.get(p)
-            if got is None:
-                got = cache[p] = self.encode(p)
-            packed.append(got)
-        lens = np.fromiter(map(len, packed), np.int64, len(packed)) >> 2
-        flat = np.frombuffer(b"".join(packed), "<u4")
-        starts = np.cumsum(lens) - lens
-        code = coded.indices.to_numpy(zero_copy_only=False)
-        n = per_text(lens[code], counts) if len(code) else np.zeros(len(counts), np.int64)
-        out = flat[ragged(starts[code], lens[code])] if len(code) else flat
+        out, n = gathered(*byte_pieces(data, offsets), self.encode, self.cache)
         if self.added:
             out, n = self._with_added(data, offsets, out, n)
         if tail is not None:
