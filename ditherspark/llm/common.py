@@ -31,10 +31,15 @@ def shared_folder(spark: SparkSession) -> str:
     return f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}"
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """``df`` stored as Parquet in the shared folder and read again: lineage ends here, any executor may be lost."""
+#: Rows of a few numbers that one file of a working table should hold.
+FILE_ROWS = 500_000
+
+
+def written(df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
+    """``df`` stored as Parquet in the shared folder and read again: lineage ends here, any executor may be lost. With
+    the expected number of narrow ``rows``, in as many files as these need and no more."""
     path = f"{shared_folder(df.sparkSession)}/{name}"
-    df.write.parquet(path)
+    (df if rows is None else df.coalesce(max(1, -(-rows // FILE_ROWS)))).write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 

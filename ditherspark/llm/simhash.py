@@ -22,7 +22,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ditherspark.llm.common import mapped, written
@@ -123,19 +123,22 @@ def links(distinct: DataFrame, distance: int = 2, segments: int = 16, wide_key:
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
     """(node, root): the smallest node reachable, for every node of ``edges`` (u, v), by alternating star rounds."""
-    edges = written(edges.select(F.greatest("u", "v").alias("a"), F.least("u", "v").alias("b")).where("a <> b").distinct(), "links")
-    before = None
+    edges = edges.select(F.greatest("u", "v").alias("a"), F.least("u", "v").alias("b")).where("a <> b").distinct()
+    edges = written(edges, "links")
+    rows, before = edges.count(), None
     for _ in range(most):
         both = edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("a", "m"))
         large = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(least, "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("e"))
-        edges = written(small.select("e.*").where("a <> b").distinct(), "links")
-        state = tuple(edges.agg(F.count("*"), F.sum(F.hash("a", "b").cast("long"))).first())
-        if state == before:
+        seen = Observation()
+        after = small.select("e.*").where("a <> b").distinct().observe(seen, F.count(F.lit(1)).alias("n"), F.sum(F.hash("a", "b").cast("long")).alias("h"))
+        edges = written(after, "links", rows)
+        state = (seen.get["n"], seen.get["h"])
+        if state == before or not state[0]:
             break
-        before = state
+        rows, before = state[0], state
     else:
         raise RuntimeError("components did not settle")
     roots = edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
@@ -145,7 +148,7 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
 def near_duplicates(docs: DataFrame, shingle: int = 3, distance: int = 2, segments: int = 16, wide_key: int = WIDE_KEY) -> DataFrame:
     """(doc_id, fp, component_id): one row per row of ``docs`` with the smallest id reachable over links."""
     fps = written(fingerprints(docs, shingle), "fingerprints")
-    distinct = written(fps.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "distinct")
+    distinct = written(fps.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "distinct", fps.count())
     found = components(links(distinct.select("fp"), distance, segments, wide_key))
     labelled = distinct.join(found, distinct.fp == found.node).select("fp", "root", "least_id")
     ids = labelled.groupBy("root").agg(F.min("least_id").alias("linked_id"))
