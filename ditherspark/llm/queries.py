@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ditherspark.llm import language_id, multiset_hash, packing, piece_transducer, quality, secret_scan, simhash, token_counts, warc
+from ditherspark.llm import language_id, lm_trie, multiset_hash, packing, piece_transducer, quality, secret_scan, simhash, token_counts, warc
 
 #: Where the installed public tokenizer files are; a parameter of every operator that needs one.
 TOKENIZERS = "/opt/tokenizers"
@@ -33,6 +33,10 @@ def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.digest(_table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op3_lm_trie(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_trie.digest(_table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.digest(_table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("piece_bpe_32k.model"))
 
@@ -63,7 +67,11 @@ def op10_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_secret_scan, op2_simhash, op4_token_counts, op5_piece_transducer, op6_warc_dictionary, op7_multiset_hash, op8_language_id, op9_quality_rules, op10_best_fit_packing)
+    f.__name__: f
+    for f in (
+        op1_secret_scan, op2_simhash, op3_lm_trie, op4_token_counts, op5_piece_transducer,
+        op6_warc_dictionary, op7_multiset_hash, op8_language_id, op9_quality_rules, op10_best_fit_packing,
+    )
 }
 
 ORACLES: dict[str, str] = {"op6_warc_dictionary": warc.SQL}

@@ -162,8 +162,8 @@ def digest(docs: DataFrame) -> DataFrame:
     return near_duplicates(docs).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def one_of_each(docs: DataFrame) -> DataFrame:
+def one_of_each(docs: DataFrame, shingle: int = 3) -> DataFrame:
     """``docs``, all columns, with the smallest id of each component; of rows that repeat this id, one stays."""
-    found = near_duplicates(docs)
+    found = near_duplicates(docs, shingle)
     kept = found.groupBy("component_id").agg(F.min("doc_id").alias("doc_id")).select("doc_id")
     return docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
