@@ -11,7 +11,7 @@ summed in each task first; the weights, one array of ``buckets`` numbers, come b
 Null texts count as having no words, as do empty texts and white space; they fail the base rules. With no target text
 every weight is zero and the base rules alone decide. Repeated rows are judged alike. An empty table gives an empty
 result. Labels may repeat or name unknown documents. ``kept_only`` passes all other columns on untouched; helper columns
-have names of their own (``__lm_...``).
+have names of their own (``__lm...``).
 """
 
 from __future__ import annotations
@@ -78,15 +78,15 @@ def _repeated(hashes: Column) -> Column:
     return F.when(n >= WINDOW, found).otherwise(F.lit(0).cast("long"))
 
 
-def base_counts(text: Column) -> dict[str, Column]:
-    """Columns of the base rules out of the text alone; ``__lm_hashes`` must hold the words' hashes."""
+def base_counts(text: Column, hashes: Column) -> dict[str, Column]:
+    """Columns of the base rules out of the text and its words' hashes."""
     full = F.coalesce(text, F.lit(""))
     lines = F.filter(F.split(full, "\n"), lambda x: F.btrim(x, F.lit(BLANKS)) != "")
     return {
         "word_chars": F.length(F.translate(full, BLANKS, "")).cast("long"),
         "n_symbols": (F.length(full) - F.length(F.translate(full, SYMBOLS, ""))).cast("long"),
         "n_dup_lines": bound(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long"),
-        "n_repeat_words": _repeated(F.col("__lm_hashes")),
+        "n_repeat_words": _repeated(hashes),
     }
 
 
@@ -112,15 +112,22 @@ def fit(docs: DataFrame, trusted: DataFrame, rule: RatioRule = RatioRule(), id_c
 
 
 def judged(docs: DataFrame, weights: DataFrame, rule: RatioRule = RatioRule(), text_col: str = "text") -> DataFrame:
-    """``docs`` and n_words, the base counts, base_failed, llr (null without words) and kept, under ``__lm_`` names."""
-    hashed = _hashed(docs, text_col).withColumn("__lm_weights", weights.scalar())
-    n = F.size("__lm_hashes").cast("long")
-    grams = _ngrams(F.col("__lm_hashes"), rule.buckets)
-    score = bound(grams, lambda g: F.aggregate(g, F.lit(0.0), lambda acc, b: acc + F.get("__lm_weights", b)) / F.size(g))
-    out = hashed.select(*docs.columns, n.alias("__lm_n_words"), *[c.alias(f"__lm_{k}") for k, c in base_counts(F.col(text_col)).items()], F.when(n > 0, score).alias("__lm_llr"))
-    failed = (F.col("__lm_n_words") < LEAST_WORDS) | (100 * F.col("__lm_n_repeat_words") > MOST_REPEATED * F.col("__lm_n_words"))
-    out = out.withColumn("__lm_base_failed", failed)
-    return out.withColumn("__lm_kept", ~F.col("__lm_base_failed") & (F.coalesce("__lm_llr", F.lit(-1e9)) >= rule.threshold))
+    """``docs`` and ``__lm``, a struct of n_words, the base counts, llr (null without words), base_failed and kept. It is
+    one expression whose parts are bound inside, so a filter on it may be pushed down without computing a part twice."""
+    text = F.col(text_col)
+
+    def measures(h: Column) -> Column:
+        n = F.size(h).cast("long")
+        score = bound(_ngrams(h, rule.buckets), lambda g: F.aggregate(g, F.lit(0.0), lambda acc, b: acc + F.get("__lm_weights", b)) / F.size(g))
+        return F.struct(n.alias("n_words"), *[c.alias(k) for k, c in base_counts(text, h).items()], F.when(n > 0, score).alias("llr"))
+
+    def verdict(m: Column) -> Column:
+        failed = (m["n_words"] < LEAST_WORDS) | (100 * m["n_repeat_words"] > MOST_REPEATED * m["n_words"])
+        kept = ~failed & (F.coalesce(m["llr"], F.lit(-1e9)) >= rule.threshold)
+        return F.struct(*[m[k].alias(k) for k in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "llr")], failed.alias("base_failed"), kept.alias("kept"))
+
+    hashes = F.transform(words(text), lambda w: F.xxhash64(w))
+    return docs.withColumn("__lm_weights", weights.scalar()).select(*docs.columns, bound(bound(hashes, measures), verdict).alias("__lm"))
 
 
 def trusted_ids(labels: DataFrame) -> DataFrame:
@@ -132,9 +139,9 @@ def digest(docs: DataFrame, labels: DataFrame, rule: RatioRule = RatioRule()) ->
     """The contract's columns, and the score."""
     names = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "llr")
     out = judged(docs.select("doc_id", "text"), fit(docs, trusted_ids(labels), rule), rule)
-    return out.select("doc_id", *[F.col(f"__lm_{n}").alias(n) for n in names])
+    return out.select("doc_id", *[F.col(f"__lm.{n}").alias(n) for n in names])
 
 
 def kept_only(docs: DataFrame, labels: DataFrame, rule: RatioRule = RatioRule()) -> DataFrame:
     """``docs``, all columns, without those that the rules reject."""
-    return judged(docs, fit(docs, trusted_ids(labels), rule), rule).where("__lm_kept").select(docs.columns)
+    return judged(docs, fit(docs, trusted_ids(labels), rule), rule).where("__lm.kept").select(docs.columns)
