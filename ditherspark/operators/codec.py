@@ -41,7 +41,7 @@ def decode_rows(q: np.ndarray, eps: np.ndarray, lam: float, k: int, basis: str =
 
 
 def padded(vectors: list, d: int | None = None) -> np.ndarray:
-    if any(v is None or None in v for v in map(list, vectors)) if any(v is not None for v in vectors) and None not in vectors else bool(vectors):
+    if any(v is None for v in vectors):
         raise ValueError("vectors must not be null")
     sizes = {len(v) for v in vectors}
     if len(sizes) > 1:

@@ -34,7 +34,8 @@ class GradientOracle:
             self._m = self.rows.count()
         return self._m
 
-    def dense(self, batch: pa.RecordBatch, d: int) -> tuple[np.ndarray, np.ndarray]:
+    @staticmethod
+    def dense(batch: pa.RecordBatch, d: int) -> tuple[np.ndarray, np.ndarray]:
         x = batch["x"].flatten().to_numpy(zero_copy_only=False).reshape(-1, d) if batch.num_rows else np.zeros((0, d))
         return x, batch["y"].to_numpy(zero_copy_only=False).astype(np.float64)
 
@@ -127,7 +128,8 @@ class OneSparseOracle(GradientOracle):
     def columns(self):
         return ["coord", "y"]
 
-    def dense(self, batch, d):
+    @staticmethod
+    def dense(batch, d):
         a = np.zeros((batch.num_rows, d))
         a[np.arange(batch.num_rows), batch["coord"].to_numpy(zero_copy_only=False)] = 1
         return a, batch["y"].to_numpy(zero_copy_only=False).astype(np.float64)
