@@ -102,7 +102,7 @@ def smoothness_violations(oracle: GradientOracle, points: np.ndarray, smooth: fl
     for i in range(len(points) - 1):
         step = points[i + 1] - points[i]
         limit = f[i] + float(g[i] @ step) + smooth / 2 * float(step @ step)
-        out.append((float(f[i + 1]), limit, bool(f[i + 1] > limit + 1e-12)))
+        out.append((float(f[i + 1]), float(limit), bool(f[i + 1] > limit + 1e-12)))
     return out
 
 
