@@ -3,9 +3,9 @@
 Each paragraph is hashed to wide vectors, and a text's fingerprint is their sum, so it does not depend on order, and
 inserting or deleting a paragraph adds or subtracts one vector. A fingerprint has three parts, each a sum modulo a power
 of two: the number of paragraphs (2**32); 32 lanes of uniform 16-bit numbers (2**16), for equality; and 256 lanes of +1
-or -1 (2**12), whose squared distance between two fingerprints, over the number of lanes, estimates how many paragraphs
-the two texts don't share. Likeness is (a + b - d)/(a + b + d) for a and b paragraphs of which d are not shared, the estimate of shared over
-united paragraphs.
+or -1 (2**16). The inner product of two fingerprints' sign lanes, over the number of lanes, estimates that of the two
+multisets' counts, so their cosine is the likeness, within some 0.06: two thirds where a third of different paragraphs
+was replaced, whatever is repeated.
 
 A paragraph is a line; a line is cut further after sentence ends, and at ``most`` bytes, so that a text of one long line
 has parts that can be shared. Blank parts don't count. Nulls count as empty texts, whose fingerprint is zero; two
@@ -26,7 +26,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 UNIFORM, SIGNS = 32, 256
-UNIFORM_MOD, SIGN_MOD, COUNT_MOD = 1 << 16, 1 << 12, 1 << 32
+UNIFORM_MOD, SIGN_MOD, COUNT_MOD = 1 << 16, 1 << 16, 1 << 32
 MOST_BYTES = 48
 _PARTS = re.compile(rb"[^\n.!?]{1,%d}[.!?]*" % MOST_BYTES)
 
@@ -47,18 +47,15 @@ class Fingerprint:
 
     def hex(self) -> str:
         """Fixed width, so equal fingerprints are equal strings."""
-        pairs = self.signs.astype(np.uint32).reshape(-1, 2)
-        packed = (pairs[:, 0] << 12 | pairs[:, 1]).astype(">u4").view(np.uint8).reshape(-1, 4)[:, 1:]
-        return f"{self.count:08x}" + self.uniform.astype(">u2").tobytes().hex() + packed.tobytes().hex()
+        return f"{self.count:08x}" + self.uniform.astype(">u2").tobytes().hex() + self.signs.astype(">u2").tobytes().hex()
 
     def likeness(self, other: Fingerprint) -> float:
-        """Estimated share of common paragraphs, 0 to 1; exactly 1 for equal fingerprints."""
-        diff = self.signs - other.signs
-        if self.count == other.count and not diff.any() and (self.uniform == other.uniform).all():
+        """Estimated cosine of the two multisets, 0 to 1; exactly 1 for equal fingerprints."""
+        if self.count == other.count and (self.signs == other.signs).all() and (self.uniform == other.uniform).all():
             return 1.0
-        diff = (diff + SIGN_MOD // 2) % SIGN_MOD - SIGN_MOD // 2
-        apart, both = float((diff * diff).sum()) / SIGNS, self.count + other.count
-        return float(min(1.0, max(0.0, (both - apart) / (both + apart)))) if both else 0.0
+        a, b = ((x.signs + SIGN_MOD // 2) % SIGN_MOD - SIGN_MOD // 2 for x in (self, other))
+        norm = float(a @ a) * float(b @ b)
+        return min(1.0, max(0.0, float(a @ b) / norm**0.5)) if norm else 0.0
 
 
 def empty() -> Fingerprint:
