@@ -145,8 +145,8 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
     return roots.union(edges.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 3, distance: int = 2, segments: int = 16, wide_key: int = WIDE_KEY) -> DataFrame:
-    """(doc_id, fp, component_id): one row per row of ``docs`` with the smallest id reachable over links."""
+def classes(docs: DataFrame, shingle: int = 3, distance: int = 2, segments: int = 16, wide_key: int = WIDE_KEY) -> tuple[DataFrame, DataFrame]:
+    """((doc_id, fp) of every row, (fp, component_id) of every different fingerprint), both stored."""
     fps = written(fingerprints(docs, shingle), "fingerprints")
     distinct = written(fps.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "distinct", fps.count())
     found = components(links(distinct.select("fp"), distance, segments, wide_key))
@@ -154,6 +154,13 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, distance: int = 2, segmen
     ids = labelled.groupBy("root").agg(F.min("least_id").alias("linked_id"))
     linked = labelled.join(ids, "root").select("fp", "linked_id")
     named = distinct.join(linked, "fp", "left").select("fp", F.coalesce("linked_id", "least_id").alias("component_id"))
+    return fps, written(named, "classes", distinct.count())
+
+
+def near_duplicates(docs: DataFrame, shingle: int = 3, distance: int = 2, segments: int = 16, wide_key: int = WIDE_KEY) -> DataFrame:
+    """(doc_id, fp, component_id): one row per row of ``docs`` with the smallest id reachable over links. Both sides of
+    this last join are stored tables, so a fingerprint that many rows share can be split between tasks."""
+    fps, named = classes(docs, shingle, distance, segments, wide_key)
     return fps.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
@@ -164,6 +171,6 @@ def digest(docs: DataFrame) -> DataFrame:
 
 def one_of_each(docs: DataFrame, shingle: int = 3) -> DataFrame:
     """``docs``, all columns, with the smallest id of each component; of rows that repeat this id, one stays."""
-    found = near_duplicates(docs, shingle)
-    kept = found.groupBy("component_id").agg(F.min("doc_id").alias("doc_id")).select("doc_id")
+    _, named = classes(docs, shingle)
+    kept = named.select(F.col("component_id").alias("doc_id")).distinct()
     return docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
