@@ -417,3 +417,69 @@ def bound_terms(spark, sf_dir):
     """Terms of the bounds over a grid, B = 1 and step 0.01."""
     grid = spark.range(1).select(F.explode(F.array(*map(F.lit, (16, 64, 1024)))).alias("d")).withColumn("n", F.explode(F.array(F.lit(16), F.lit(1024)))).withColumn("k", F.explode(F.array(F.lit(1), F.lit(255)))).withColumn("alpha", F.explode(F.array(*map(F.lit, (2.0, 3.0, 4.0)))))
     return grid.select("d", "n", "k", "alpha", *[F.round(F.expr(e), 6).alias(a) for a, e in _TERMS.items()])
+
+
+# Around the methods: audits, features of nested columns, replay.
+@query(f"WITH d AS ({_draw_sql(4, 8, 16, 'events')}) SELECT event_type, count(*) AS never FROM events WHERE event_id NOT IN (SELECT row_id FROM d) GROUP BY event_type")
+def never_drawn(spark, sf_dir):
+    """Rows that no worker drew, by type: an anti join against a broadcast draw table."""
+    e = load(spark, sf_dir, "events", "event_id", "event_type")
+    draws = draw_indices(spark, 4, 8, 16, e.count()).select(F.col("row_id").alias("event_id"))
+    return e.join(F.broadcast(draws), "event_id", "left_anti").groupBy("event_type").agg(F.count("*").alias("never"))
+
+
+@query("SELECT user_id, CAST(sum(CAST(floor(value * 1000) AS BIGINT)) AS BIGINT) AS total FROM events GROUP BY user_id ORDER BY total DESC, user_id LIMIT 10")
+def largest_coordinates(spark, sf_dir):
+    """The ten coordinates with the largest gradient sums (top-k is the feature)."""
+    e = load(spark, sf_dir, "events", "user_id", "value")
+    return e.groupBy("user_id").agg(F.sum(F.floor(F.col("value") * 1000)).alias("total")).orderBy(F.desc("total"), "user_id").limit(10)
+
+
+@query("SELECT event_type, CAST(json_extract_string(props, '$.k') AS BIGINT) % 8 AS coord, count(*) AS n, CAST(sum(CAST(floor(value * 1000) AS BIGINT)) AS BIGINT) AS total FROM events GROUP BY ALL")
+def json_features(spark, sf_dir):
+    """Sparse features out of a JSON column."""
+    e = load(spark, sf_dir, "events", "event_type", "props", "value")
+    k = F.get_json_object("props", "$.k").cast("long") % 8
+    return e.groupBy("event_type", k.alias("coord")).agg(F.count("*").alias("n"), F.sum(F.floor(F.col("value") * 1000)).alias("total"))
+
+
+_HOURS = "h AS (SELECT user_id % 16 AS run, CAST(floor(epoch(ts) / 86400) AS BIGINT) AS t, CAST(sum(CAST(floor(value * 1000) AS BIGINT)) AS BIGINT) AS loss, count(*) AS bits FROM events GROUP BY 1, 2)"
+
+
+@query(f"WITH {_HOURS} SELECT run, t, loss, loss - lag(loss) OVER w AS step, CAST(sum(bits) OVER (PARTITION BY run ORDER BY t) AS BIGINT) AS bits_so_far, CAST(sum(loss) OVER (PARTITION BY run ORDER BY t ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS last_three, row_number() OVER (PARTITION BY run ORDER BY loss, t) AS place FROM h WINDOW w AS (PARTITION BY run ORDER BY t)")
+def trace_windows(spark, sf_dir):
+    """Decrease, running traffic, smoothed loss and rank along traces (here: daily sums by coordinate)."""
+    from pyspark.sql import Window
+
+    e = load(spark, sf_dir, "events", "user_id", "ts", "value")
+    day = F.datediff(F.to_date("ts"), F.lit("1970-01-01")).cast("long")
+    h = e.groupBy((F.col("user_id") % 16).alias("run"), day.alias("t")).agg(F.sum(F.floor(F.col("value") * 1000)).alias("loss"), F.count("*").alias("bits"))
+    w = Window.partitionBy("run").orderBy("t")
+    return h.select(
+        "run", "t", "loss", (F.col("loss") - F.lag("loss").over(w)).alias("step"), F.sum("bits").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("bits_so_far"),
+        F.sum("loss").over(w.rowsBetween(-2, 0)).alias("last_three"), F.row_number().over(Window.partitionBy("run").orderBy("loss", "t")).cast("long").alias("place"),
+    )
+
+
+@query("""WITH i AS (SELECT CAST(floor(epoch(ts) / 21600) AS BIGINT) AS b, max(event_id) AS version, max(epoch_us(ts)) AS at FROM events WHERE event_id % 10 = 0 GROUP BY 1)
+SELECT e.event_type, count(*) AS n, count(i.version) AS matched, CAST(sum(e.event_id - i.version) AS BIGINT) AS lag FROM events e ASOF LEFT JOIN i ON epoch_us(e.ts) >= i.at GROUP BY e.event_type""")
+def asof_iterate(spark, sf_dir):
+    """Latest iterate at or before each event: iterates are bucketed by time, each bucket carries the last one before it,
+    so the as-of join is an equi-join on the bucket and a pick within it."""
+    e = load(spark, sf_dir, "events", "event_id", "event_type", "ts").withColumn("us", F.expr("unix_micros(cast(ts as timestamp))"))
+    six_hours = 21_600_000_000
+    e = e.withColumn("b", F.floor(F.col("us") / six_hours))
+    its = e.where("event_id % 10 = 0").groupBy("b").agg(F.max("event_id").alias("version"), F.max("us").alias("at"))
+    span = its.agg(F.min("b"), F.max("b"), F.max_by("version", "b")).first()
+    if span[0] is None:
+        return e.groupBy("event_type").agg(F.count("*").alias("n"), F.lit(0).cast("long").alias("matched"), F.lit(None).cast("long").alias("lag"))
+    from pyspark.sql import Window
+
+    grid = spark.range(span[0], span[1] + 1).withColumnRenamed("id", "b").join(its, "b", "left")  # a row for each six hours
+    got = grid.withColumn("it", F.when(F.col("at").isNotNull(), F.struct("version", "at")))
+    before = Window.orderBy("b").rowsBetween(Window.unboundedPreceding, -1)
+    carried = got.select("b", "it", F.last("it", ignorenulls=True).over(before).alias("prev"))
+    joined = e.alias("e").join(F.broadcast(carried), "b", "left")
+    pick = F.when(F.col("it.at") <= F.col("us"), F.col("it.version")).otherwise(F.col("prev.version"))
+    beyond = F.when(F.col("e.b") > span[1], F.lit(span[2])).otherwise(pick)
+    return joined.withColumn("v", beyond).groupBy("event_type").agg(F.count("*").alias("n"), F.count("v").alias("matched"), F.sum(F.col("event_id") - F.col("v")).alias("lag"))
