@@ -24,6 +24,7 @@ from __future__ import annotations
 
 import heapq
 import zlib
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -35,7 +36,7 @@ from ditherspark.llm.pretoken import gathered, mark_pieces, per_text, ragged
 
 MARK = "▁"
 #: Neighbour pairs that the acceptor remembers before it starts anew.
-PAIR_ENTRIES = 1_000_000
+PAIR_ENTRIES = 400_000
 
 
 class PieceTransducer:
@@ -157,11 +158,17 @@ class PieceTransducer:
         return got.tobytes().removeprefix(b" ").decode(errors="replace")
 
 
+@lru_cache(maxsize=2)
+def worker_machine(path: str, merges: bool = True) -> PieceTransducer:
+    """The machine of a Python worker, whose caches serve all the tasks it runs."""
+    return PieceTransducer(path, merges)
+
+
 def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, ids) for every row."""
 
     def kernel():
-        machine = PieceTransducer(model_path)
+        machine = worker_machine(model_path)
 
         def step(batch):
             ids, n = machine.encode(*buffers(batch["text"]))
@@ -179,7 +186,7 @@ def decode(encoded: DataFrame, model_path: str, id_col: str = "doc_id", ids_col:
     kind = dict(encoded.dtypes)[id_col]
 
     def run(batches):
-        machine = PieceTransducer(model_path)
+        machine = worker_machine(model_path)
         for batch in batches:
             texts = [machine.text_of(x or []) for x in batch["ids"].to_pylist()]
             yield pa.RecordBatch.from_arrays([batch["id"], pa.array(texts, pa.string())], ["id", "text"])
@@ -193,7 +200,7 @@ def digest(docs: DataFrame, model_path: str) -> DataFrame:
     scores) and round_trip: whether decoding the ids gives the text back, its literal marks as spaces."""
 
     def kernel():
-        machine = PieceTransducer(model_path)
+        machine = worker_machine(model_path)
         is_byte = np.zeros(len(machine.pieces), np.int64)
         is_byte[list(machine.byte_ids.values())] = 1
         whole = machine.weights.astype(np.int64)  # scores of merge models are whole numbers
