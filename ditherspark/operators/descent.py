@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from ditherspark.operators.gradients import GradientOracle
 from ditherspark.operators.protocol import RunConfig, loss_factor, send_down, send_up, traffic
 
-TRACE = "run string, seed int, t int, delta double, x array<double>, v_sq double, dev_server double, dev_worker double, half_space double, worker_clips int, server_clip boolean, bits_up double, bits_down double, inner double, top_grad double"
+TRACE = "run string, seed int, t int, delta double, x array<double>, v_sq double, dev_server double, dev_worker double, half_space double, worker_clips int, server_clip boolean, bits_up double, bits_down double, inner double, top_grad double, dev_total double, cross double"
 
 
 @dataclass
@@ -104,10 +104,10 @@ def _run(name: str, seed: int, cfg: RunConfig, a: np.ndarray, y: np.ndarray, x_s
         deltas.append(delta)
         if t % every == 0 or t == cfg.rounds - 1:
             wd, vd = w[: cfg.d], v[: cfg.d]
-            rows.append((name, seed, t, delta, x.tolist(), float(vd @ vd), float(((vd - wd) ** 2).sum()), float(((wd - g.mean(0)) ** 2).sum()), float(vd.sum()), int(clipped.sum()), clip, up, down, float((x - star) @ vd), float(np.linalg.norm(g, axis=1).max())))
+            rows.append((name, seed, t, delta, x.tolist(), float(vd @ vd), float(((vd - wd) ** 2).sum()), float(((wd - g.mean(0)) ** 2).sum()), float(vd.sum()), int(clipped.sum()), clip, up, down, float((x - star) @ vd), float(np.linalg.norm(g, axis=1).max()), float(((vd - g.mean(0)) ** 2).sum()), float((x - star) @ (g.mean(0) - vd))))
         x = project(x - delta * v[: cfg.d], cfg.radius)
     mean = average_iterate(np.array(xs), np.array(deltas))
-    rows.append((name, seed, cfg.rounds, float(np.sum(deltas)), mean.tolist(), 0.0, 0.0, 0.0, 0.0, 0, False, up * cfg.rounds, down * cfg.rounds, 0.0, 0.0))
+    rows.append((name, seed, cfg.rounds, float(np.sum(deltas)), mean.tolist(), 0.0, 0.0, 0.0, 0.0, 0, False, up * cfg.rounds, down * cfg.rounds, 0.0, 0.0, 0.0, 0.0))
     return pd.DataFrame(rows, columns=[c.split()[0] for c in TRACE.split(", ")])
 
 

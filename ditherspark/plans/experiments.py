@@ -173,6 +173,39 @@ def trace_telescoping(spark, sf_dir):
     return telescoping(trajectories(o, {m: method(m, base) for m in ("plain", "onebit", "up_only", "down_only", "vote", "sign_mean")}, x_star=mu), mu)
 
 
+@query
+def general_bound_table(spark, sf_dir):
+    """Mean gap of the average iterate over seeds against the bound for any worker and server maps, whose last two terms
+    come from the runs' own deviations and inner products."""
+    o, p, mu, _ = _events(spark, sf_dir)
+    n, rounds, delta = 32, 60, 0.05
+    base = RunConfig(d=EVENT_D, n_workers=n, rounds=rounds, delta=delta, bound=12.0)
+    t = trajectories(o, {m: method(m, base) for m in ("plain", "onebit", "observed", "up_only", "down_only")}, seeds=6, x_star=mu)
+    arr = lambda v: F.array(*[F.lit(float(x)) for x in v])
+    off = F.zip_with("x", arr(mu), lambda a, b: (a - b) * (a - b))
+    weigh = lambda w: F.aggregate(F.zip_with(off, arr(w), lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
+    sigma = estimate_sigma2(o, np.zeros(EVENT_D), 1)[0]
+    runs = t.where(F.col("t") < rounds).groupBy("run").agg(F.avg(weigh(4 * p * p)).alias("grad_sq"), F.avg("dev_total").alias("dev"), F.avg("cross").alias("cross"))
+    gaps = t.where(F.col("t") == rounds).groupBy("run").agg(F.avg(weigh(p)).alias("gap"))
+    out = []
+    for r in runs.join(gaps, "run").orderBy("run").collect():
+        plain = C.bound_plain(float(mu @ mu), [delta] * rounds, [r["grad_sq"]] * rounds, sigma, n)
+        terms = C.bound_general(plain, [delta] * rounds, [r["dev"]] * rounds, [r["cross"]] * rounds)
+        out.append((r["run"], r["gap"], float(sum(terms.values())), *map(float, terms.values())))
+    return spark.createDataFrame(out, "run string, gap double, bound double, start double, gradient double, variance double, deviation double, drift double")
+
+
+@query
+def single_node(spark, sf_dir):
+    """One worker without compression, three step schedules."""
+    o, p, mu, _ = _events(spark, sf_dir)
+    base = method("local", RunConfig(d=EVENT_D, m_prime=4, rounds=120, delta=0.2))
+    from dataclasses import replace
+
+    runs = {"constant": base, "inverse root": replace(base, schedule="inv_sqrt"), "list": replace(base, schedule=tuple(0.5 / (1 + t / 10) for t in range(120)))}
+    return _event_gaps(trajectories(o, runs, every=60), p, mu)
+
+
 @query
 def trace_average_iterate(spark, sf_dir):
     """The weighted mean of stored iterates, recomputed from the trace, against the one the run kept."""

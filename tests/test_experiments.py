@@ -93,3 +93,17 @@ def test_stream_replays_batches(spark, sf):
 
 def test_average_iterate(spark, sf):
     assert all(abs(r.recomputed - r.kept) < 1e-9 for r in X.trace_average_iterate(spark, sf).collect())
+
+
+def test_general_bound_and_split_of_deviations(spark, sf, events):
+    for r in X.general_bound_table(spark, sf.replace("0.001", "0.01")).collect():
+        assert r.gap <= r.bound
+    o, _, mu, _ = events
+    base = RunConfig(d=EVENT_D, n_workers=16, rounds=20, delta=0.05, bound=12.0)
+    t = trajectories(o, {m: method(m, base) for m in ("onebit", "observed", "no_dither")}, x_star=mu).where("t < 20").collect()
+    assert all(r.dev_total <= 2 * r.dev_server + 2 * r.dev_worker + 1e-9 for r in t)
+
+
+def test_single_node_reaches_the_means(spark, sf):
+    rows = X.single_node(spark, sf.replace("0.001", "0.01")).where("t = 120").collect()
+    assert len(rows) == 3 and all(r.gap < 0.2 for r in rows)
