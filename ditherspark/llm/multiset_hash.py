@@ -10,7 +10,7 @@ was replaced, whatever is repeated.
 A paragraph is a line; a line is cut further after sentence ends, and at ``most`` bytes, so that a text of one long line
 has parts that can be shared. Blank parts don't count. Nulls count as empty texts, whose fingerprint is zero; two
 texts without paragraphs are alike (1.0). Of two rows with one id, the one with the lesser text comes first. The next
-document of a table's only row is that row. An empty table gives an empty result. Columns other than the id and the text
+document of a table's only row is that row. Null ids come last. An empty table gives an empty result. Columns other than the id and the text
 are not read.
 """
 
@@ -107,9 +107,9 @@ def with_following(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         to[r["range"]] = heads[(at + 1) % len(heads)]["range"]
     if not heads:
         return rows.withColumn("border", F.lit(False))
-    first = F.create_map(*[F.lit(x) for r in heads for x in (r["range"], r["id"])])
+    first = F.create_map(*[x for r in heads for x in (F.lit(r["range"]), F.lit(r["id"]).cast(src.schema["id"].dataType))])
     above = F.create_map(*[F.lit(x) for k, v in to.items() for x in (k, v)])
-    borders = rows.where(F.col("id") == first[F.col("range")]).groupBy("range", "id").agg(F.min("text").alias("text"))
+    borders = rows.where(F.col("id").eqNullSafe(first[F.col("range")])).groupBy("range", "id").agg(F.min("text").alias("text"))
     borders = borders.select(above[F.col("range")].alias("range"), "id", "text", F.lit(True).alias("border"))
     every = rows.select("range", "id", "text", F.lit(False).alias("border")).union(borders)
     return every.repartition(len(heads), "range").sortWithinPartitions("range", "border", F.desc("id"), "text")

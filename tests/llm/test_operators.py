@@ -373,3 +373,14 @@ def test_clashing_columns_are_left_alone(odd, spark, sf):
         assert out.columns == odd.columns
         assert {r.kept for r in out.collect()} <= {"clash"}
     assert simhash.digest(odd.union(odd)).count() == 2 * odd.count()
+
+
+def test_null_ids_and_numbers_as_text(spark, sf):
+    """Rows without an id are kept, and ids may be strings where an operator doesn't order them."""
+    df = spark.createDataFrame([(None, "one two three four. five"), (None, None), (7, "one two three four. six"), (3, None)], "doc_id long, text string")
+    for run in (secret_scan.digest, simhash.digest, multiset_hash.digest, lm_trie.digest, lambda d: token_counts.digest(d, PIECES), lambda d: piece_transducer.digest(d, PIECES)):
+        assert run(df).count() == 4
+    assert multiset_hash.digest(df.where("doc_id IS NULL")).count() == 2
+    assert packing.digest(df, BYTES).count() == 4
+    named = df.selectExpr("cast(doc_id as string) doc_id", "text")
+    assert token_counts.digest(named, PIECES).count() == 4 and secret_scan.digest(named).count() == 4
