@@ -96,9 +96,13 @@ def with_following(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     n = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     limits = sorted(set(src.select(F.col("id").cast("double").alias("x")).stat.approxQuantile("x", [i / n for i in range(1, n)], 0.2 / n))) if n > 1 else []
 
+    stride = max(1, int(len(limits) ** 0.5))
+
     def range_of(col: Column) -> Column:
-        found = F.filter(F.transform(F.sequence(F.lit(0), F.lit(max(0, len(limits) - 1))), lambda i: F.when(F.get(F.lit(limits), i) < col.cast("double"), i + 1)), lambda x: x.isNotNull()) if limits else None
-        return F.coalesce(F.array_max(found), F.lit(0)).cast("int") if limits else F.lit(0)
+        """How many limits lie below the id, found in two steps of about the square root of their number."""
+        below = lambda some: F.size(F.filter(some, lambda x: x < col.cast("double")))
+        base = F.greatest(below(F.lit(limits[::stride])) - 1, F.lit(0)) * stride
+        return F.coalesce(base + below(F.slice(F.lit(limits), base + 1, stride)), F.lit(0)).cast("int") if limits else F.lit(0)
 
     rows = src.withColumn("range", range_of(F.col("id")))
     heads = rows.groupBy("range").agg(F.max("id").alias("id")).orderBy("range").collect()  # a row a range
@@ -107,10 +111,12 @@ def with_following(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         to[r["range"]] = heads[(at + 1) % len(heads)]["range"]
     if not heads:
         return rows.withColumn("border", F.lit(False))
-    first = F.create_map(*[x for r in heads for x in (F.lit(r["range"]), F.lit(r["id"]).cast(src.schema["id"].dataType))])
-    above = F.create_map(*[F.lit(x) for k, v in to.items() for x in (k, v)])
-    borders = rows.where(F.col("id").eqNullSafe(first[F.col("range")])).groupBy("range", "id").agg(F.min("text").alias("text"))
-    borders = borders.select(above[F.col("range")].alias("range"), "id", "text", F.lit(True).alias("border"))
+    kind, slots = src.schema["id"].dataType, max(to) + 1
+    top = {r["range"]: r["id"] for r in heads}
+    first = F.array(*[F.lit(top.get(i)).cast(kind) for i in range(slots)])
+    above = F.array(*[F.lit(to.get(i)).cast("int") for i in range(slots)])
+    borders = rows.where(F.col("id").eqNullSafe(F.get(first, F.col("range")))).groupBy("range", "id").agg(F.min("text").alias("text"))
+    borders = borders.select(F.get(above, F.col("range")).alias("range"), "id", "text", F.lit(True).alias("border"))
     every = rows.select("range", "id", "text", F.lit(False).alias("border")).union(borders)
     return every.repartition(len(heads), "range").sortWithinPartitions("range", "border", F.desc("id"), "text")
 
