@@ -170,7 +170,9 @@ def digest(docs: DataFrame) -> DataFrame:
 
 
 def one_of_each(docs: DataFrame, shingle: int = 3) -> DataFrame:
-    """``docs``, all columns, with the smallest id of each component; of rows that repeat this id, one stays."""
+    """``docs``, all columns, with the smallest id of each component; of rows that repeat this id, one stays.
+    Rows without an id can't be told apart by it and all stay."""
     _, named = classes(docs, shingle)
     kept = named.select(F.col("component_id").alias("doc_id")).distinct()
-    return docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
+    first = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
+    return first.union(docs.where("doc_id IS NULL"))

@@ -382,5 +382,6 @@ def test_null_ids_and_numbers_as_text(spark, sf):
         assert run(df).count() == 4
     assert multiset_hash.digest(df.where("doc_id IS NULL")).count() == 2
     assert packing.digest(df, BYTES).count() == 4
+    assert sorted(r.doc_id or 0 for r in simhash.one_of_each(df).collect()) == [0, 0, 3, 7]
     named = df.selectExpr("cast(doc_id as string) doc_id", "text")
     assert token_counts.digest(named, PIECES).count() == 4 and secret_scan.digest(named).count() == 4
