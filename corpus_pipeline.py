@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ditherspark.llm import language_id, packing, quality, secret_scan, simhash
+from ditherspark.llm import language_id, near_copies, packing, quality, secret_scan
 from ditherspark.llm.common import shared_folder
 from ditherspark.llm.queries import tokenizer_path
 
@@ -26,8 +26,9 @@ def rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group that differs in at most 2 fingerprint bits (operator 2), over 5-word shingles."""
-    return simhash.one_of_each(docs, shingle=5)
+    """One document of each group whose sets of 5-word shingles are alike by 0.8 or more (operator 2's candidates and
+    those of shared shingles, each compared in full)."""
+    return near_copies.one_of_each(docs, shingle=5, least=0.8)
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
