@@ -2,8 +2,10 @@
 
 A candidate is a run of at least ``window`` characters of ``[A-Za-z0-9+/_=-]``. Over it slides a window whose
 character counts, and with them sum(c*log2 c), change by one character in and one out per step, so the entropy of
-every window costs O(1). The threshold is that of the narrowest class that holds the window. Windows above it are
-united to one span, which an allow-list may suppress; pattern spans are never suppressed.
+every window costs O(1). The threshold is that of the narrowest class that holds the window: hexadecimal of either
+case, base32, letters of one case with digits, letters and digits, all candidate characters. Each class's threshold but
+the last is what 98 % of windows of random characters of its alphabet reach. In the three middle classes digits must stand
+apart, as in keys: words with a number at an end are held to the last class. Windows above it are united to one span, which an allow-list may suppress; pattern spans are never suppressed.
 
 Nulls count as empty texts. Empty texts have no span. Rows are independent of each other, so repeated rows, ties and
 an empty table need no rule; columns other than the id and the text pass through untouched by ``redact`` and are not
@@ -45,6 +47,8 @@ def _lut(chars: str) -> np.ndarray:
 
 
 _LOWER, _UPPER, _DIGIT = "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789"
+#: What a window's counts are of, in the order of ``EntropyRule.threshold``.
+_CLASSES = (_DIGIT, "abcdef", _LOWER, _UPPER, "ABCDEF", "0189")
 _HEX_LUT = _lut(_DIGIT + "abcdef")
 _CAND_LUT = _lut(_LOWER + _UPPER + _DIGIT + "+/_=-")
 
@@ -63,19 +67,27 @@ class EntropyRule:
 
     window: int = 20
     digits: float = 9.0  # numbers alone are never secrets
-    hexadecimal: float = 3.2
+    hexadecimal: float = 2.94  # of either case
+    base32: float = 3.4
+    one_case_digits: float = 3.48
+    alphanumeric: float = 3.68  # both cases and digits
     one_case: float = 9.0  # words
-    mixed: float = 3.9  # letters of either case with digits
+    mixed: float = 3.9  # letters of either case with digits, beside +/_=-, or with digits that don't stand apart
     allow: tuple[str, ...] = ALLOW
 
-    def threshold(self, n_digit: int, n_hexletter: int, n_lower: int, n_upper: int) -> float:
-        """The threshold of the narrowest class that holds a window with these counts."""
+    def threshold(self, n_digit: int, n_hexletter: int, n_lower: int, n_upper: int, n_hexupper: int = 0, n_not32: int = 0, turns: int = 0) -> float:
+        """The threshold of the narrowest class that holds a window with these counts; ``n_not32`` are digits that base32
+        lacks, ``turns`` changes between a digit and another character."""
         if not n_digit:
             return self.one_case
         if n_digit == self.window:
             return self.digits
-        if n_digit + n_hexletter == self.window:
+        if n_digit + n_hexletter + n_hexupper == self.window:
             return self.hexadecimal
+        if n_digit >= 2 and turns >= 3 and n_digit + n_lower + n_upper == self.window:
+            if n_lower and n_upper:
+                return self.alphanumeric
+            return self.one_case_digits if n_not32 else self.base32
         if n_lower and n_upper:
             return self.mixed
         return self.mixed if n_digit * 5 >= self.window else self.one_case
@@ -90,24 +102,22 @@ def hot_windows(s: str, rule: EntropyRule) -> list[tuple[int, int]]:
     if len(s) < w:
         return out
     counts: dict[str, int] = {}
-    total, kinds = 0.0, [0, 0, 0, 0]
+    total, kinds = 0.0, [0] * 7
     for i, ch in enumerate(s):
         c = counts.get(ch, 0)
         total += _CLOGC[c + 1] - _CLOGC[c]
         counts[ch] = c + 1
-        kinds[0] += ch in _DIGIT
-        kinds[1] += ch in "abcdef"
-        kinds[2] += ch in _LOWER
-        kinds[3] += ch in _UPPER
+        for k, chars in enumerate(_CLASSES):
+            kinds[k] += ch in chars
+        kinds[6] += i > 0 and (ch in _DIGIT) != (s[i - 1] in _DIGIT)
         if i >= w:
             old = s[i - w]
             c = counts[old]
             total += _CLOGC[c - 1] - _CLOGC[c]
             counts[old] = c - 1
-            kinds[0] -= old in _DIGIT
-            kinds[1] -= old in "abcdef"
-            kinds[2] -= old in _LOWER
-            kinds[3] -= old in _UPPER
+            for k, chars in enumerate(_CLASSES):
+                kinds[k] -= old in chars
+            kinds[6] -= (old in _DIGIT) != (s[i - w + 1] in _DIGIT)
         if i >= w - 1 and math.log2(w) - total / w >= rule.threshold(*kinds) - 1e-9:
             a, b = i - w + 1, i + 1
             if out and out[-1][1] >= a:
