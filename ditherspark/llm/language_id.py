@@ -3,7 +3,9 @@
 For each language the n-grams that are typical of it go into a Bloom filter; the filters of all languages are stored
 bit-sliced, one row of language bits per position, so the AND of an n-gram's rows names every language that contains it
 in one lookup. A text's set bits are counted per language, each count is corrected for its filter's false positives,
-and the language with the largest corrected count is the answer. Its score is its lead, 1 - second/best.
+and the language with the largest corrected count is the answer. Its score is its lead, 1 - second/best. Where only one
+language was learned there is none to lead: its filter holds all its n-grams, and the score is the share of the text's
+n-grams that it has.
 
 The n-grams are those of the lower-cased text's bytes with everything but letters blanked, of the orders ``orders``. A
 language contains an n-gram if its share there is at least ``least`` and no less than a ``ratio``-th of its largest
@@ -115,7 +117,7 @@ def fit(docs: DataFrame, rule: FilterRule = FilterRule()) -> Filters | None:
     shares = counts.withColumn("o", order).join(F.broadcast(totals), ["lang", "o"]).select("lang", "gram", (F.col("n") / F.col("total")).alias("p"))
     most = shares.groupBy("gram").agg(F.max("p").alias("most"), F.collect_list(F.struct("lang", "p")).alias("of")).where(F.col("most") >= rule.least)
     has = F.filter("of", lambda x: (x["p"] >= rule.least) & (x["p"] * rule.ratio >= F.col("most")))
-    table = most.select("gram", F.transform(has, lambda x: x["lang"]).alias("langs")).where(F.size("langs") < len(languages)).toArrow()
+    table = most.select("gram", F.transform(has, lambda x: x["lang"]).alias("langs")).where(F.size("langs") < max(2, len(languages))).toArrow()
     grams = table["gram"].combine_chunks().to_numpy(zero_copy_only=False).view(np.uint64)
     held = table["langs"].combine_chunks()
     row = np.repeat(np.arange(len(grams)), pc.list_value_length(held).to_numpy(zero_copy_only=False))
@@ -158,11 +160,11 @@ def predict_batch(texts: pa.Array, model: Filters | None) -> tuple[list[str], np
     letters = np.array([t is not None and _LETTER.search(t) is not None for t in texts.to_pylist()], bool)
     if model is None or not len(letters):
         return ["und"] * len(letters), np.zeros(len(letters))
-    count, _ = counted(texts, model)
+    count, grams = counted(texts, model)
     best = count.argmax(axis=1)
     top = count.max(axis=1)
-    second = np.partition(count, -2, axis=1)[:, -2] if count.shape[1] > 1 else np.zeros(len(count))
-    score = np.where((top > 0) & letters, 1 - second / np.where(top > 0, top, 1), 0.0)
+    lead = 1 - np.partition(count, -2, axis=1)[:, -2] / np.where(top > 0, top, 1) if count.shape[1] > 1 else top / np.maximum(1, grams)
+    score = np.where((top > 0) & letters, lead, 0.0)
     return [model.languages[b] if ok else "und" for b, ok in zip(best, letters, strict=True)], score
 
 
