@@ -20,12 +20,15 @@ SPACE_LUT[list(SPACES)] = True
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """A new path below ``spark.checkpoint.dir``; where that is unset (tests), one below /tmp is set."""
+    """A new path below ``spark.checkpoint.dir``; where that is unset, one below /tmp is set for a
+    single machine (tests), and a cluster is refused."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         jsc = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = jsc.get() if jsc.isDefined() else None
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all machines see")
         base = "file:///tmp/checkpoints"
         spark.sparkContext.setCheckpointDir(base)
     return f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}"
@@ -43,6 +46,25 @@ def written(df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def free_name(df: DataFrame, base: str) -> str:
+    """A column name that ``df`` does not have."""
+    taken = {c.lower() for c in df.columns}
+    while base.lower() in taken:
+        base += "_"
+    return base
+
+
+def row_hash(df: DataFrame):
+    """A hash of all columns of a row; maps, which Spark doesn't hash, are left out."""
+    from pyspark.sql.types import ArrayType, MapType, StructType
+
+    def has_map(t) -> bool:
+        inner = [t.elementType] if isinstance(t, ArrayType) else [f.dataType for f in t.fields] if isinstance(t, StructType) else []
+        return isinstance(t, MapType) or any(map(has_map, inner))
+
+    return F.xxhash64(*[F.col(f"`{f.name.replace('`', '``')}`") for f in df.schema if not has_map(f.dataType)])
+
+
 def doc_crc(col: str = "doc_id"):
     """crc32 of the id as text, which fixes folds."""
     return F.crc32(F.col(col).cast("string").cast("binary"))

@@ -1,23 +1,24 @@
-"""Near copies by exact similarity of shingle sets: every pair of texts whose Jaccard similarity is ``least`` or more.
+"""Operator 2's stage for near copies: exact Jaccard similarity of shingle sets of ``least`` or more, never less.
 
-Each text is the set of its shingles' 64-bit hashes. All sets are put in one order, common shingles last, so two sets of
-the required similarity share one of the first n - ceil(least*n) + 1 shingles of each. Those are the join keys. A pair
-goes on if the sizes and the places of the key still allow the similarity; then the whole sets are compared. Links of
-operator 2 are candidates too. Candidates of either kind count only if the comparison confirms them.
+Each text is the set of its shingles' 64-bit hashes, with operator 2's majority fingerprint of that set. Two sources
+give candidates: fingerprints that pigeonring chains link, and shared rare shingles. For the latter all sets are put in
+one order, common shingles last, so two sets of the required similarity share one of the first
+n - ceil(least*n) + 1 shingles of each. Such a pair goes on if the sizes, the places of the shingle and the distance of
+the fingerprints (``near_bits``) still allow the similarity; then the whole sets are compared, which alone decides.
+At similarity 0.8 fingerprints differ in 10 of 64 bits, with a deviation of 3, so 28 loses a pair in some 10^9.
 
 How common a shingle is comes from a sample (``sample_docs``). It only orders the keys: the result is the same for
 any sample. A key that more than ``wide_key`` sets share is not joined with itself: its members are compared with
-one of them, and those that are then in another component than most members of the key with all of them. So every pair
-that is left out is already connected.
+its centre, the member whose shingles are the commonest, and those that are then in another component than most
+members of the key with all of them. Where these would be many pairs, further centres are taken first, so that what is
+left falls into few components. So every pair that is left out is already connected.
 
-Equal sets are one row here, so copies cost nothing. Texts without words have the empty set and are alike. Two sets
-count as equal if the sums of their hashes modulo 2**64 are.
+Equal sets are one row here, and a task hands on each set once, so copies cost nothing. Texts without words have the
+empty set and are alike. Two sets count as equal if their sizes and the sums of their hashes modulo 2**64 are.
 """
 
 from __future__ import annotations
 
-import math
-
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -25,19 +26,44 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ditherspark.llm import simhash
-from ditherspark.llm.common import mapped, written
-
-SAMPLE_DOCS, MOST_COMMON = 20_000, 200_000
-
-
-def shingles(text: str | None, shingle: int) -> np.ndarray:
-    """The hashes of the text's different shingles, ascending; those of operator 2."""
-    w = (text or "").encode().lower().split()
-    if not w:
-        return np.zeros(0, np.uint64)
-    parts = {b" ".join(w)} if len(w) < shingle else set(map(b" ".join, zip(*(w[i:] for i in range(shingle)), strict=False)))
-    h = xxhash.xxh64_intdigest
-    return np.unique(np.fromiter((h(s, simhash.SEED) for s in parts), np.uint64, len(parts)))
+from ditherspark.llm.common import buffers, free_name, mapped, row_hash, sliced, words, written
+
+SAMPLE_DOCS, MOST_COMMON = 8_000, 200_000
+#: Fingerprint bits in which sets of the similarity may differ, and sets that a task remembers to have handed on.
+NEAR_BITS, SEEN_SETS = 28, 1_000_000
+#: Pairs of a last join, beyond which further centres are tried first, and how many times.
+MANY_PAIRS, MORE_CENTRES = 20_000_000, 6
+_ODD = np.uint64(0x9E3779B97F4A7C15)
+_MIX = np.uint64(0xD6E8FEB86659FD93)
+
+
+def _mixed(h: np.ndarray) -> np.ndarray:
+    h = (h ^ (h >> np.uint64(32))) * _MIX
+    return h ^ (h >> np.uint64(29))
+
+
+def shingle_hashes(texts: pa.Array, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all shingles of all texts, repeats included, and the row of each. Fewer words are one shingle."""
+    found, n = words(*buffers(texts))
+    coded = found.dictionary_encode()
+    own = np.fromiter(map(xxhash.xxh64_intdigest, coded.dictionary.to_pylist()), np.uint64, len(coded.dictionary))
+    word = own[coded.indices.to_numpy(zero_copy_only=False)] if len(own) else np.zeros(0, np.uint64)
+    end = np.cumsum(n)
+    many = np.where(n > 0, np.maximum(n - shingle + 1, 1), 0)
+    row = np.repeat(np.arange(len(n)), many)
+    if not len(row):
+        return np.zeros(0, np.uint64), row
+    at = np.arange(len(row)) - np.repeat(np.cumsum(many) - many, many) + (end - n)[row]
+    wide, rolled = np.concatenate([word, np.zeros(shingle, np.uint64)]), np.zeros(len(word), np.uint64)
+    for j in range(shingle):
+        rolled = rolled * _ODD + wide[j : j + len(word)]
+    out = rolled[at]
+    short = np.flatnonzero((n > 0) & (n < shingle))  # their one shingle must not reach into the next text
+    begin, total = (end - n)[short], np.zeros(len(short), np.uint64)
+    for j in range(shingle - 1):
+        total = np.where(j < n[short], total * _ODD + wide[begin + j], total)
+    out[np.searchsorted(row, short)] = total
+    return _mixed(out), row
 
 
 def common_shingles(docs: DataFrame, shingle: int, sample_docs: int = SAMPLE_DOCS, most: int = MOST_COMMON) -> tuple[np.ndarray, np.ndarray]:
@@ -45,57 +71,94 @@ def common_shingles(docs: DataFrame, shingle: int, sample_docs: int = SAMPLE_DOC
 
     def kernel():
         def step(batch):
-            grams = [shingles(t.as_py(), shingle) for t in batch["text"]]
-            return pa.RecordBatch.from_arrays([pa.array(np.concatenate(grams).view(np.int64))], ["gram"])
+            h, row = shingle_hashes(batch["text"], shingle)
+            order = np.lexsort((row, h))
+            h, row = h[order], row[order]
+            new = np.ones(len(h), bool)
+            new[1:] = (h[1:] != h[:-1]) | (row[1:] != row[:-1])
+            grams, n = np.unique(h[new], return_counts=True)
+            return pa.RecordBatch.from_arrays([pa.array(grams.view(np.int64)), pa.array(n)], ["gram", "n"])
 
         return step
 
     share = min(1.0, sample_docs / max(1, docs.count()))
     sample = docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < share * (1 << 20)).select("text")
-    found = mapped(sample, kernel, "gram bigint").groupBy("gram").agg(F.count("*").alias("n")).where("n > 2").orderBy(F.desc("n"), "gram").limit(most).toArrow()
+    found = mapped(sample, kernel, "gram bigint, n bigint").groupBy("gram").agg(F.sum("n").alias("n")).where("n > 2").orderBy(F.desc("n"), "gram").limit(most).toArrow()
     grams = found["gram"].to_numpy().view(np.uint64)
     order = np.argsort(grams)
     return grams[order], found["n"].to_numpy()[order]
 
 
+def _by_row(flags: np.ndarray, row: np.ndarray, rows: int) -> np.ndarray:
+    return np.bincount(row, flags, rows).astype(np.int64)
+
+
 def sets(docs: DataFrame, shingle: int, least: float, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """(doc_id, fp, sid, n, prefix, grams): operator 2's fingerprint, the set, its number and its keys in the common order."""
+    """(doc_id, row, fp, sid, n, weight, prefix, grams): the set's fingerprint, number, size, how common its shingles are,
+    its keys in the common order, and all of it. A task gives the last two once for each set."""
     held = docs.sparkSession.sparkContext.broadcast(common)
+    lists = pa.list_(pa.int64())
 
-    def kernel():
+    def run(batches):
         grams, count = held.value
-
-        def step(batch):
-            fps, sids, sizes, prefix, whole = [], [], [], [], []
-            for t in batch["text"]:
-                g = shingles(t.as_py(), shingle)
-                rank = np.zeros(len(g), np.int64)
-                if len(grams):
-                    at = np.minimum(np.searchsorted(grams, g), len(grams) - 1)
-                    rank = np.where(grams[at] == g, count[at], 0)
-                first = np.lexsort((g, rank))[: len(g) - math.ceil(least * len(g) - 1e-9) + 1]
-                fps.append(simhash.fingerprint_of(t.as_py(), shingle))
-                sids.append(g.sum(dtype=np.uint64))
-                sizes.append(len(g))
-                prefix.append(g[first].view(np.int64))
-                whole.append(g.view(np.int64))
-            as_long = lambda x: pa.array(np.array(x, np.uint64).view(np.int64))
-            lists = pa.list_(pa.int64())
-            return pa.RecordBatch.from_arrays([batch["doc_id"], as_long(fps), as_long(sids), pa.array(sizes, pa.int32()), pa.array(prefix, lists), pa.array(whole, lists)], ["doc_id", "fp", "sid", "n", "prefix", "grams"])
-
-        return step
-
-    kind = dict(docs.dtypes)["doc_id"]
-    return mapped(docs.select("doc_id", "text"), kernel, f"doc_id {kind}, fp bigint, sid bigint, n int, prefix array<bigint>, grams array<bigint>")
+        seen: set[int] = set()
+        for batch in batches:
+            for part in sliced(batch):
+                yield one(part, grams, count, seen)
+
+    def one(batch, grams, count, seen):
+        rows = batch.num_rows
+        h, row = shingle_hashes(batch["text"], shingle)
+        rank = np.zeros(len(h), np.int64)
+        if len(grams) and len(h):
+            at = np.minimum(np.searchsorted(grams, h), len(grams) - 1)
+            rank = np.where(grams[at] == h, count[at], 0)
+        order = np.lexsort((h, (row << 32) + rank))
+        h, row, rank = h[order], row[order], rank[order]
+        new = np.ones(len(h), bool)
+        new[1:] = (h[1:] != h[:-1]) | (row[1:] != row[:-1])
+        h, row, rank = h[new], row[new], rank[new]
+        n = np.bincount(row, minlength=rows)
+        edge = np.concatenate([[0], np.cumsum(n)])
+        full = np.flatnonzero(n)
+        sid, fp = np.zeros(rows, np.uint64), np.zeros(rows, np.uint64)
+        if len(full):
+            sid[full] = _mixed(np.add.reduceat(h, edge[full]) + n[full].astype(np.uint64) * _ODD)
+            fp[full] = simhash.majorities(h, n[full])
+        weight = _by_row(rank, row, rows) / np.maximum(1, n)
+        first = np.where(n > 0, n - np.ceil(least * n - 1e-9).astype(np.int64) + 1, 0)
+        here = np.zeros(rows, bool)
+        for i, s in enumerate(sid.tolist()):
+            if s not in seen:
+                if len(seen) >= SEEN_SETS:
+                    seen.clear()
+                seen.add(s)
+                here[i] = True
+        signed = h.view(np.int64)
+        off = lambda size: pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32))
+        keep = here[row]
+        inner = np.arange(len(h)) - edge[row]
+        prefix = pa.ListArray.from_arrays(off(np.where(here, first, 0)), pa.array(signed[keep & (inner < first[row])]))
+        whole = pa.ListArray.from_arrays(off(np.where(here, n, 0)), pa.array(signed[keep]))
+        cols = [batch["doc_id"], batch["row"], pa.array(fp.view(np.int64)), pa.array(sid.view(np.int64)), pa.array(n.astype(np.int32)), pa.array(weight), prefix.cast(lists), whole.cast(lists)]
+        return pa.RecordBatch.from_arrays(cols, ["doc_id", "row", "fp", "sid", "n", "weight", "prefix", "grams"])
+
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    return docs.select("doc_id", "row", "text").mapInArrow(run, f"doc_id {kind}, row bigint, fp bigint, sid bigint, n int, weight double, prefix array<bigint>, grams array<bigint>")
+
+
+def _allowed(least: float) -> str:
+    """Sizes and places of the common key, and fingerprints: if the key is the first shingle that both sets have, what
+    both can share is it and what follows it."""
+    needed = f"{least} / (1 + {least}) * (a_n + b_n) - 1e-6"
+    return f"a_sid <> b_sid AND least(a_n - a_at, b_n - b_at) >= {needed} AND bit_count(a_fp ^ b_fp) <= {NEAR_BITS}"
 
 
 def _paired(a: DataFrame, b: DataFrame, least: float) -> DataFrame:
-    """(u, v, key parts) of the rows of ``a`` and ``b`` that share a key, where sizes and places allow the similarity: if
-    the key is the first shingle that both have, what both can share is it and what follows it."""
+    """The rows of ``a`` and ``b`` that share a key and may be alike."""
     a = a.select("key", *[F.col(c).alias(f"a_{c}") for c in a.columns if c != "key"])
     b = b.select("key", *[F.col(c).alias(f"b_{c}") for c in b.columns if c != "key"])
-    needed = F.expr(f"{least} / (1 + {least}) * (a_n + b_n) - 1e-6")
-    return a.join(b, "key").where((F.least(F.col("a_n") - F.col("a_at"), F.col("b_n") - F.col("b_at")) >= needed) & (F.col("a_sid") != F.col("b_sid")))
+    return a.join(b, "key").where(_allowed(least))
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
@@ -105,49 +168,66 @@ def _ordered(pairs: DataFrame) -> DataFrame:
 def alike(pairs: DataFrame, whole: DataFrame, least: float) -> DataFrame:
     """The (u, v) of ``pairs`` whose whole sets have the similarity, stored."""
     pairs = written(pairs.distinct(), "candidates")
-    asked = pairs.select(F.col("u").alias("sid")).union(pairs.select(F.col("v").alias("sid"))).distinct()
-    grams = whole.select("sid", "grams").join(asked, "sid", "left_semi").dropDuplicates(["sid"])
+    asked = pairs.select(F.explode(F.array("u", "v")).alias("sid")).distinct()
+    grams = whole.where("n > 0 AND size(grams) > 0").select("sid", "grams").join(asked, "sid", "left_semi").dropDuplicates(["sid"])
     grams = written(grams, "asked")
     both = pairs.join(grams.select(F.col("sid").alias("u"), F.col("grams").alias("gu")), "u").join(grams.select(F.col("sid").alias("v"), F.col("grams").alias("gv")), "v")
     shared, total = F.size(F.array_intersect("gu", "gv")), F.size("gu") + F.size("gv")
     return written(both.where(shared >= least * (total - shared) - 1e-6).select("u", "v"), "alike")
 
 
+def _crowd(placed: DataFrame, roots: DataFrame) -> tuple[DataFrame, DataFrame, int]:
+    """(members of wide keys with their present component, those outside their key's main component, pairs left)."""
+    now = written(placed.drop("root").join(roots.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid")), "placed")
+    most = now.groupBy("key", "root").agg(F.count("*").alias("c")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.sum("c").alias("all"))
+    rest = written(now.join(most, "key").where("root <> main AND NOT done").drop("main", "done"), "rest")
+    return now, rest, int(rest.agg(F.sum("all")).first()[0] or 0)
+
+
 def links(whole: DataFrame, least: float, wide_key: int = simhash.WIDE_KEY) -> DataFrame:
     """(node, root) over the sets of ``whole`` that have a similar one."""
-    keys = written(whole.select("sid", "n", F.posexplode("prefix").alias("at", "key")).distinct(), "keys")
-    sizes = keys.groupBy("key").agg(F.count("*").alias("many"), F.min("sid").alias("centre")).where("many > 1")
-    shared = written(keys.join(sizes, "key"), "shared")
-    plain = ["key", "sid", "n", "at"]
+    keys = whole.select("sid", "n", "fp", "weight", F.posexplode("prefix").alias("at", "key"))
+    sizes = keys.groupBy("key").agg(F.count("*").alias("many"), F.min("sid").alias("lo"), F.max("sid").alias("hi"), F.max(F.struct("weight", "sid"))["sid"].alias("centre")).where("lo <> hi")
+    shared = written(keys.join(sizes.drop("lo", "hi"), "key").distinct(), "shared")
+    plain = ["key", "sid", "n", "at", "fp"]
     narrow = shared.where(F.col("many") <= wide_key).select(plain)
     wide = shared.where(F.col("many") > wide_key)
     found = _ordered(_paired(narrow, narrow, least).where("a_sid < b_sid"))
-    stars = wide.where("sid <> centre").select(F.least("sid", "centre").alias("u"), F.greatest("sid", "centre").alias("v"))
+    stars = _ordered(wide.where("sid <> centre").select(F.col("sid").alias("a_sid"), F.col("centre").alias("b_sid")))
     # operator 2's links, between one set of each fingerprint, and from it to the others of the fingerprint
-    of = whole.groupBy("fp").agg(F.min("sid").alias("one"))
+    of = whole.where("n > 0").groupBy("fp").agg(F.min("sid").alias("one"), F.max("sid").alias("last"))
     near = simhash.links(of.select("fp"))
     near = near.join(of.select(F.col("fp").alias("u"), F.col("one").alias("a_sid")), "u").join(of.select(F.col("fp").alias("v"), F.col("one").alias("b_sid")), "v")
-    same = whole.select("fp", "sid").distinct().join(of, "fp").where("sid <> one").select(F.col("sid").alias("a_sid"), F.col("one").alias("b_sid"))
+    same = whole.select("fp", "sid").join(of.where("one <> last"), "fp").where("sid <> one").select(F.col("sid").alias("a_sid"), F.col("one").alias("b_sid"))
     edges = alike(found.union(stars).union(_ordered(near)).union(_ordered(same)), whole, least)
-    if wide.isEmpty():
-        return simhash.components(edges)
     roots = written(simhash.components(edges), "roots")
-    placed = wide.select(plain).join(roots.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
-    placed = written(placed, "placed")
-    most = placed.groupBy("key", "root").agg(F.count("*").alias("c")).groupBy("key").agg(F.max_by("root", "c").alias("main"))
-    rest = placed.join(most, "key").where("root <> main").drop("main")
-    more = alike(_ordered(_paired(rest, placed, least).where("a_root <> b_root")), whole, least)
+    if wide.isEmpty():
+        return roots
+    placed = wide.select(*plain, "weight", F.col("sid").alias("root"), (F.col("sid") == F.col("centre")).alias("done"))
+    for _ in range(MORE_CENTRES):
+        placed, rest, pairs = _crowd(placed, roots)
+        if not pairs:
+            return roots
+        if pairs <= MANY_PAIRS:
+            break
+        centres = written(rest.groupBy("key").agg(F.max(F.struct("weight", "sid", "n", "at", "fp", "root")).alias("c")).select("key", "c.*"), "centres")
+        more = alike(_ordered(_paired(centres.drop("weight"), placed.drop("weight", "done"), least).where("a_root <> b_root")), whole, least)
+        placed = placed.join(centres.select("key", "sid", F.lit(True).alias("was")), ["key", "sid"], "left").withColumn("done", F.col("done") | F.coalesce("was", F.lit(False))).drop("was")
+        edges = edges.union(more)
+        roots = written(simhash.components(edges), "roots")
+    else:
+        placed, rest, pairs = _crowd(placed, roots)
+    more = alike(_ordered(_paired(rest.drop("weight", "all"), placed.drop("weight", "done"), least).where("a_root <> b_root")), whole, least)
     return roots if more.isEmpty() else simhash.components(edges.union(more))
 
 
 def one_of_each(docs: DataFrame, shingle: int = 5, least: float = 0.8, wide_key: int = simhash.WIDE_KEY) -> DataFrame:
-    """``docs``, all columns, with the smallest id of each group that is connected by similarities of ``least`` or more;
-    of rows that repeat this id, one stays. Rows without an id can't be told apart by it and all stay."""
-    named = docs.where("doc_id IS NOT NULL")
-    whole = written(sets(named, shingle, least, common_shingles(named, shingle)), "sets")
-    own = whole.groupBy("sid").agg(F.min("doc_id").alias("least_id"))
+    """``docs``, all columns, with one row of each group that is connected by similarities of ``least`` or more: that with
+    the smallest id, of rows with one id that with the smallest hash of all columns. Rows that repeat an id with another
+    text are rows of their own. Rows without an id can't be ordered by it and all stay. Texts are not shuffled where the
+    rows that go are few enough to be broadcast."""
+    row = free_name(docs, "lm_row")
+    src = docs.select("doc_id", row_hash(docs).alias("row"), F.col("text").cast("string").alias("text")).where("doc_id IS NOT NULL")
+    whole = written(sets(src, shingle, least, common_shingles(src, shingle)), "sets")
     roots = links(whole, least, wide_key).withColumnRenamed("node", "sid")
-    grouped = own.join(roots, "sid", "left").groupBy(F.coalesce("root", "sid").alias("root")).agg(F.min("least_id").alias("doc_id"))
-    kept = written(grouped.select("doc_id").distinct(), "kept")
-    first = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
-    return first.union(docs.where("doc_id IS NULL"))
+    return simhash.keep_least(docs, row, whole.select("sid", "doc_id", "row"), roots, "sid")

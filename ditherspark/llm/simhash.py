@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
-from ditherspark.llm.common import mapped, written
+from ditherspark.llm.common import free_name, mapped, row_hash, written
 
 SEED, BITS = 42, 64
 #: A key shared by more fingerprints than this takes the linear way instead of the join.
@@ -58,6 +58,17 @@ def _majority(hashes: np.ndarray) -> int:
     return int(np.packbits(2 * count.astype(np.int64) > n, bitorder="little").view(np.uint64)[0])
 
 
+def majorities(hashes: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """The same for many texts at once: ``counts`` hashes each, none of them zero."""
+    first = np.cumsum(counts) - counts
+    parts = -(-counts // 255)
+    inner = np.arange(parts.sum()) - np.repeat(np.cumsum(parts) - parts, parts)
+    octets = _SPREAD[hashes.view(np.uint8).reshape(-1, 8)]
+    lanes = np.add.reduceat(octets, np.repeat(first, parts) + 255 * inner, axis=0).view(np.uint8).reshape(-1, 64)
+    ones = np.add.reduceat(lanes, np.cumsum(parts) - parts, axis=0, dtype=np.int64)
+    return np.packbits(2 * ones > counts[:, None], axis=1, bitorder="little").view(np.uint64)[:, 0]
+
+
 def fingerprints(docs: DataFrame, shingle: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, fp): the fingerprint as a signed long with the same bits."""
 
@@ -169,10 +180,32 @@ def digest(docs: DataFrame) -> DataFrame:
     return near_duplicates(docs).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def keep_least(docs: DataFrame, row: str, rows: DataFrame, roots: DataFrame, of: str) -> DataFrame:
+    """``docs`` without the ``rows`` (``of``, doc_id, row: a hash of the row) that are not the least of their group;
+    ``roots`` (``of``, root) joins groups. Identical rows are one. What goes is found among ids and hashes alone, so the
+    documents are shuffled only where the rows that go are too many to be broadcast."""
+    ids = written(rows.groupBy(of, "doc_id", "row").agg(F.count("*").alias("times")), "ids")
+    own = ids.groupBy(of).agg(F.min(F.struct("doc_id", "row")).alias("least"))
+    kept = own.join(roots, of, "left").groupBy(F.coalesce("root", of).alias("root")).agg(F.min("least").alias("least"))
+    kept = written(kept.select("least.*"), "kept")
+    gone = written(ids.join(kept, ["doc_id", "row"], "left_anti").select("doc_id", "row"), "gone")
+    again = written(ids.where("times > 1").join(kept, ["doc_id", "row"], "left_semi").select("doc_id", "row"), "again")
+    marked = docs.withColumn(row, row_hash(docs))
+    same = lambda other: marked["doc_id"].eqNullSafe(other["doc_id"]) & (marked[row] == other["row"])
+    out = marked.join(gone, same(gone), "left_anti")
+    if again.isEmpty():
+        return out.select(docs.columns)
+    once = marked.join(again, same(again), "left_semi").dropDuplicates(["doc_id", row])
+    return out.join(again, same(again), "left_anti").union(once).select(docs.columns)
+
+
 def one_of_each(docs: DataFrame, shingle: int = 3) -> DataFrame:
-    """``docs``, all columns, with the smallest id of each component; of rows that repeat this id, one stays.
-    Rows without an id can't be told apart by it and all stay."""
-    _, named = classes(docs, shingle)
-    kept = named.select(F.col("component_id").alias("doc_id")).distinct()
-    first = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
-    return first.union(docs.where("doc_id IS NULL"))
+    """``docs``, all columns, with one row of each component: that with the smallest id, of rows with one id that with the
+    smallest hash of all columns. Rows that repeat an id with another text are rows of their own, identical rows are one.
+    Rows without an id can't be ordered by it and all stay."""
+    row = free_name(docs, "lm_row")
+    src = docs.select("doc_id", row_hash(docs).alias("row"), "text").where("doc_id IS NOT NULL")
+    fps = written(fingerprints(src.withColumn("key", F.struct("doc_id", "row")), shingle, "key"), "fingerprints")
+    distinct = written(fps.select("fp").distinct(), "distinct")
+    roots = components(links(distinct)).withColumnRenamed("node", "fp")
+    return keep_least(docs, row, fps.select("fp", "key.doc_id", "key.row"), roots, "fp")

@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 import corpus_pipeline as C
-from ditherspark.llm import near_copies
+from ditherspark.llm import near_copies, simhash
 
 
 def planted(g, n_words=200):
@@ -79,3 +79,27 @@ def test_odd_rows(spark, odd, none):
     assert near_copies.one_of_each(odd).columns == odd.columns and near_copies.one_of_each(none).count() == 0
     df = spark.createDataFrame([(None, "a b c"), (None, None), (7, "one two"), (7, "one two"), (8, "ONE two"), (3, None), (4, "")], "doc_id long, text string")
     assert sorted(r.doc_id or 0 for r in near_copies.one_of_each(df).collect()) == [0, 0, 3, 7]
+
+
+def test_repeated_ids_with_other_texts_are_rows_of_their_own(spark):
+    a, b = "one two three four five six seven eight", "nothing in here is like the other text at all"
+    for one in (near_copies.one_of_each, simhash.one_of_each):
+        for rows, want in (([(5, a), (7, a), (7, b)], [(5, a), (7, b)]), ([(7, a), (7, b)], [(7, a), (7, b)]), ([(7, a), (7, a), (3, b), (3, b)], [(3, b), (7, a)])):
+            got = one(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+            assert sorted((r.doc_id, r.text) for r in got) == sorted(want)
+    clash = spark.createDataFrame([(1, a, 2), (1, a, 3), (2, a, 1)], "doc_id long, text string, lm_row int")
+    assert [(r.doc_id, len(r)) for r in near_copies.one_of_each(clash).collect()] == [(1, 3)]
+
+
+def test_crowded_keys_without_a_common_centre(spark):
+    """Texts that share a rare passage but are unlike, and groups among them; further centres are taken first."""
+    g = np.random.default_rng(15)
+    shared = planted(g, 120)
+    rows = [shared + planted(g, 90) for _ in range(60)]
+    rows += [changed(rows[i], g, 3) for i in range(0, 60, 2)] + [changed(rows[i], g, 2) for i in range(0, 60, 4)]
+    df = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(rows)], "doc_id long, text string")
+    near_copies.MANY_PAIRS, kept = 10, near_copies.MANY_PAIRS
+    try:
+        assert ids(near_copies.one_of_each(df, wide_key=2)) == kept_of(rows)
+    finally:
+        near_copies.MANY_PAIRS = kept

@@ -3,8 +3,32 @@
 import numpy as np
 
 import corpus_pipeline as C
-from ditherspark.llm import language_id, quality, secret_scan, simhash  # isort: skip
-from test_operators import linked
+from ditherspark.llm import language_id, quality, secret_scan
+from test_operators import LOWER, WORD
+
+
+def shingle_set(text):
+    w = WORD.findall((text or "").translate(LOWER))
+    return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+
+def grouped(sets):
+    """The smallest id of each group that similarities of 0.8 or more connect."""
+    root = {k: k for k in sets}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    keys = sorted(sets)
+    for i, a in enumerate(keys):
+        for b in keys[:i]:
+            x, y = sets[a], sets[b]
+            if x == y or (min(len(x), len(y)) >= 0.8 * max(len(x), len(y)) and len(x & y) >= 0.8 * len(x | y)):
+                p, q = find(a), find(b)
+                root[max(p, q)] = min(p, q)
+    return {k: find(k) for k in keys}
 
 
 def test_stages(spark, sf):
@@ -26,8 +50,8 @@ def test_stages(spark, sf):
     # quality, judged on what the stage got
     kept = {r.doc_id for r in quality.digest(seen["language_id"], labels).collect() if r.kept}
     assert set(ids["quality_rules"]) == kept and kept < want
-    # near duplicates over five-word shingles
-    root = linked({d: simhash.fingerprint_of(before[d].text, 5) for d in kept})
+    # near duplicates: all pairs of five-word shingle sets compared
+    root = grouped({d: shingle_set(before[d].text) for d in kept})
     assert sorted(ids["simhash_near_dedup"]) == sorted(set(root.values()))
     # secrets
     for r in seen["secret_scan"].collect():
