@@ -29,9 +29,9 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ditherspark.llm.common import buffers, doc_crc, mapped
+from ditherspark.llm.common import buffers, doc_crc, free_name, mapped
 
-_LETTER = re.compile(r"[^\W\d_]")
+_WORDLIKE = re.compile(r"[^\W\d_]")  # letters, and numbers such as fractions or circled digits
 _BLANK = np.arange(256, dtype=np.uint8)
 _BLANK[[b for b in range(128) if not chr(b).isalpha()]] = 32
 _MULTIPLY = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5], np.uint64)
@@ -65,7 +65,7 @@ def _grams(data: np.ndarray, order: int) -> np.ndarray:
     """The n-gram at each byte as a number; those that run over the end are zero-filled."""
     out = np.zeros(len(data), np.uint64)
     for k in range(order):
-        out[: len(data) - k] |= data[k:].astype(np.uint64) << np.uint64(8 * k)
+        out[: max(0, len(data) - k)] |= data[k:].astype(np.uint64) << np.uint64(8 * k)
     return out | np.uint64(order << 56)
 
 
@@ -155,9 +155,14 @@ def counted(texts: pa.Array, model: Filters) -> tuple[np.ndarray, np.ndarray]:
     return np.maximum(0, (hits - total[:, None] * fp) / (1 - fp)), total
 
 
+def has_letter(text: str | None) -> bool:
+    """Whether a character of ``text`` is a letter (any Unicode category L)."""
+    return text is not None and any(m[0].isalpha() for m in _WORDLIKE.finditer(text))
+
+
 def predict_batch(texts: pa.Array, model: Filters | None) -> tuple[list[str], np.ndarray]:
     """Language and score of each text."""
-    letters = np.array([t is not None and _LETTER.search(t) is not None for t in texts.to_pylist()], bool)
+    letters = np.array([has_letter(t) for t in texts.to_pylist()], bool)
     if model is None or not len(letters):
         return ["und"] * len(letters), np.zeros(len(letters))
     count, grams = counted(texts, model)
@@ -168,8 +173,8 @@ def predict_batch(texts: pa.Array, model: Filters | None) -> tuple[list[str], np
     return [model.languages[b] if ok else "und" for b, ok in zip(best, letters, strict=True)], score
 
 
-def predict(docs: DataFrame, model: Filters | None) -> DataFrame:
-    """``docs``, all columns, with ``__lm_lang`` and ``__lm_score``."""
+def predict(docs: DataFrame, model: Filters | None, names: tuple[str, str] = ("__lm_lang", "__lm_score")) -> DataFrame:
+    """``docs``, all columns, with the language and its score under ``names``."""
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     def kernel():
@@ -177,12 +182,12 @@ def predict(docs: DataFrame, model: Filters | None) -> DataFrame:
 
         def step(batch):
             lang, score = predict_batch(batch["text"], model)
-            return batch.append_column("__lm_lang", pa.array(lang, pa.string())).append_column("__lm_score", pa.array(score, pa.float64()))
+            return batch.append_column(names[0], pa.array(lang, pa.string())).append_column(names[1], pa.array(score, pa.float64()))
 
         return step
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return mapped(docs, kernel, f"{fields}, __lm_lang string, __lm_score double")
+    return mapped(docs, kernel, f"{fields}, {names[0]} string, {names[1]} double")
 
 
 def training(docs: DataFrame) -> DataFrame:
@@ -200,6 +205,7 @@ def digest(docs: DataFrame, rule: FilterRule = FilterRule()) -> DataFrame:
 def kept_only(docs: DataFrame, rule: FilterRule = FilterRule()) -> DataFrame:
     """``docs``, all columns, without those whose language is unknown, or leads by less than ``min_score`` in a text of
     ``short`` characters or more (shorter ones have too few n-grams to hold a small lead against them)."""
-    out = predict(docs, fit(training(docs), rule))
-    clear = (F.col("__lm_score") >= rule.min_score) | (F.length("text") < rule.short)
-    return out.where((F.col("__lm_lang") != "und") & clear).select(docs.columns)
+    lang, score = free_name(docs, "__lm_lang"), free_name(docs, "__lm_score")
+    out = predict(docs, fit(training(docs), rule), (lang, score))
+    clear = (F.col(score) >= rule.min_score) | (F.length("text") < rule.short)
+    return out.where((F.col(lang) != "und") & clear).select(docs.columns)

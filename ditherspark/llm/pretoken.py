@@ -16,6 +16,8 @@ from ditherspark.llm.common import SPACE_LUT, strings
 
 #: Different pieces that a worker's cache holds before it starts anew; an entry takes about 200 bytes.
 CACHE_ENTRIES = 400_000
+#: Bytes of the longest piece that a cache keeps: what it holds is bounded, and longer pieces hardly repeat.
+LONGEST = 256
 
 
 def _behind(data: np.ndarray, by: int) -> np.ndarray:
@@ -77,7 +79,9 @@ def gathered(pieces: pa.Array, counts: np.ndarray, encode, cache: dict[bytes, by
     for p in coded.dictionary.to_pylist():
         got = cache.get(p)
         if got is None:
-            got = cache[p] = encode(p)
+            got = encode(p)
+            if len(p) <= LONGEST:
+                cache[p] = got
         packed.append(got)
     lens = np.fromiter(map(len, packed), np.int64, len(packed)) >> 2
     flat = np.frombuffer(b"".join(packed), "<u4")

@@ -11,7 +11,7 @@ summed in each task first; the weights, one array of ``buckets`` numbers, come b
 Null texts count as having no words, as do empty texts and white space; they fail the base rules. With no target text
 every weight is zero and the base rules alone decide. Repeated rows are judged alike. An empty table gives an empty
 result. Labels may repeat or name unknown documents. ``kept_only`` passes all other columns on untouched; helper columns
-have names of their own (``__lm...``).
+have names that the table lacks.
 """
 
 from __future__ import annotations
@@ -21,6 +21,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ditherspark.llm.common import free_name
+
 # What separates words, and the symbols that are counted.
 SPACE = r"[\x20\x09-\x0D]"
 BLANKS = " \t\n\x0b\f\r"
@@ -111,14 +113,14 @@ def fit(docs: DataFrame, trusted: DataFrame, rule: RatioRule = RatioRule(), id_c
     return sums.select(F.transform("c", lambda x: F.when(F.col("nt") > 0, ratio(x)).otherwise(0.0)).alias("weights"))
 
 
-def judged(docs: DataFrame, weights: DataFrame, rule: RatioRule = RatioRule(), text_col: str = "text") -> DataFrame:
-    """``docs`` and ``__lm``, a struct of n_words, the base counts, llr (null without words), base_failed and kept. It is
+def judged(docs: DataFrame, weights: DataFrame, rule: RatioRule = RatioRule(), text_col: str = "text", name: str = "__lm") -> DataFrame:
+    """``docs`` and ``name``, a struct of n_words, the base counts, llr (null without words), base_failed and kept. It is
     one expression whose parts are bound inside, so a filter on it may be pushed down without computing a part twice."""
-    text = F.col(text_col)
+    text, held = F.col(text_col), free_name(docs, "__lm_weights")
 
     def measures(h: Column) -> Column:
         n = F.size(h).cast("long")
-        score = bound(_ngrams(h, rule.buckets), lambda g: F.aggregate(g, F.lit(0.0), lambda acc, b: acc + F.get("__lm_weights", b)) / F.size(g))
+        score = bound(_ngrams(h, rule.buckets), lambda g: F.aggregate(g, F.lit(0.0), lambda acc, b: acc + F.get(held, b)) / F.size(g))
         return F.struct(n.alias("n_words"), *[c.alias(k) for k, c in base_counts(text, h).items()], F.when(n > 0, score).alias("llr"))
 
     def verdict(m: Column) -> Column:
@@ -127,7 +129,7 @@ def judged(docs: DataFrame, weights: DataFrame, rule: RatioRule = RatioRule(), t
         return F.struct(*[m[k].alias(k) for k in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "llr")], failed.alias("base_failed"), kept.alias("kept"))
 
     hashes = F.transform(words(text), lambda w: F.xxhash64(w))
-    return docs.withColumn("__lm_weights", weights.scalar()).select(*docs.columns, bound(bound(hashes, measures), verdict).alias("__lm"))
+    return docs.withColumn(held, weights.scalar()).select(*docs.columns, bound(bound(hashes, measures), verdict).alias(name))
 
 
 def trusted_ids(labels: DataFrame) -> DataFrame:
@@ -144,4 +146,5 @@ def digest(docs: DataFrame, labels: DataFrame, rule: RatioRule = RatioRule()) ->
 
 def kept_only(docs: DataFrame, labels: DataFrame, rule: RatioRule = RatioRule()) -> DataFrame:
     """``docs``, all columns, without those that the rules reject."""
-    return judged(docs, fit(docs, trusted_ids(labels), rule), rule).where("__lm.kept").select(docs.columns)
+    name = free_name(docs, "__lm")
+    return judged(docs, fit(docs, trusted_ids(labels), rule), rule, name=name).where(f"{name}.kept").select(docs.columns)

@@ -1,6 +1,6 @@
 import pytest
 
-ODD = [None, "", " ", "\n\n", "\t \x0b", "é", "The THE the", "a b", "x" * 70_000, "word " * 9_000, "tie tie tie", "tie tie tie", "\U0001f600 \U0001f601 　 end", "<|endoftext|> and <s>", "▁▁ a ▁"]
+ODD = [None, "", " ", "\n\n", "\t \x0b", "é", "The THE the", "a b", "x" * 70_000, "word " * 9_000, "tie tie tie", "tie tie tie", "\U0001f600 \U0001f601 　 end", "<|endoftext|> and <s>", "▁▁ a ▁", "½ ² ①", "Ⅷ ½", "?!... a. .b"]
 
 
 @pytest.fixture(scope="session")

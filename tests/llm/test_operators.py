@@ -8,6 +8,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from ditherspark.llm import elias_fano, language_id, lm_trie, multiset_hash, packing, piece_transducer, quality, secret_scan, simhash, token_counts, warc
 from ditherspark.llm.queries import tokenizer_path
@@ -179,6 +180,29 @@ def test_token_counts(docs, texts, library):
             assert (r.n_bytes, r.n_tokens) == (len(t.encode()), len(library.encode(t)))
 
 
+def test_token_counts_of_repeated_long_texts(spark, library):
+    rows = [(i, "ab" * 36_000) for i in range(10)] + [(10 + i, "the cat " * 9_000) for i in range(3)]
+    got = token_counts.count_tokens(spark.createDataFrame(rows, "doc_id long, text string"), PIECES).collect()
+    assert {(r.doc_id, r.n_tokens) for r in got} == {(i, len(library.encode(t))) for i, t in rows}
+
+
+def test_frequent_pieces_are_found_whatever_the_partitions(spark):
+    rows = [(f"common often {i} {i * 7}",) for i in range(3000)]
+    for parts in (1, 3, 40):
+        found = token_counts.frequent(spark.createDataFrame(rows, "text string").repartition(parts), 8)
+        assert {b" common", b" often"} <= set(found) and len(found) <= 8
+
+
+def test_table_finds_what_it_holds():
+    import pyarrow as pa
+
+    keys = [f" k{i}".encode() for i in range(5000)]
+    t = token_counts.Table.of(token_counts.Table.build(keys, list(range(5000))).packed())
+    at = t.find(pa.array([*keys[::3], b" none", b""], pa.large_binary()))
+    assert t.lens[at[:-2]].tolist() == list(range(0, 5000, 3)) and at[-2:].tolist() == [-1, -1]
+    assert token_counts.Table.build([], []).find(pa.array([b"a"])).tolist() == [-1]
+
+
 def test_transducer_gives_the_library_ids_and_the_text_back(docs, texts, library):
     for r in piece_transducer.digest(docs, PIECES).collect():
         ids = library.encode(texts[r.doc_id] or "")
@@ -369,6 +393,10 @@ def test_empty_tables(none, run):
 
 def test_clashing_columns_are_left_alone(odd, spark, sf):
     labels = spark.read.parquet(f"{sf}/labels.parquet")
+    own = odd.withColumn("__lm_score", F.lit("mine")).withColumn("__lm", F.lit("mine")).withColumn("__lm_weights", F.lit("mine"))
+    for out in (language_id.kept_only(own), quality.kept_only(own, labels)):
+        assert out.columns == own.columns
+        assert {(r["__lm_score"], r["__lm"], r["__lm_weights"]) for r in out.collect()} <= {("mine",) * 3}
     for out in (secret_scan.redact(odd), language_id.kept_only(odd), quality.kept_only(odd, labels), simhash.one_of_each(odd)):
         assert out.columns == odd.columns
         assert {r.kept for r in out.collect()} <= {"clash"}
