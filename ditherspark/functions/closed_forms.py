@@ -105,7 +105,7 @@ def roundtrip_mse_bound(alpha: float, bound: float, d: int, k: int) -> float:
 
 def mean_roundtrip_mse_bound(alpha: float, bound: float, d: int, n: int, each: float | None = None) -> float:
     """Deviation of the workers' averaged roundtrip; ``each`` is a worker's mean squared error, its bound by default."""
-    each = alpha**2 * bound**2 * math.log(d) if each is None else each
+    each = roundtrip_mse_bound(alpha, bound, d, 1) if each is None else each
     return each / n + 8 * n * bound**2 * math.exp(-(alpha**2) * math.log(d) / 8)
 
 

@@ -1,8 +1,11 @@
 """Runners of the descent recursion, with one set of kernels.
 
-``descend`` is the distributed runner: a round is a draw join, partial gradients in each task, one shuffle by worker,
-encoding and decoding in the executors, and d numbers a task to the driver, which plays the server. Its plan doesn't
-grow with the rounds, as the iterate enters by broadcast, and it can write its state to the shared folder and resume.
+``descend`` is the distributed runner. A round draws its rows, sums gradients in each task, averages them by worker (first
+exchange) and packs each worker's message there. Messages, bytes and nothing else, go through an exchange to the tasks
+that play the server's front: they unpack, decode and sum, and count the bytes that arrived. Sums are merged by blocks
+of coordinates, so the driver gets d numbers once; it packs the server's message and steps with what unpacking that
+gives. The plan doesn't grow with the rounds, as the iterate enters by broadcast and only the round's draws are made, and
+the runner can write its state to the shared folder and resume.
 
 ``trajectories`` is the seed-parallel runner for expectations: the rows of all draws are fetched once, and a whole run
 of a small-d problem is one group, so many (method, seed) pairs run at once.
@@ -16,15 +19,21 @@ from dataclasses import asdict, dataclass, field
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ditherspark.operators.gradients import GradientOracle
-from ditherspark.operators.protocol import RunConfig, loss_factor, send_down, send_up, traffic
+from ditherspark.operators.codec import bytes_of, packed_column
+from ditherspark.operators.gradients import BLOCK, GradientOracle, blocks, collected
+from ditherspark.operators.protocol import RunConfig, encode_up, loss_factor, pack_down, pack_up, send_down, send_up, traffic, unpack_down, unpack_up
 
 TRACE = "run string, seed int, t int, delta double, x array<double>, v_sq double, dev_server double, dev_worker double, half_space double, worker_clips int, server_clip boolean, bits_up double, bits_down double, inner double, top_grad double, dev_total double, cross double"
 
 
+#: Drawn numbers (rounds x workers x m' x d) that a run of the seed-parallel runner may hold in its task: 1 GB.
+GROUP_NUMBERS = 1 << 27
+
+
 @dataclass
 class RunResult:
     x_last: np.ndarray
@@ -32,6 +41,12 @@ class RunResult:
     trace: list[dict] = field(default_factory=list)
 
 
+def exists(spark: SparkSession, path: str) -> bool:
+    """Whether a path is there, in any store that Spark reads."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark._jsc.hadoopConfiguration()).exists(at)
+
+
 def project(x: np.ndarray, radius: float) -> np.ndarray:
     norm = np.linalg.norm(x)
     return x * (radius / norm) if radius and norm > radius else x
@@ -42,25 +57,47 @@ def average_iterate(xs: np.ndarray, deltas: np.ndarray) -> np.ndarray:
     return (np.asarray(deltas)[:, None] * xs).sum(0) / np.sum(deltas)
 
 
-def server_mean(grads: DataFrame, cfg: RunConfig, t: int, seed: int) -> tuple[np.ndarray, np.ndarray, int]:
-    """(mean of decoded messages, mean of true gradients, clips): encoding and decoding happen in the executors, which
-    hand over one partial sum a task."""
+MESSAGE_UP = "worker int, packed binary, eps binary, clipped boolean"
+
+
+def worker_messages(grads: DataFrame, cfg: RunConfig, t: int, seed: int) -> DataFrame:
+    """(worker, packed, eps, clipped) of gradients (worker, g): what workers send, and whether they clipped (an audit)."""
+
+    def run(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            g = b["g"].flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1)
+            up = encode_up(g, b["worker"].to_numpy(zero_copy_only=False), cfg, t, seed)
+            packed, eps = pack_up(up, cfg)
+            yield pa.RecordBatch.from_arrays([b["worker"], packed_column(packed), packed_column(eps), pa.array(up.clipped)], ["worker", "packed", "eps", "clipped"])
+
+    return grads.mapInArrow(run, MESSAGE_UP)
+
+
+def server_sums(messages: DataFrame, cfg: RunConfig) -> DataFrame:
+    """Partial sums (block, s) of what arrives: workers, clips, bytes, then the decoded coordinates. Messages are dealt by
+    worker to at most a shuffle's partitions."""
 
     def run(batches):
-        total, true, n, clips = np.zeros(cfg.width), np.zeros(cfg.d), 0, 0
+        total, seen = np.zeros(cfg.width), np.zeros(3)
         for b in batches:
             if not b.num_rows:
                 continue
-            g = np.array(b["g"].to_pylist(), float)
-            got, clipped = send_up(g, np.array(b["worker"].to_pylist()), cfg, t, seed)
-            total, true, n, clips = total + got.sum(0), true + g.sum(0), n + len(g), clips + int(clipped.sum())
-        if n:
-            yield pa.RecordBatch.from_arrays([pa.array([n]), pa.array([clips]), pa.array([total.tolist()]), pa.array([true.tolist()])], ["n", "clips", "s", "g"])
+            packed, eps = bytes_of(b["packed"]), bytes_of(b["eps"])
+            total += unpack_up(packed, eps, cfg).sum(0)
+            seen += (len(packed), pc.sum(b["clipped"].cast(pa.int64())).as_py(), packed.size + eps.size)
+        if seen[0]:
+            yield from blocks(np.concatenate([seen, total]))
 
-    total, true, n, clips = np.zeros(cfg.width), np.zeros(cfg.d), 0, 0
-    for r in grads.mapInArrow(run, "n bigint, clips bigint, s array<double>, g array<double>").collect():
-        total, true, n, clips = total + np.array(r["s"]), true + np.array(r["g"]), n + r["n"], clips + r["clips"]
-    return total / n, true / n, clips
+    tasks = min(cfg.n_workers, int(messages.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    return messages.repartition(tasks, "worker").mapInArrow(run, BLOCK)
+
+
+def server_mean(grads: DataFrame, cfg: RunConfig, t: int, seed: int) -> tuple[np.ndarray, int, int]:
+    """(mean of the decoded messages, clips, bits that arrived)."""
+    sums = collected(server_sums(worker_messages(grads, cfg, t, seed), cfg), 3 + cfg.width)
+    return sums[3:] / sums[0], int(sums[1]), 8 * int(sums[2])
 
 
 def descend(oracle: GradientOracle, cfg: RunConfig, seed: int = 0, x0: np.ndarray | None = None, state_path: str | None = None) -> RunResult:
@@ -68,18 +105,17 @@ def descend(oracle: GradientOracle, cfg: RunConfig, seed: int = 0, x0: np.ndarra
     spark = oracle.rows.sparkSession
     x, first, weighted, weight = (np.zeros(cfg.d) if x0 is None else np.asarray(x0, float)), 0, np.zeros(cfg.d), 0.0
     if state_path:
-        fs = spark._jvm.org.apache.hadoop.fs.Path(state_path)
-        if fs.getFileSystem(spark._jsc.hadoopConfiguration()).exists(fs):
+        if exists(spark, state_path):
             s = json.loads(spark.read.text(state_path).orderBy(F.get_json_object("value", "$.t").cast("int").desc()).first()[0])
             x, first, weighted, weight = np.array(s["x"]), s["t"], np.array(s["weighted"]), s["weight"]
     out = RunResult(x, x)
-    up, down = traffic(cfg)
     for t in range(first, cfg.rounds):
         delta = cfg.step(t)
         weighted, weight = weighted + delta * x, weight + delta
-        w, g, clips = server_mean(oracle.worker_gradients(x, t, cfg, seed), cfg, t, seed)
-        v, clip = send_down(w, cfg, t, seed)
-        out.trace.append({"t": t, "delta": delta, "x": x.copy(), "v": v[: cfg.d].copy(), "w": w[: cfg.d].copy(), "g": g, "worker_clips": clips, "server_clip": clip, "bits_up": up, "bits_down": down})
+        w, clips, up = server_mean(oracle.worker_gradients(x, t, cfg, seed), cfg, t, seed)
+        message, clip = pack_down(w, cfg, t, seed)
+        v = unpack_down(message, cfg)
+        out.trace.append({"t": t, "delta": delta, "x": x.copy(), "v": v[: cfg.d].copy(), "w": w[: cfg.d].copy(), "worker_clips": clips, "server_clip": clip, "bits_up": up, "bits_down": 8 * len(message)})
         x = project(x - delta * v[: cfg.d], cfg.radius)
         if state_path:
             state = {"t": t + 1, "x": x.tolist(), "weighted": weighted.tolist(), "weight": weight}
@@ -133,6 +169,9 @@ def trajectories(oracle: GradientOracle, runs: dict[str, RunConfig], seeds: int
         a, y = dense(pa.RecordBatch.from_pandas(pdf[cols], preserve_index=False), d)
         return _run(name, int(seed), cfg, a.reshape(rounds, n, mp, d), y.reshape(rounds, n, mp), x_star, every)
 
+    held_numbers = rounds * n * mp * d
+    if held_numbers > GROUP_NUMBERS:
+        raise ValueError(f"a run of {held_numbers} drawn numbers is for descend, not for one task")
     pairs = drawn.withColumn("run", F.explode(F.array(*[F.lit(k) for k in runs])))
     return pairs.groupBy("run", "seed").applyInPandas(group, TRACE)
 

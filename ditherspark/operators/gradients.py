@@ -2,22 +2,56 @@
 
 Rows are (row_id, x array<double>, y) with dense ids 0..m-1, or (row_id, coord, y) for losses that touch one coordinate.
 A logical worker is a draw slot or a hash of the row id, never a partition, so results don't depend on the cluster.
-Sums are made in each task first; what is shuffled or collected is d numbers a task and worker.
+Sums are made in each task first and merged in the executors; the driver gets each number once.
 """
 
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ditherspark.functions.rng import draw_indices, hash60, stream
+from ditherspark.functions.rng import STREAMS, counter_hash, draw_indices, hash60
+from ditherspark.operators.codec import listed
 from ditherspark.operators.protocol import RunConfig, loss_factor, loss_value
 
 #: Draws whose table is broadcast; more are joined by a shuffle.
 BROADCAST_DRAWS = 1_000_000
+#: Coordinates of one row of a partial sum.
+BLOCK_SIZE = 4096
+BLOCK = "block int, s array<double>"
+
+
+def blocks(sums: np.ndarray):
+    """A task's sums as rows (block, s) of ``BLOCK_SIZE`` numbers."""
+    for i in range(0, len(sums), BLOCK_SIZE):
+        yield pa.RecordBatch.from_arrays([pa.array([i // BLOCK_SIZE], pa.int32()), pa.array([sums[i : i + BLOCK_SIZE].tolist()], pa.list_(pa.float64()))], ["block", "s"])
+
+
+def merged(parts: DataFrame) -> DataFrame:
+    """(block, s) summed over all tasks: first by tasks of some dozens of partial sums each, then by block."""
+
+    def some(batches):
+        total: dict[int, np.ndarray] = {}
+        for b in batches:
+            for i, s in zip(b["block"].to_pylist(), b["s"], strict=True):
+                v = s.values.to_numpy(zero_copy_only=False)
+                total[i] = total[i] + v if i in total else v
+        for i, v in total.items():
+            yield pa.RecordBatch.from_arrays([pa.array([i], pa.int32()), pa.array([v.tolist()], pa.list_(pa.float64()))], ["block", "s"])
+
+    tasks = max(1, int(int(parts.sparkSession.conf.get("spark.sql.shuffle.partitions")) ** 0.5))
+    level = parts.repartition(tasks).mapInArrow(some, BLOCK)
+    return level.repartition(tasks, "block").mapInArrow(some, BLOCK)
+
+
+def collected(parts: DataFrame, size: int) -> np.ndarray:
+    """The merged sums, ``size`` numbers, on the driver."""
+    out = np.zeros(size)
+    for r in merged(parts).collect():
+        out[r["block"] * BLOCK_SIZE : r["block"] * BLOCK_SIZE + len(r["s"])] += r["s"]
+    return out
 
 
 class GradientOracle:
@@ -58,13 +92,12 @@ class GradientOracle:
                         grad += loss_factor(kind, z, y[:, None]).T @ a
                     rows += len(y)
             if rows:
-                yield pa.RecordBatch.from_arrays([pa.array([rows]), pa.array([total.tolist()]), pa.array([grad.ravel().tolist()], pa.list_(pa.float64()))], ["n", "f", "g"])
+                yield from blocks(np.concatenate([[rows], total, grad.ravel()]))
 
-        parts = self.rows.select(*self.columns()).mapInArrow(run, "n bigint, f array<double>, g array<double>")
-        f, g, m = np.zeros(n), np.zeros(n * d * gradients), 0
-        for r in parts.toLocalIterator():  # a row a task
-            f, g, m = f + np.array(r["f"]), g + np.array(r["g"]), m + r["n"]
-        return f / max(1, m), g.reshape(-1, d) / max(1, m)
+        parts = self.rows.select(*self.columns()).mapInArrow(run, BLOCK)
+        sums = collected(parts, 1 + n + n * d * gradients)
+        m = max(1.0, sums[0])
+        return sums[1 : n + 1] / m, sums[n + 1 :].reshape(-1, d) / m
 
     def value(self, x: np.ndarray) -> float:
         return float(self.evaluate(np.asarray(x, float)[None])[0][0])
@@ -72,9 +105,10 @@ class GradientOracle:
     def full_grad(self, x: np.ndarray) -> np.ndarray:
         return self.evaluate(np.asarray(x, float)[None], True)[1][0]
 
-    def drawn(self, rounds: int, n: int, m_prime: int, seed: int = 0) -> DataFrame:
-        """Rows for every (t, worker, slot), with replacement, uniformly over all rows."""
-        draws = draw_indices(self.rows.sparkSession, rounds, n, m_prime, self.m, seed)
+    def drawn(self, rounds: int, n: int, m_prime: int, seed: int = 0, first: int = 0) -> DataFrame:
+        """Rows for every (t, worker, slot) of ``rounds`` rounds from ``first`` on, with replacement, uniformly over all
+        rows."""
+        draws = draw_indices(self.rows.sparkSession, rounds, n, m_prime, self.m, seed, first)
         if rounds * n * m_prime <= BROADCAST_DRAWS:
             draws = F.broadcast(draws)
         return self.rows.join(draws, "row_id")
@@ -85,30 +119,35 @@ class GradientOracle:
         held = drawn.sparkSession.sparkContext.broadcast(np.asarray(x, float))
 
         def run(batches):
-            sums: dict[int, list] = {}
+            ids, count, total = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros((0, d))
             for b in batches:
+                if not b.num_rows:
+                    continue
                 a, y = dense(b, d)
                 g = loss_factor(kind, a @ held.value, y)[:, None] * a
-                for w, row in zip(b["worker"].to_pylist(), g, strict=True):
-                    s = sums.setdefault(w, [0, np.zeros(d)])
-                    s[0] += 1
-                    s[1] += row
-            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([s[0] for s in sums.values()], pa.int64()), pa.array([s[1].tolist() for s in sums.values()], pa.list_(pa.float64()))], ["worker", "n", "g"])
+                both, at = np.unique(np.concatenate([ids, b["worker"].to_numpy(zero_copy_only=False)]), return_inverse=True)
+                new, n = np.zeros((len(both), d)), np.zeros(len(both), np.int64)
+                np.add.at(new, at, np.concatenate([total, g]))
+                np.add.at(n, at, np.concatenate([count, np.ones(len(g), np.int64)]))
+                ids, count, total = both, n, new
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int32()), pa.array(count), listed(total)], ["worker", "n", "g"])
 
         return drawn.select("worker", *self.columns()).mapInArrow(run, "worker int, n bigint, g array<double>")
 
     def worker_gradients(self, x: np.ndarray, t: int, cfg: RunConfig, seed: int = 0) -> DataFrame:
-        """(worker, g): the mini-batch gradient of each worker in round ``t``."""
-        rows = self.drawn(t + 1, cfg.n_workers, cfg.m_prime, seed).where(F.col("t") == t)
-        return _averaged(self.partial_gradients(rows, x))
+        """(worker, g): the mini-batch gradient of each worker in round ``t``; only that round's draws are made."""
+        return _averaged(self.partial_gradients(self.drawn(1, cfg.n_workers, cfg.m_prime, seed, t), x))
 
 
 def _averaged(parts: DataFrame) -> DataFrame:
-    def mean(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        g = np.sum(np.stack(pdf["g"].to_numpy()), axis=0) / pdf["n"].sum()
-        return pd.DataFrame({"worker": [key[0]], "g": [g.tolist()]})
+    """Means by worker: an exchange by worker, then one pass over each task's rows in their order."""
+
+    def mean(group: pa.Table) -> pa.Table:
+        column = group["g"].combine_chunks()
+        g = column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1).sum(axis=0) / group["n"].to_numpy().sum()
+        return pa.table({"worker": group["worker"].slice(0, 1), "g": pa.array([g.tolist()], pa.list_(pa.float64()))})
 
-    return parts.groupBy("worker").applyInPandas(mean, "worker int, g array<double>")
+    return parts.groupBy("worker").applyInArrow(mean, "worker int, g array<double>")
 
 
 class ShardOracle(GradientOracle):
@@ -148,13 +187,18 @@ class CoordOracle(GradientOracle):
     """d times one uniformly drawn partial derivative of the full gradient: unbiased and 1-sparse."""
 
     def worker_gradients(self, x, t, cfg, seed=0):
-        g, d = self.full_grad(x), len(x)
-        rows = []
-        for w in range(cfg.n_workers):
-            i, out = int(stream(seed, "coordinate", t, w).integers(d)), np.zeros(d)
-            out[i] = d * g[i]
-            rows.append((w, out.tolist()))
-        return self.rows.sparkSession.createDataFrame(rows, "worker int, g array<double>")
+        spark, d = self.rows.sparkSession, len(x)
+        held = spark.sparkContext.broadcast(self.full_grad(x))
+
+        def run(batches):
+            for b in batches:
+                w = b["id"].to_numpy(zero_copy_only=False)
+                i = (counter_hash(seed, STREAMS["coordinate"], t, w) % np.uint64(d)).astype(np.int64)
+                out = np.zeros((len(w), d))
+                out[np.arange(len(w)), i] = d * held.value[i]
+                yield pa.RecordBatch.from_arrays([pa.array(w, pa.int32()), listed(out)], ["worker", "g"])
+
+        return spark.range(cfg.n_workers).mapInArrow(run, "worker int, g array<double>")
 
 
 def estimate_sigma2(oracle: GradientOracle, x: np.ndarray, m_prime: int, draws: int = 256, seed: int = 0) -> tuple[float, float]:

@@ -6,7 +6,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ditherspark.functions import closed_forms as C
@@ -52,7 +52,8 @@ def sampled_moments(df: DataFrame, lam: float, draws: int = 400, id_col: str = "
 
 def mean_roundtrip(df: DataFrame, n: int, alpha: float = 3.0, d: int = 64, seeds: int = 20, shared: bool = False) -> DataFrame:
     """(deviation of the mean of n decoded vectors, exact without clipping, bound, cross terms) averaged over groups of n
-    and seeds: errors of different workers are uncorrelated, so the deviation falls as 1/n."""
+    and seeds: errors of different workers are uncorrelated, so the deviation falls as 1/n. Vectors are dealt to groups by
+    dense numbers, and those left over (fewer than n) count in ``left_over``, as a smaller group has another bound."""
     lam, _ = C.amplitudes(alpha, 1.0, 1.0, d)
     scope = "round" if shared else "worker"
 
@@ -68,10 +69,16 @@ def mean_roundtrip(df: DataFrame, n: int, alpha: float = 3.0, d: int = 64, seeds
 
         return pd.DataFrame(out, columns=["n", "dev", "independent", "cross"])
 
-    src = df.selectExpr("cast(vec_id as bigint) id", "cast(embedding as array<double>) v", f"cast(vec_id div {n} as bigint) g")
-    r = src.groupBy("g").applyInPandas(group, "n bigint, dev double, independent double, cross double").where(F.col("n") == n)
+    buckets = F.pmod(F.xxhash64("vec_id"), F.lit(max(1, df.count() // (16 * n)))).alias("b")  # some 16 groups a bucket
+    place = F.row_number().over(Window.partitionBy("b").orderBy("id")) - 1
+    src = df.selectExpr("cast(vec_id as bigint) id", "cast(embedding as array<double>) v", "vec_id").select("id", "v", buckets)
+    src = src.withColumn("g", F.shiftleft("b", 32) + F.floor(place / n))
+    r = src.select("id", "v", "g").groupBy("g").applyInPandas(group, "n bigint, dev double, independent double, cross double")
+    left = F.sum(F.when(F.col("n") < n, F.col("n") / seeds).otherwise(0)).cast("long").alias("left_over")
+    full = lambda c: F.when(F.col("n") == n, F.col(c))
     bound = C.mean_roundtrip_mse_bound(alpha, 1.0, d, n)
-    return r.agg(F.lit(n).alias("workers"), F.count("*").alias("samples"), F.avg("dev").alias("deviation"), F.avg("independent").alias("if_uncorrelated"), F.avg("cross").alias("cross_terms"), (F.stddev("cross") / F.sqrt(F.count("*"))).alias("cross_std_error"), F.lit(bound).alias("bound"))
+    count = F.count(full("dev"))
+    return r.agg(F.lit(n).alias("workers"), count.alias("samples"), F.avg(full("dev")).alias("deviation"), F.avg(full("independent")).alias("if_uncorrelated"), F.avg(full("cross")).alias("cross_terms"), (F.stddev(full("cross")) / F.sqrt(count)).alias("cross_std_error"), F.lit(bound).alias("bound"), left)
 
 
 def round_deviation(trace: DataFrame, alpha: float, alpha_s: float, bound: float, d: int, n: int, k: int) -> DataFrame:
@@ -87,12 +94,11 @@ def round_deviation(trace: DataFrame, alpha: float, alpha_s: float, bound: float
 
 def with_objective(trace: DataFrame, oracle: GradientOracle, gradients: bool = True) -> DataFrame:
     """``trace`` with f and the squared gradient norm at every iterate in it: one pass over the table for all of them."""
-    rows = trace.orderBy("run", "seed", "t").collect()  # the audited rounds
-    f, g = oracle.evaluate(np.array([r["x"] for r in rows]), gradients)
-    sq = (g * g).sum(1) if gradients else np.zeros(len(rows))
-    out = [(r["run"], r["seed"], r["t"], float(a), float(b)) for r, a, b in zip(rows, f, sq, strict=True)]
-    found = trace.sparkSession.createDataFrame(out, "run string, seed int, t int, f double, grad_sq double")
-    return trace.sparkSession.createDataFrame(rows, trace.schema).join(F.broadcast(found), ["run", "seed", "t"])
+    trace = trace.orderBy("run", "seed", "t").toArrow()  # the audited rounds
+    points = trace["x"].combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(trace.num_rows, -1)
+    f, g = oracle.evaluate(points, gradients)
+    sq = (g * g).sum(1) if gradients else np.zeros(len(f))
+    return oracle.rows.sparkSession.createDataFrame(trace.append_column("f", pa.array(f)).append_column("grad_sq", pa.array(sq)))
 
 
 def smoothness_violations(oracle: GradientOracle, points: np.ndarray, smooth: float) -> list[tuple[float, float, bool]]:

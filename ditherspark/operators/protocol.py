@@ -1,7 +1,8 @@
 """One round of compressed descent: what a worker sends, what the server makes of it, for every method and baseline.
 
-The same functions run in executors (a worker's rows, the partial sums of decoded messages) and on the driver (the
-server), and in the seed-parallel runner, so both runners give the same messages for the same key.
+The same functions run in executors (workers pack, those that decode unpack and sum) and on the driver (the server's
+message), and in the seed-parallel runner, which skips the bytes of the workers' messages, so both runners give the same
+messages for the same key. Uncompressed numbers go as floats of 32 bits.
 """
 
 from __future__ import annotations
@@ -11,8 +12,9 @@ from dataclasses import dataclass, replace
 import numpy as np
 
 from ditherspark.functions.closed_forms import amplitudes, next_pow2, wire_bits
-from ditherspark.functions.rng import stream
-from ditherspark.operators.codec import decode_rows, encode_rows
+from ditherspark.functions.rng import STREAMS, counter_hash
+from ditherspark.operators.codec import decode_rows, encode_rows, sign_keys, signs_of
+from ditherspark.operators.quantize import level_bits, pack_levels, pack_numbers, unpack_levels, unpack_numbers
 
 
 @dataclass(frozen=True)
@@ -91,47 +93,158 @@ def pad(g: np.ndarray, width: int) -> np.ndarray:
     return np.concatenate([g, np.zeros((len(g), width - g.shape[1]))], axis=1)
 
 
-def send_up(g: np.ndarray, workers: np.ndarray, cfg: RunConfig, t: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
-    """(what the server decodes from each worker, whether the worker clipped) for gradients ``g``, a row a worker."""
+@dataclass
+class Up:
+    """What a batch of workers sends: whole-number levels (rows, entries), floats of 32 bits (rows, some), and the keys of
+    the sign strings. Any part may be absent, as the method has it."""
+
+    levels: np.ndarray | None = None
+    floats: np.ndarray | None = None
+    keys: np.ndarray | None = None
+    clipped: np.ndarray | None = None
+
+
+def encode_up(g: np.ndarray, workers: np.ndarray, cfg: RunConfig, t: int, seed: int) -> Up:
+    """Messages for gradients ``g``, a row a worker."""
     if cfg.clip_norm:
         norm = np.linalg.norm(g, axis=1, keepdims=True)
         g = g * np.minimum(1, cfg.clip_norm / np.maximum(norm, 1e-300))
-    clipped = np.zeros(len(g), bool)
+    calm, at = np.zeros(len(g), bool), np.asarray(workers, np.int64)[:, None]
     if cfg.up == "none":
-        return pad(g, cfg.width), clipped
+        return Up(floats=g.astype(np.float32), clipped=calm)
     if cfg.up == "sign":
-        return one(g), clipped
+        return Up(levels=one(g).astype(np.int64), clipped=calm)
     if cfg.up == "random_k":  # kept coordinates, scaled up: unbiased, with a variance that grows with d/keep
-        out = np.zeros_like(g)
-        for i, w in enumerate(workers):
-            at = stream(seed, "keep", t, int(w)).choice(g.shape[1], min(cfg.keep, g.shape[1]), replace=False)
-            out[i, at] = g[i, at] * g.shape[1] / len(at)
-        return out, clipped
+        d, keep = g.shape[1], min(cfg.keep, g.shape[1])
+        order = np.argsort(counter_hash(seed, STREAMS["keep"], t, at, np.arange(d)), axis=1, kind="stable")[:, :keep]
+        return Up(levels=order, floats=(np.take_along_axis(g, order, 1) * d / keep).astype(np.float32), clipped=calm)
     if cfg.up == "ternary":  # sign times the norm, kept with probability |g_i| / norm
         norm = np.linalg.norm(g, axis=1, keepdims=True)
-        u = np.stack([stream(seed, "ternary", t, int(w)).random(g.shape[1]) for w in workers])
-        return np.where(u * norm < np.abs(g), np.sign(g) * norm, 0.0), clipped
+        u = (2.0 * counter_hash(seed, STREAMS["ternary"], t, at, np.arange(g.shape[1])) + 1) / 8589934592.0
+        return Up(levels=np.where(u * norm < np.abs(g), np.sign(g), 0).astype(np.int64), floats=norm.astype(np.float32), clipped=calm)
     lam, _ = cfg.amplitudes()
-    q, eps, z = encode_rows(pad(g, cfg.width), workers, lam, 1, seed, t, "worker", cfg.basis, cfg.eps_scope, cfg.dither)
-    clipped = np.abs(z).max(axis=1) > lam
-    if cfg.eps_scope == "round" and len(g):  # decoding is linear: one inverse transform for the sum
-        return decode_rows(q.sum(axis=0, keepdims=True), eps[:1], lam, 1, cfg.basis), clipped
-    return decode_rows(q, eps, lam, 1, cfg.basis), clipped
+    q, _, z = encode_rows(pad(g, cfg.width), workers, lam, 1, seed, t, "worker", cfg.basis, cfg.eps_scope, cfg.dither)
+    keys = None if cfg.basis == "identity" else sign_keys(seed, "worker", t, workers, cfg.eps_scope)
+    return Up(levels=q, keys=keys, clipped=np.abs(z).max(axis=1) > lam)
 
 
-def send_down(w: np.ndarray, cfg: RunConfig, t: int, seed: int) -> tuple[np.ndarray, bool]:
-    """(the direction that all workers decode, whether the server clipped) for the server's mean ``w``."""
+def decode_up(up: Up, cfg: RunConfig, eps: np.ndarray | None = None) -> np.ndarray:
+    """Rows whose sum is that of the workers' decoded vectors. Sign strings come from ``eps`` or the messages' keys; with
+    one string for all, levels are summed first and inverted once, as decoding is linear."""
+    if cfg.up == "none":
+        return pad(up.floats.astype(np.float64), cfg.width)
+    if cfg.up == "sign":
+        return up.levels.astype(np.float64)
+    if cfg.up == "random_k":
+        out = np.zeros((len(up.levels), cfg.d))
+        np.put_along_axis(out, up.levels, up.floats.astype(np.float64), 1)
+        return out
+    if cfg.up == "ternary":
+        return up.levels * up.floats.astype(np.float64)
+    lam, _ = cfg.amplitudes()
+    if eps is None:
+        eps = np.ones((len(up.levels), cfg.width), np.int64) if cfg.basis == "identity" else signs_of(up.keys, cfg.width)
+    if cfg.eps_scope == "round" and len(up.levels):
+        return decode_rows(up.levels.sum(axis=0, keepdims=True), eps[:1], lam, 1, cfg.basis)
+    return decode_rows(up.levels, eps, lam, 1, cfg.basis)
+
+
+def entries(cfg: RunConfig) -> int:
+    """Levels of a codec message."""
+    return 2 * cfg.width if cfg.basis == "fourier" else cfg.width
+
+
+def pack_up(up: Up, cfg: RunConfig) -> tuple[np.ndarray, np.ndarray]:
+    """(message bytes, sign bytes) of each worker, as rows: levels in the fewest whole bits, floats in 32, and the sign
+    string in d bits or, with ``eps_wire`` seed, as the 8 bytes it follows from."""
+    n = len(up.clipped)
+    parts, eps = [], np.zeros((n, 0), np.uint8)
+    if up.floats is not None:
+        parts.append(np.ascontiguousarray(up.floats, "<f4").view(np.uint8).reshape(n, -1))
+    if cfg.up == "random_k":
+        parts.append(pack_numbers(up.levels, max(1, (cfg.d - 1).bit_length())))
+    elif cfg.up == "ternary":
+        parts.append(pack_numbers(up.levels + 1, 2))
+    elif up.levels is not None:
+        parts.append(pack_numbers((up.levels + 1) >> 1, 1))
+    if up.keys is not None and cfg.eps_wire == "seed":
+        eps = np.ascontiguousarray(up.keys, "<u4").view(np.uint8).reshape(n, 8)
+    elif up.keys is not None and cfg.eps_wire == "bits":
+        eps = np.packbits(signs_of(up.keys, cfg.width) > 0, axis=1, bitorder="little")
+    return np.concatenate(parts, axis=1), eps
+
+
+def unpack_up(packed: np.ndarray, eps: np.ndarray, cfg: RunConfig) -> np.ndarray:
+    """``decode_up`` of what arrived: nothing is used but the bytes."""
+    n, up, signs = len(packed), Up(), None
+    floats = {"none": cfg.d, "random_k": min(cfg.keep, cfg.d), "ternary": 1}.get(cfg.up, 0)
+    if floats:
+        up.floats = np.ascontiguousarray(packed[:, : 4 * floats]).view("<f4").reshape(n, floats)
+    rest = packed[:, 4 * floats :]
+    if cfg.up == "random_k":
+        up.levels = unpack_numbers(rest, max(1, (cfg.d - 1).bit_length()), floats)
+    elif cfg.up == "ternary":
+        up.levels = unpack_numbers(rest, 2, cfg.d) - 1
+    elif cfg.up != "none":
+        up.levels = 2 * unpack_numbers(rest, 1, cfg.d if cfg.up == "sign" else entries(cfg)) - 1
+    if cfg.up == "codec" and cfg.basis != "identity":
+        if cfg.eps_wire == "seed":
+            up.keys = np.ascontiguousarray(eps).view("<u4").reshape(n, 2)
+        else:
+            signs = 2 * np.unpackbits(eps, axis=1, bitorder="little")[:, : cfg.width].astype(np.int64) - 1
+    return decode_up(up, cfg, signs)
+
+
+def send_up(g: np.ndarray, workers: np.ndarray, cfg: RunConfig, t: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
+    """(what the server decodes from the workers, whether a worker clipped): the same as through bytes."""
+    up = encode_up(g, workers, cfg, t, seed)
+    return decode_up(up, cfg), up.clipped
+
+
+def pack_down(w: np.ndarray, cfg: RunConfig, t: int, seed: int) -> tuple[bytes, bool]:
+    """(the server's message, whether it clipped): floats of 32 bits, signs, or the observed amplitude's 8 bytes if any,
+    levels, and the sign string or its seed."""
     if cfg.down == "none":
-        return w, False
+        return w[: cfg.d].astype("<f4").tobytes(), False
     if cfg.down == "sign":
-        return one(w), False
+        return pack_levels(one(w)[None], 1)[0], False
     _, lam = cfg.amplitudes()
-    at = np.zeros(1, np.int64)
+    at, head = np.zeros(1, np.int64), b""
     if cfg.server_amp == "observed":
-        q, eps, z = encode_rows(w[None], at, 1.0, 1, seed, t, "server", cfg.basis, "worker", False)
+        _, _, z = encode_rows(w[None], at, 1.0, 1, seed, t, "server", cfg.basis, "worker", False)
         lam = float(np.abs(z).max()) or 1.0
+        head = np.float64(lam).tobytes()
     q, eps, z = encode_rows(w[None], at, lam, cfg.k, seed, t, "server", cfg.basis, "worker", cfg.dither)
-    return decode_rows(q, eps, lam, cfg.k, cfg.basis)[0], bool(np.abs(z).max() > lam * (1 + 1e-12))
+    tail = b""
+    if cfg.basis != "identity":
+        tail = sign_keys(seed, "server", t, at).astype("<u4").tobytes() if cfg.eps_wire == "seed" else np.packbits(eps[0] > 0, bitorder="little").tobytes()
+    return head + pack_levels(q, cfg.k)[0] + tail, bool(np.abs(z).max() > lam * (1 + 1e-12))
+
+
+def unpack_down(message: bytes, cfg: RunConfig) -> np.ndarray:
+    """The direction that every worker decodes."""
+    if cfg.down == "none":
+        return np.frombuffer(message, "<f4").astype(np.float64)
+    if cfg.down == "sign":
+        return unpack_levels([message], 1, cfg.width)[0].astype(np.float64)
+    _, lam = cfg.amplitudes()
+    if cfg.server_amp == "observed":
+        lam, message = float(np.frombuffer(message[:8], "<f8")[0]), message[8:]
+    size = -(-entries(cfg) * level_bits(cfg.k) // 8)
+    q, tail = unpack_levels([message[:size]], cfg.k, entries(cfg)), message[size:]
+    if cfg.basis == "identity":
+        eps = np.ones((1, cfg.width), np.int64)
+    elif cfg.eps_wire == "seed":
+        eps = signs_of(np.frombuffer(tail, "<u4")[None], cfg.width)
+    else:
+        eps = 2 * np.unpackbits(np.frombuffer(tail, np.uint8)[None], axis=1, bitorder="little")[:, : cfg.width].astype(np.int64) - 1
+    return decode_rows(q, eps, lam, cfg.k, cfg.basis)[0]
+
+
+def send_down(w: np.ndarray, cfg: RunConfig, t: int, seed: int) -> tuple[np.ndarray, bool]:
+    """(the direction that all workers decode from the server's mean ``w``, whether the server clipped)."""
+    message, clip = pack_down(w, cfg, t, seed)
+    return unpack_down(message, cfg), clip
 
 
 def traffic(cfg: RunConfig) -> tuple[float, float]:

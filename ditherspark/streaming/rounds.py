@@ -3,11 +3,11 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ditherspark.functions.rng import hash60
-from ditherspark.operators.descent import RunResult, server_mean
+from ditherspark.operators.descent import RunResult, exists, server_mean
 from ditherspark.operators.gradients import GradientOracle, OneSparseOracle, _averaged
 from ditherspark.operators.protocol import RunConfig, send_down
 
@@ -21,18 +21,39 @@ def batch_round(rows: DataFrame, x: np.ndarray, cfg: RunConfig, t: int, seed: in
     return x - cfg.step(t) * v[: cfg.d]
 
 
+STATE = "t bigint, x array<double>"
+
+
+def stored_state(spark: SparkSession, path: str, before: int | None = None) -> tuple[int, list[float]] | None:
+    """(t, iterate after it) of the last stored round, or of the last one before ``before``."""
+    if not exists(spark, path):
+        return None
+    rows = spark.read.schema(STATE).parquet(path)
+    rows = rows if before is None else rows.where(F.col("t") < before)
+    got = rows.agg(F.max_by(F.struct("t", "x"), "t").alias("s")).first()["s"]
+    return (got["t"], list(got["x"])) if got else None
+
+
 def rounds_from_stream(stream: DataFrame, cfg: RunConfig, checkpoint: str, seed: int = 0) -> RunResult:
-    """Runs until the stream has no more data; a batch that is run again after a failure replays the same messages."""
-    state = {-1: np.zeros(cfg.d)}
+    """Runs until the stream has no more data. Iterates are stored beside the checkpoint, a row a round, so a run that
+    starts again goes on from the last one, and a batch that is run again starts from the round before it and gives the
+    same messages."""
+    spark, path = stream.sparkSession, f"{checkpoint.rstrip('/')}/iterates"
 
     def one(batch: DataFrame, t: int) -> None:
         if not batch.isEmpty():
-            state[t] = batch_round(batch, state[max(k for k in state if k < t)], cfg, t, seed)
+            held = stored_state(batch.sparkSession, path, t)
+            x = batch_round(batch, np.array(held[1]) if held else np.zeros(cfg.d), cfg, t, seed)
+            row = batch.sparkSession.createDataFrame([(t, x.tolist())], STATE)
+            row.coalesce(1).write.mode("overwrite").parquet(f"{path}/batch={t}")
 
-    query = stream.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    query = stream.writeStream.foreachBatch(one).option("checkpointLocation", f"{checkpoint.rstrip('/')}/offsets").trigger(availableNow=True).start()
     query.awaitTermination()
-    last = max(state)
-    return RunResult(state[last], state[last], [{"t": t, "x": x} for t, x in sorted(state.items()) if t >= 0])
+    if not exists(spark, path):
+        return RunResult(np.zeros(cfg.d), np.zeros(cfg.d))
+    rows = spark.read.schema(STATE).parquet(path).select("t", "x").orderBy("t").collect()  # a row a round
+    trace = [{"t": r["t"], "x": np.array(r["x"])} for r in rows]
+    return RunResult(trace[-1]["x"], trace[-1]["x"], trace)
 
 
 def running_means(stream: DataFrame, delay: str = "10 minutes", window: str = "1 hour") -> DataFrame:
