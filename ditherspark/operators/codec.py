@@ -99,21 +99,27 @@ def packed_column(rows: np.ndarray) -> pa.Array:
     return pa.Array.from_buffers(pa.binary(), len(rows), [None, pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(rows, np.uint8))])
 
 
-def encode(df: DataFrame, lam: float, k: int = 1, seed: int = 0, basis: str = "butterfly", id_col: str = "vec_id", col: str = "embedding", mode: str = "hash") -> DataFrame:
-    """One message a row."""
+def encode_many(df: DataFrame, lam: float, ks: tuple[int, ...], seed: int = 0, basis: str = "butterfly", id_col: str = "vec_id", col: str = "embedding", mode: str = "hash") -> DataFrame:
+    """One message a row and K, in one scan."""
 
     def run(batches):
         for b in batches:
             x, width = vectors(b["v"])
             ids, n = b["id"].to_numpy(zero_copy_only=False), b.num_rows
-            q, eps, _ = encode_rows(x, ids, lam, k, seed, basis=basis, mode=mode)
             same = lambda v, t: pa.array(np.full(n, v), t)
-            cols = [b["id"], pa.array(pack_levels(q, k), pa.binary()), packed_column(np.packbits(eps > 0, axis=1, bitorder="little")), same(lam, pa.float64()), same(k, pa.int32()), same(x.shape[1], pa.int32()), same(width, pa.int32())]
-            yield pa.RecordBatch.from_arrays(cols, ["id", "packed", "eps", "lam", "k", "d", "width"])
+            for k in ks:
+                q, eps, _ = encode_rows(x, ids, lam, k, seed, basis=basis, mode=mode)
+                cols = [b["id"], pa.array(pack_levels(q, k), pa.binary()), packed_column(np.packbits(eps > 0, axis=1, bitorder="little")), same(lam, pa.float64()), same(k, pa.int32()), same(x.shape[1], pa.int32()), same(width, pa.int32())]
+                yield pa.RecordBatch.from_arrays(cols, ["id", "packed", "eps", "lam", "k", "d", "width"])
 
     return df.selectExpr(f"cast({id_col} as bigint) id", f"cast({col} as array<double>) v").mapInArrow(run, MESSAGE)
 
 
+def encode(df: DataFrame, lam: float, k: int = 1, seed: int = 0, basis: str = "butterfly", id_col: str = "vec_id", col: str = "embedding", mode: str = "hash") -> DataFrame:
+    """One message a row."""
+    return encode_many(df, lam, (k,), seed, basis, id_col, col, mode)
+
+
 def decode(messages: DataFrame, basis: str = "butterfly") -> DataFrame:
     """(id, v): vectors of the original length. Messages of one shape (K, d, length) are decoded together."""
 

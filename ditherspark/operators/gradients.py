@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -120,9 +121,7 @@ class GradientOracle:
 
         def run(batches):
             ids, count, total = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros((0, d))
-            for b in batches:
-                if not b.num_rows:
-                    continue
+            for b in (whole.slice(at, 4096) for whole in batches for at in range(0, whole.num_rows, 4096)):
                 a, y = dense(b, d)
                 g = loss_factor(kind, a @ held.value, y)[:, None] * a
                 both, at = np.unique(np.concatenate([ids, b["worker"].to_numpy(zero_copy_only=False)]), return_inverse=True)
@@ -183,6 +182,22 @@ class OneSparseOracle(GradientOracle):
         return n, mu, rest / max(1.0, n.sum())
 
 
+class SparseOracle(GradientOracle):
+    """Rows (row_id, coords array<int>, values array<double>, y): only what isn't zero is stored and shuffled; a slice of
+    some thousand rows is made dense while it is worked on."""
+
+    def columns(self):
+        return ["coords", "values", "y"]
+
+    @staticmethod
+    def dense(batch, d):
+        a = np.zeros((batch.num_rows, d))
+        many = pc.list_value_length(batch["coords"]).to_numpy(zero_copy_only=False)
+        at = np.repeat(np.arange(batch.num_rows), many)
+        np.add.at(a, (at, batch["coords"].flatten().to_numpy(zero_copy_only=False)), batch["values"].flatten().to_numpy(zero_copy_only=False))
+        return a, batch["y"].to_numpy(zero_copy_only=False).astype(np.float64)
+
+
 class CoordOracle(GradientOracle):
     """d times one uniformly drawn partial derivative of the full gradient: unbiased and 1-sparse."""
 

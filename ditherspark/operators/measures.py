@@ -11,23 +11,44 @@ from pyspark.sql import functions as F
 
 from ditherspark.functions import closed_forms as C
 from ditherspark.functions.rng import stream
-from ditherspark.operators.codec import decode_rows, encode_rows, padded, roundtrip
+from ditherspark.operators.codec import decode_rows, encode_rows, padded, vectors
 from ditherspark.operators.gradients import GradientOracle
 from ditherspark.operators.quantize import dither_quantize
 
 
+def roundtrip_table(df: DataFrame, configs: list[tuple[str, float, int]], d: int = 64, seeds: int = 20) -> DataFrame:
+    """A row for each (basis, alpha, K): mean squared error of unit vectors against the value without clipping and the
+    bound; clip share against its bound; outputs over the norm cap lam * sqrt(d) (never). One scan, and one transform for
+    each basis, serve all of them."""
+    lams = [C.amplitudes(a, 1.0, 1.0, d)[0] for _, a, _ in configs]
+
+    def run(batches):
+        for b in batches:
+            x, _ = vectors(b["v"], d)
+            ids, norm = b["id"].to_numpy(zero_copy_only=False), (x * x).sum(1)
+            for s in range(seeds):
+                for i, (basis, _, k) in enumerate(configs):
+                    q, eps, z = encode_rows(x, ids, lams[i], k, s, basis=basis)
+                    y, top = decode_rows(q, eps, lams[i], k, basis), np.abs(z).max(1) if len(z) else np.zeros(0)
+                    cols = [np.full(len(ids), i), ((y - x) ** 2).sum(1), (y * y).sum(1), top, norm]
+                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["config", "err_sq", "out_sq", "top", "norm_sq"])
+
+    src = df.selectExpr("cast(vec_id as bigint) id", "cast(embedding as array<double>) v")
+    r = src.mapInArrow(run, "config bigint, err_sq double, out_sq double, top double, norm_sq double")
+    about = [(i, basis, a, k, lam, d * (2 if basis == "fourier" else 1), C.roundtrip_mse_bound(a, 1.0, d, k), C.flatness_failure(a, d)) for i, ((basis, a, k), lam) in enumerate(zip(configs, lams, strict=True))]
+    about = df.sparkSession.createDataFrame(about, "config bigint, basis string, alpha double, k int, lam double, size int, bound double, clip_bound double")
+    r = r.join(F.broadcast(about), "config")
+    return r.groupBy("basis", "alpha", "k", "lam", "size", "bound", "clip_bound").agg(
+        F.count("*").alias("n"), F.avg("err_sq").alias("mse"), (F.stddev("err_sq") / F.sqrt(F.count("*"))).alias("std_error"),
+        ((F.lit(d) * F.col("lam") * F.col("lam") - F.avg("norm_sq") * d / F.col("size")) / F.col("k")).alias("exact"),
+        F.avg((F.col("top") > F.col("lam")).cast("double")).alias("clip_share"), F.avg(F.col("top") / F.sqrt("norm_sq")).alias("top_entry"),
+        F.sum((F.sqrt("out_sq") > F.col("lam") * F.sqrt("size") * (1 + 1e-9)).cast("long")).alias("over_cap"),
+    ).drop("lam", "size")
+
+
 def roundtrip_mse(df: DataFrame, alpha: float, k: int, d: int = 64, seeds: int = 20, basis: str = "butterfly") -> DataFrame:
-    """Mean squared error of unit vectors against the value without clipping and the bound; clip share against its bound;
-    outputs over the norm cap lam * sqrt(d) (never)."""
-    lam, _ = C.amplitudes(alpha, 1.0, 1.0, d)
-    r = roundtrip(df, lam, k, seeds, basis)
-    size = 2 * d if basis == "fourier" else d
-    return r.agg(
-        F.lit(basis).alias("basis"), F.lit(alpha).alias("alpha"), F.lit(k).alias("k"), F.count("*").alias("n"), F.avg("err_sq").alias("mse"),
-        (F.stddev("err_sq") / F.sqrt(F.count("*"))).alias("std_error"), ((F.lit(lam**2 * d) - F.avg("norm_sq") / (2 if basis == "fourier" else 1)) / k).alias("exact"), F.lit(C.roundtrip_mse_bound(alpha, 1.0, d, k)).alias("bound"),
-        F.avg((F.col("top") > lam).cast("double")).alias("clip_share"), F.lit(C.flatness_failure(alpha, d)).alias("clip_bound"),
-        F.avg(F.col("top") / F.sqrt("norm_sq")).alias("top_entry"), F.sum((F.sqrt("out_sq") > lam * size**0.5 * (1 + 1e-9)).cast("long")).alias("over_cap"),
-    )
+    """``roundtrip_table`` of one configuration."""
+    return roundtrip_table(df, [(basis, alpha, k)], d, seeds)
 
 
 def sampled_moments(df: DataFrame, lam: float, draws: int = 400, id_col: str = "vec_id", col: str = "embedding") -> DataFrame:

@@ -253,7 +253,7 @@ def traffic(cfg: RunConfig) -> tuple[float, float]:
     size = {"butterfly": w, "cosine": w, "identity": w, "fourier": 2 * w}[cfg.basis]
     codec = wire_bits(w, n, cfg.k, "none" if cfg.basis == "identity" else cfg.eps_wire)
     up = {"none": 32 * d * n, "sign": d * n, "random_k": n * cfg.keep * (32 + np.log2(d)), "ternary": n * (d * np.log2(3) + 32), "codec": codec["up_all"] + n * (size - w)}[cfg.up]
-    down = {"none": 32 * d, "sign": d, "codec": codec["down"] + 64 * (cfg.server_amp == "observed")}[cfg.down]
+    down = {"none": 32 * d, "sign": d, "codec": codec["down"] + (size - w) * np.log2(cfg.k + 1) + 64 * (cfg.server_amp == "observed")}[cfg.down]
     return float(up), float(down)
 
 

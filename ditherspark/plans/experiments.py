@@ -12,11 +12,11 @@ from ditherspark.functions import closed_forms as C
 from ditherspark.functions.rng import hash60
 from ditherspark.operators import measures
 from ditherspark.operators.descent import descend, telescoping, trajectories
-from ditherspark.operators.gradients import CoordOracle, GradientOracle, OneSparseOracle, ShardOracle, estimate_sigma2
+from ditherspark.operators.gradients import CoordOracle, GradientOracle, OneSparseOracle, ShardOracle, SparseOracle, estimate_sigma2
 from ditherspark.operators.protocol import RunConfig, method
 from ditherspark.operators.wide import to_blocks, wide_butterfly, wide_long
 from ditherspark.plans.portable import EVENT_D, event_rows, hashed_words
-from ditherspark.sources.tables import load
+from ditherspark.sources.tables import load, shared_folder
 
 QUERIES, ORACLES = {}, {}
 
@@ -47,6 +47,20 @@ def planted_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _embeddings(spark, sf_dir).select(F.col("vec_id").alias("row_id"), x.alias("x"), (F.when(side >= 0, 1.0).otherwise(-1.0) * flip).alias("y"))
 
 
+def numbered(rows: DataFrame, id_col: str, per_bucket: int = 100_000) -> tuple[DataFrame, int]:
+    """(``rows`` with dense numbers ``row_id`` in place of the id, their count): places within hash buckets, whose number
+    follows the rows, after the buckets before."""
+    from pyspark.sql import Window
+
+    buckets = max(1, -(-rows.count() // per_bucket))
+    dealt = rows.withColumn("bucket", F.pmod(F.xxhash64(id_col), F.lit(buckets)))
+    sizes = dealt.groupBy("bucket").agg(F.count("*").alias("n"))  # a row a bucket
+    first = sizes.select("bucket", "n", (F.sum("n").over(Window.orderBy("bucket")) - F.col("n")).alias("first"))
+    place = F.row_number().over(Window.partitionBy("bucket").orderBy(id_col)) - 1
+    out = dealt.withColumn("place", place).join(F.broadcast(first.drop("n")), "bucket").withColumn("row_id", (F.col("place") + F.col("first")).cast("long"))
+    return out.drop("bucket", "place", "first", id_col), int(sizes.agg(F.sum("n")).first()[0] or 0)
+
+
 def _stack(parts: list[DataFrame]) -> DataFrame:
     out = parts[0]
     for p in parts[1:]:
@@ -55,26 +69,6 @@ def _stack(parts: list[DataFrame]) -> DataFrame:
 
 
 # Quantizer and codec.
-@query
-def roundtrip_mse_table(spark, sf_dir):
-    df = _embeddings(spark, sf_dir)
-    return _stack([measures.roundtrip_mse(df, a, k) for a in (2.0, 3.0, 4.0) for k in (1, 7)])
-
-
-@query
-def basis_comparison(spark, sf_dir):
-    """Roundtrip error and largest entry by basis, on dense vectors."""
-    df = _embeddings(spark, sf_dir)
-    return _stack([measures.roundtrip_mse(df, 3.0, 1, basis=b) for b in ("butterfly", "cosine", "fourier", "identity")])
-
-
-@query
-def flatness_sparse(spark, sf_dir):
-    """The same on one-hot vectors: without a flat basis the largest entry stays 1."""
-    rows = event_rows(spark, sf_dir).select(F.col("row_id").alias("vec_id"), F.transform(F.sequence(F.lit(0), F.lit(EVENT_D - 1)), lambda i: F.when(i == F.col("coord"), 1.0).otherwise(0.0)).alias("embedding"))
-    return _stack([measures.roundtrip_mse(rows, 2.0, 1, d=EVENT_D, seeds=2, basis=b) for b in ("butterfly", "cosine", "identity")])
-
-
 @query
 def inner_moment_table(spark, sf_dir):
     m = measures.sampled_moments(_embeddings(spark, sf_dir), 0.51)
@@ -149,20 +143,23 @@ def onebit_events_gap(spark, sf_dir):
 def onebit_events_gap_theorem(spark, sf_dir):
     """The same with the amplitude rule, which needs many rounds at a small step."""
     o, p, mu, _ = _events(spark, sf_dir)
-    cfg = method("onebit", RunConfig(d=EVENT_D, n_workers=16, rounds=4000, delta=0.01, bound=12.0))
-    return _event_gaps(trajectories(o, {"onebit": cfg}, every=2000), p, mu)
+    cfg = method("onebit", RunConfig(d=EVENT_D, n_workers=16, rounds=20_000, delta=0.01, bound=12.0))
+    return _event_gaps(trajectories(o, {"onebit": cfg}, every=5000), p, mu)
 
 
 @query
 def param_sweep(spark, sf_dir):
-    """Gap over K, alpha and step: more dithers and smaller steps help, a larger alpha costs."""
+    """Gap over K, alpha, step and N: more dithers, more workers and smaller steps help, a larger alpha costs."""
     o, p, mu, _ = _events(spark, sf_dir)
-    runs = {}
-    for k in (1, 15, 255):
-        for alpha in (2.0, 3.0):
-            for delta in (0.02, 0.1):
-                runs[f"K={k} alpha={alpha} delta={delta}"] = method("observed", RunConfig(d=EVENT_D, n_workers=64, rounds=100, k=k, alpha=alpha, delta=delta, bound=12.0))
-    return _event_gaps(trajectories(o, runs, every=100), p, mu).where("t = 100")
+    out = []
+    for n in (16, 64, 256):
+        runs = {}
+        for k in (1, 15, 255):
+            for alpha in (2.0, 3.0):
+                for delta in (0.02, 0.1):
+                    runs[f"N={n} K={k} alpha={alpha} delta={delta}"] = method("observed", RunConfig(d=EVENT_D, n_workers=n, rounds=100, k=k, alpha=alpha, delta=delta, bound=12.0))
+        out.append(_event_gaps(trajectories(o, runs, every=100), p, mu).where("t = 100"))
+    return _stack(out)
 
 
 @query
@@ -298,25 +295,31 @@ def distributed_rounds(spark, sf_dir):
     return spark.createDataFrame([(r["t"], float(np.abs(r["x"] - b[r["t"]]).max()), float(np.abs(r["x"]).max())) for r in a], "t int, difference double, top double")
 
 
+@query
+def oracle_descents(spark, sf_dir):
+    """Distributed rounds with the shard and the coordinate oracle: loss of each iterate, and the bits that arrived."""
+    rows = planted_rows(spark, sf_dir)
+    out = []
+    for name, oracle, up in (("shard", ShardOracle, "plain"), ("shard", ShardOracle, "onebit"), ("coordinate", CoordOracle, "onebit"), ("coordinate", CoordOracle, "vote")):
+        o = oracle(rows, "logistic")
+        base = RunConfig(d=64, n_workers=8, rounds=4, delta={"plain": 0.5, "onebit": 0.02, "vote": 0.05}[up], alpha=2.6, alpha_s=2.6, loss="logistic", server_amp="observed", bound=1.0 if name == "shard" else 8.0)
+        r = descend(o, method(up, base))
+        f, _ = o.evaluate(np.stack([t["x"] for t in r.trace] + [r.x_last]))
+        out += [(name, up, t["t"], float(v), int(t["bits_up"]), int(t["bits_down"]), float(t["v"].sum())) for t, v in zip(r.trace, f, strict=False)] + [(name, up, 4, float(f[-1]), 0, 0, 0.0)]
+    return spark.createDataFrame(out, "oracle string, method string, t int, f double, bits_up bigint, bits_down bigint, half_space double")
+
+
 @query
 def text_logistic(spark, sf_dir):
     """Quality labels from hashed words in unit rows of 1,024: sparse gradients, plain against one-bit."""
     words = hashed_words(load(spark, sf_dir, "documents", "doc_id", "text"), F.col("text"), "doc_id")
     labels = load(spark, sf_dir, "labels", "doc_id", "quality")
-    entries = words.groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("coord", "n"))).alias("m"), F.sqrt(F.sum(F.col("n") * F.col("n"))).alias("norm"))
-    x = F.transform(F.sequence(F.lit(0), F.lit(1023)), lambda i: F.coalesce(F.try_element_at("m", i).cast("double"), F.lit(0.0)) / F.col("norm"))
-    rows = entries.join(labels, "doc_id").select("doc_id", x.alias("x"), (2.0 * F.col("quality") - 1).alias("y"))
-    bucket = F.pmod(F.xxhash64("doc_id"), F.lit(64))  # dense ids by counts a bucket and ranks within it
-    counts = {r["b"]: r["n"] for r in rows.groupBy(bucket.alias("b")).agg(F.count("*").alias("n")).collect()}
-    at, first = 0, {}
-    for b in range(64):
-        first[b], at = at, at + counts.get(b, 0)
-    from pyspark.sql import Window
-
-    offset = F.create_map(*[F.lit(v) for b in first for v in (b, first[b])])
-    rank = F.row_number().over(Window.partitionBy("b").orderBy("doc_id")) - 1
-    dense = rows.withColumn("b", bucket).withColumn("row_id", (rank + offset[F.col("b")]).cast("long")).select("row_id", "x", "y")
-    o = GradientOracle(dense, "logistic", at)
+    rows = words.join(labels, "doc_id").select("doc_id", "coord", F.col("n").cast("double").alias("value"), (2.0 * F.col("quality") - 1).alias("y"))
+    rows = rows.groupBy("doc_id", "y").agg(F.collect_list("coord").alias("coords"), F.collect_list("value").alias("counts"))  # at most 1,024 a row
+    norm = F.sqrt(F.aggregate("counts", F.lit(0.0), lambda s, v: s + v * v))
+    rows = rows.select("doc_id", "y", "coords", F.transform("counts", lambda v: v / norm).alias("values"))
+    dense, at = numbered(rows, "doc_id")
+    o = SparseOracle(dense, "logistic", at)
     base = RunConfig(d=1024, n_workers=8, m_prime=4, rounds=40, delta=2.0, loss="logistic", server_amp="observed")
     t = trajectories(o, {m: method(m, base) for m in ("plain", "onebit")}, every=20)
     return measures.with_objective(t, o, False).select("run", "seed", "t", "f", "bits_up", "bits_down")
@@ -328,8 +331,8 @@ def stream_events_rounds(spark, sf_dir):
     """Eight micro-batches as eight rounds, against the same rounds on the stored batches."""
     from ditherspark.streaming.rounds import batch_round, rounds_from_stream
 
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints"
-    folder = f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    base = shared_folder(spark)
+    folder = f"{base}/stream-{uuid.uuid4().hex}"
     rows = event_rows(spark, sf_dir)
     last = rows.agg(F.max("row_id")).first()[0] or 0
     for i in range(8):

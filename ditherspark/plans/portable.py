@@ -113,14 +113,10 @@ def codec_inverse(spark, sf_dir):
 
 @query("SELECT CAST(k AS INTEGER) AS k, CAST(64 * CASE k WHEN 1 THEN 1 WHEN 3 THEN 2 WHEN 7 THEN 3 WHEN 15 THEN 4 ELSE 8 END / 8 AS INTEGER) AS bytes, 8 AS eps_bytes, count(*) AS n FROM embeddings, (SELECT unnest([1, 3, 7, 15, 255]) AS k) GROUP BY k")
 def codec_pack_bytes(spark, sf_dir):
-    from ditherspark.operators.codec import encode
+    from ditherspark.operators.codec import encode_many
 
-    rows = load(spark, sf_dir, "embeddings", "vec_id", "embedding")
-    out = None
-    for k in (1, 3, 7, 15, 255):
-        m = encode(rows, 0.51, k).groupBy("k", F.octet_length("packed").alias("bytes"), F.octet_length("eps").alias("eps_bytes")).agg(F.count("*").alias("n"))
-        out = m if out is None else out.union(m)
-    return out
+    m = encode_many(load(spark, sf_dir, "embeddings", "vec_id", "embedding"), 0.51, (1, 3, 7, 15, 255))
+    return m.groupBy("k", F.octet_length("packed").alias("bytes"), F.octet_length("eps").alias("eps_bytes")).agg(F.count("*").alias("n"))
 
 
 @query(f"WITH {_Z}, b AS (SELECT vec_id, max(abs(g)) AS top_before FROM g GROUP BY vec_id) SELECT z.vec_id, CAST(any_value(top_before) AS BIGINT) AS top_before, CAST(max(abs(z)) AS BIGINT) AS top_after, CAST(sum(CASE WHEN abs(z) > {LIMIT} THEN 1 ELSE 0 END) AS BIGINT) AS clipped FROM z JOIN b ON b.vec_id = z.vec_id GROUP BY z.vec_id")
@@ -137,12 +133,11 @@ _KS = (1, 3, 7, 15)
 @query(" UNION ALL ".join(f"SELECT * FROM (WITH {_Z}, {_q(k)} SELECT {k} AS k, count(*) AS n, CAST(sum((({LIMIT} * q - {k} * z) >> 10) * (({LIMIT} * q - {k} * z) >> 10)) AS BIGINT) AS err_sq, CAST(sum({k} * (CAST({LIMIT >> 10} AS BIGINT) * {LIMIT >> 10} - (z >> 10) * (z >> 10))) AS BIGINT) AS expected FROM q)" for k in _KS))
 def quantizer_mse_table(spark, sf_dir):
     """Squared error of K dithers against its exact mean, both times K^2 in units of 2^-10: their ratio is near 1."""
-    base, out = flattened_fx(vectors_fx(spark, sf_dir)), None
-    for k in _KS:
-        df = messages_fx(base, k).select(F.explode(F.arrays_zip("z", "q")).alias("e")).select("e.z", F.col("e.q").cast("long").alias("q"))
-        err, zs = F.shiftright(F.lit(LIMIT).cast("long") * F.col("q") - k * F.col("z"), 10), F.shiftright("z", 10)
-        row = df.agg(F.lit(k).alias("k"), F.count("*").alias("n"), F.sum(err * err).alias("err_sq"), F.sum(k * (F.lit((LIMIT >> 10) ** 2) - zs * zs)).alias("expected"))
-        out = row if out is None else out.union(row)
+    base = flattened_fx(vectors_fx(spark, sf_dir)).select(F.col("vec_id"), F.posexplode("z").alias("coord", "z"))
+    both = F.array(*[F.struct(F.lit(k).alias("k"), level(F.col("z"), k, LIMIT, 0, "tau", F.col("vec_id"), F.col("coord")).cast("long").alias("q")) for k in _KS])
+    df = base.select("z", F.explode(both).alias("e")).select("z", "e.k", "e.q")
+    err, zs = F.shiftright(F.lit(LIMIT).cast("long") * F.col("q") - F.col("k") * F.col("z"), 10), F.shiftright("z", 10)
+    out = df.groupBy("k").agg(F.count("*").alias("n"), F.sum(err * err).alias("err_sq"), F.sum(F.col("k") * (F.lit((LIMIT >> 10) ** 2) - zs * zs)).alias("expected"))
     return out.select(F.col("k").cast("int").alias("k"), "n", "err_sq", "expected")
 
 
@@ -230,15 +225,38 @@ _STAR = """st AS (SELECT CAST(floor(l_extendedprice / 100) AS BIGINT) AS y, ['on
 FROM lineitem JOIN orders ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey JOIN part ON p_partkey = l_partkey JOIN supplier ON s_suppkey = l_suppkey)"""
 
 
-def star_rows(spark, sf_dir) -> DataFrame:
-    """(y, fs): one-hot features of a line over seven tables. Small sides are broadcast as far as their size allows."""
+def star_rows(spark, sf_dir, weigh=None) -> DataFrame:
+    """(y, fs): one-hot features of a line over seven tables. With ``weigh``, which makes a number of a feature, also
+    ``total``, their sum over the line: features are made and weighed once for each row of a dimension, before the joins.
+    Nation and region have a fixed number of rows and are broadcast; the others are as far as their size allows."""
     t = lambda *a: load(spark, sf_dir, *a)
-    df = t("lineitem", "l_orderkey", "l_partkey", "l_suppkey", "l_extendedprice").join(t("orders", "o_orderkey", "o_custkey", "o_orderpriority"), F.col("o_orderkey") == F.col("l_orderkey"))
-    df = df.join(t("customer", "c_custkey", "c_nationkey", "c_mktsegment"), F.col("c_custkey") == F.col("o_custkey")).join(F.broadcast(t("nation", "n_nationkey", "n_name", "n_regionkey")), F.col("n_nationkey") == F.col("c_nationkey"))
-    df = df.join(F.broadcast(t("region", "r_regionkey", "r_name")), F.col("r_regionkey") == F.col("n_regionkey")).join(t("part", "p_partkey", "p_brand"), F.col("p_partkey") == F.col("l_partkey"))
-    df = df.join(t("supplier", "s_suppkey", "s_nationkey"), F.col("s_suppkey") == F.col("l_suppkey"))
-    c = lambda k, v: F.concat(F.lit(k + ":"), F.col(v).cast("string"))
-    return df.select(F.floor(F.col("l_extendedprice") / 100).alias("y"), F.array(F.lit("one"), c("nation", "n_name"), c("region", "r_name"), c("brand", "p_brand"), c("segment", "c_mktsegment"), c("priority", "o_orderpriority"), c("supplier", "s_nationkey")).alias("fs"))
+
+    def named(df, **features):
+        """``df`` with its features, and ``w``, the sum of their weights so far."""
+        for k, v in features.items():
+            df = df.withColumn(f"f_{k}", F.concat(F.lit(k + ":"), F.col(v).cast("string"))).drop(v)
+        if not weigh:
+            return df
+        total = sum((weigh(F.col(f"f_{k}")) for k in features), F.lit(0).cast("long"))
+        return df.withColumn("w", total + (F.col("w") if "w" in df.columns else 0))
+
+    def joined(big, small, on):
+        small = small.withColumnRenamed("w", "w2")
+        out = big.join(small, on)
+        return out.withColumn("w", F.col("w") + F.col("w2")).drop("w2") if weigh else out
+
+    region = named(t("region", "r_regionkey", "r_name"), region="r_name")
+    nation = joined(named(t("nation", "n_nationkey", "n_name", "n_regionkey"), nation="n_name"), F.broadcast(region), F.col("r_regionkey") == F.col("n_regionkey"))
+    customer = joined(named(t("customer", "c_custkey", "c_nationkey", "c_mktsegment"), segment="c_mktsegment"), F.broadcast(nation), F.col("n_nationkey") == F.col("c_nationkey"))
+    orders = joined(named(t("orders", "o_orderkey", "o_custkey", "o_orderpriority"), priority="o_orderpriority"), customer, F.col("c_custkey") == F.col("o_custkey"))
+    part, supplier = named(t("part", "p_partkey", "p_brand"), brand="p_brand"), named(t("supplier", "s_suppkey", "s_nationkey"), supplier="s_nationkey")
+    df = t("lineitem", "l_orderkey", "l_partkey", "l_suppkey", "l_extendedprice")
+    df = df.withColumn("w", weigh(F.lit("one"))) if weigh else df
+    df = joined(df, part, F.col("p_partkey") == F.col("l_partkey"))
+    df = joined(df, supplier, F.col("s_suppkey") == F.col("l_suppkey"))
+    df = joined(df, orders, F.col("o_orderkey") == F.col("l_orderkey"))
+    features = F.array(F.lit("one"), *[f"f_{k}" for k in ("nation", "region", "brand", "segment", "priority", "supplier")])
+    return df.select(F.floor(F.col("l_extendedprice") / 100).alias("y"), features.alias("fs"), *([F.col("w").alias("total")] if weigh else []))
 
 
 @query(f"WITH {_STAR} SELECT f AS feature, count(*) AS n, CAST(sum(y) AS BIGINT) AS total FROM (SELECT y, unnest(fs) AS f FROM st) GROUP BY f")
@@ -251,10 +269,9 @@ _XF = sql_hash60("0", repr("star"), "f")
 
 @query(f"WITH {_STAR}, i AS (SELECT row_number() OVER () AS id, y, fs FROM st), l AS (SELECT id, y, unnest(fs) AS f FROM i), r AS (SELECT id, sum({_XF} % 201 - 100) - any_value(y) AS r FROM l GROUP BY id) SELECT f AS feature, CAST(sum(2 * r) AS BIGINT) AS grad FROM l JOIN r ON r.id = l.id GROUP BY f")
 def star_lsq_gradient(spark, sf_dir):
-    """Sparse least-squares gradient: residuals stay in the row, so one shuffle, of sums by feature."""
-    x = lambda f: uniform_int(201, 0, "star", f) - 100
-    r = F.aggregate("fs", -F.col("y"), lambda s, f: s + x(f))
-    df = star_rows(spark, sf_dir).withColumn("r", r)
+    """Sparse least-squares gradient: weights come with the dimensions, residuals stay in the row, so beside the joins one
+    shuffle, of sums by feature."""
+    df = star_rows(spark, sf_dir, lambda f: uniform_int(201, 0, "star", f) - 100).withColumn("r", F.col("total") - F.col("y"))
     return df.select("r", F.explode("fs").alias("feature")).groupBy("feature").agg(F.sum(2 * F.col("r")).alias("grad"))
 
 
@@ -360,8 +377,16 @@ def direction_diversity(spark, sf_dir):
 def hashed_words(df: DataFrame, text: Column, *ids: str, buckets: int = 1024) -> DataFrame:
     """(ids, coord, n): words between spaces, hashed. Counts are within a row, so nothing but the result is shuffled."""
     words = F.filter(F.split(text, " "), lambda w: w != "")
-    out = df.select(*ids, F.explode(words).alias("w")).select(*ids, uniform_int(buckets, "word", F.col("w")).cast("int").alias("coord"))
-    return out.groupBy(*ids, "coord").agg(F.count("*").alias("n"))
+    hashed = F.array_sort(F.transform(words, lambda w: uniform_int(buckets, "word", w).cast("int")))
+
+    def counted(h: Column) -> Column:
+        """A struct for each different bucket: it and how often it stands in the sorted array."""
+        n = F.size(h)
+        ends = F.filter(F.sequence(F.lit(1), n), lambda i: (i == n) | (F.get(h, i) != F.get(h, i - 1)))
+        pair = lambda e: F.transform(e, lambda i, k: F.struct(F.get(h, i - 1).alias("coord"), (i - F.when(k > 0, F.get(e, k - 1)).otherwise(0)).cast("long").alias("n")))
+        return F.when(n > 0, bound(ends, pair))
+
+    return df.select(*ids, F.explode(bound(hashed, counted)).alias("c")).select(*ids, "c.coord", "c.n")
 
 
 def _words_sql(table: str, ids: str, text: str) -> str:
@@ -388,37 +413,6 @@ def benchmark_features(spark, sf_dir):
     return hashed_words(load(spark, sf_dir, "benchmark", "item_id", "text"), F.col("text"), "item_id")
 
 
-# Ledgers and bounds.
-_LEDGER = [(m, p, n * b) for n in (16,) for m, up, down in (("plain", 32 * 64, 32 * 64), ("onebit", 128, 576), ("seed_wire", 128, 576), ("vote", 64, 64), ("sign_mean", 64, 2048)) for p, b in (("up", up), ("down", down / n))]
-_VALUES = ", ".join(f"('{m}', '{p}', {int(b)})" for m, p, b in _LEDGER)
-
-
-@query(f"SELECT coalesce(method, 'all') AS method, coalesce(party, 'all') AS party, CAST(sum(bits * 100) AS BIGINT) AS bits FROM (VALUES {_VALUES}) AS l(method, party, bits) GROUP BY ROLLUP (method, party)")
-def bits_ledger(spark, sf_dir):
-    """Bits of 100 rounds by method and party, d = 64, N = 16, K = 255, with subtotals."""
-    rows = spark.createDataFrame([(m, p, int(b)) for m, p, b in _LEDGER], "method string, party string, bits bigint")
-    out = rows.rollup("method", "party").agg(F.sum(F.col("bits") * 100).alias("bits"))
-    return out.select(F.coalesce("method", F.lit("all")).alias("method"), F.coalesce("party", F.lit("all")).alias("party"), "bits")
-
-
-_U = "(alpha * alpha * ln(d))"
-_TERMS = {
-    "worker_share": "alpha * alpha * 8 * ln(d) / n * 0.01",
-    "server_share": "alpha * alpha * 4 * alpha * alpha * ln(d) * ln(d) / k * 0.01",
-    "clip_sq": f"32 * 0.01 * (n * exp(-{_U} / 8) + {_U} * exp(-{_U} / 8))",
-    "roundtrip_mse": f"{_U} + 8 * exp(-{_U} / 8)",
-    "rho_tight": f"2 * (1 + alpha * sqrt(ln(d))) * exp(-{_U} / 4)",
-    "flatness_failure": f"2 * exp(-{_U} / 4)",
-}
-
-
-@query("SELECT d, n, k, alpha, " + ", ".join(f"round({e}, 6) AS {a}" for a, e in _TERMS.items()) + " FROM (SELECT CAST(unnest([16, 64, 1024]) AS INTEGER) AS d), (SELECT CAST(unnest([16, 1024]) AS INTEGER) AS n), (SELECT CAST(unnest([1, 255]) AS INTEGER) AS k), (SELECT CAST(unnest([2.0, 3.0, 4.0]) AS DOUBLE) AS alpha)")
-def bound_terms(spark, sf_dir):
-    """Terms of the bounds over a grid, B = 1 and step 0.01."""
-    grid = spark.range(1).select(F.explode(F.array(*map(F.lit, (16, 64, 1024)))).alias("d")).withColumn("n", F.explode(F.array(F.lit(16), F.lit(1024)))).withColumn("k", F.explode(F.array(F.lit(1), F.lit(255)))).withColumn("alpha", F.explode(F.array(*map(F.lit, (2.0, 3.0, 4.0)))))
-    return grid.select("d", "n", "k", "alpha", *[F.round(F.expr(e), 6).alias(a) for a, e in _TERMS.items()])
-
-
 # Around the methods: audits, features of nested columns, replay.
 @query(f"WITH d AS ({_draw_sql(4, 8, 16, 'events')}) SELECT event_type, count(*) AS never FROM events WHERE event_id NOT IN (SELECT row_id FROM d) GROUP BY event_type")
 def never_drawn(spark, sf_dir):

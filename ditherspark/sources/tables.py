@@ -16,3 +16,14 @@ def load(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFram
         raise ValueError(f"no table {name}")
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """``spark.checkpoint.dir``, which all machines see. Unset, a folder below /tmp serves a single machine (tests); a
+    cluster without it is refused."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all machines see")
+        base = "file:///tmp/checkpoints"
+    return base.rstrip("/")

@@ -4,11 +4,11 @@ import duckdb
 import pandas as pd
 import pytest
 
-from ditherspark.plans import experiments, portable
+from ditherspark.plans import experiments, portable, replays
 from ditherspark.sources.tables import TABLES
 
-ALL = portable.QUERIES | experiments.QUERIES
-SQL = portable.ORACLES | experiments.ORACLES
+ALL = portable.QUERIES | experiments.QUERIES | replays.QUERIES
+SQL = portable.ORACLES | experiments.ORACLES | replays.ORACLES
 
 
 @pytest.fixture(scope="module")
