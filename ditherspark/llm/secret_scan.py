@@ -5,7 +5,10 @@ character counts, and with them sum(c*log2 c), change by one character in and on
 every window costs O(1). The threshold is that of the narrowest class that holds the window: hexadecimal of either
 case, base32, letters of one case with digits, letters and digits, all candidate characters. Each class's threshold but
 the last is what 98 % of windows of random characters of its alphabet reach. In the three middle classes digits must stand
-apart, as in keys: words with a number at an end are held to the last class. Windows above it are united to one span, which an allow-list may suppress; pattern spans are never suppressed.
+apart, as in keys: words with a number at an end are held to the last class. Letters without a digit are held to what
+few words reach. A window that holds a whole match of the allow-list is suppressed, and no other; the rest above their
+threshold are united to spans. An identifier of hexadecimal groups is suppressed if it is the whole candidate. Pattern
+spans are never suppressed.
 
 Nulls count as empty texts. Empty texts have no span. Rows are independent of each other, so repeated rows, ties and
 an empty table need no rule; columns other than the id and the text pass through untouched by ``redact`` and are not
@@ -52,7 +55,7 @@ _CLASSES = (_DIGIT, "abcdef", _LOWER, _UPPER, "ABCDEF", "0189")
 _HEX_LUT = _lut(_DIGIT + "abcdef")
 _CAND_LUT = _lut(_LOWER + _UPPER + _DIGIT + "+/_=-")
 
-#: Known harmless strings: documentation keys, placeholders, ids that are public by nature. Searched in the span.
+#: Known harmless strings: documentation keys, placeholders, ids that are public by nature. Searched in the candidate.
 ALLOW = (
     r"(?i)example|sample|placeholder|change_?me|dummy|redacted|your[_-]",
     r"^[0-9a-fA-F]{8}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{12}$",
@@ -71,7 +74,8 @@ class EntropyRule:
     base32: float = 3.4
     one_case_digits: float = 3.48
     alphanumeric: float = 3.68  # both cases and digits
-    one_case: float = 9.0  # words
+    letters: float = 3.9  # without a digit: few words of this length have so many different ones
+    words: float = 9.0  # letters with +/_=- and few digits: words joined by marks
     mixed: float = 3.9  # letters of either case with digits, beside +/_=-, or with digits that don't stand apart
     allow: tuple[str, ...] = ALLOW
 
@@ -79,7 +83,7 @@ class EntropyRule:
         """The threshold of the narrowest class that holds a window with these counts; ``n_not32`` are digits that base32
         lacks, ``turns`` changes between a digit and another character."""
         if not n_digit:
-            return self.one_case
+            return self.letters if n_lower + n_upper == self.window else self.words
         if n_digit == self.window:
             return self.digits
         if n_digit + n_hexletter + n_hexupper == self.window:
@@ -90,14 +94,14 @@ class EntropyRule:
             return self.one_case_digits if n_not32 else self.base32
         if n_lower and n_upper:
             return self.mixed
-        return self.mixed if n_digit * 5 >= self.window else self.one_case
+        return self.mixed if n_digit * 5 >= self.window else self.words
 
 
 _CLOGC = [0.0] + [c * math.log2(c) for c in range(1, 4097)]
 
 
-def hot_windows(s: str, rule: EntropyRule) -> list[tuple[int, int]]:
-    """United windows of ``s`` whose entropy reaches their class's threshold, by incremental counts."""
+def hot_starts(s: str, rule: EntropyRule) -> list[int]:
+    """Starts of the windows of ``s`` whose entropy reaches their class's threshold, by incremental counts."""
     w, out = rule.window, []
     if len(s) < w:
         return out
@@ -119,14 +123,38 @@ def hot_windows(s: str, rule: EntropyRule) -> list[tuple[int, int]]:
                 kinds[k] -= old in chars
             kinds[6] -= (old in _DIGIT) != (s[i - w + 1] in _DIGIT)
         if i >= w - 1 and math.log2(w) - total / w >= rule.threshold(*kinds) - 1e-9:
-            a, b = i - w + 1, i + 1
-            if out and out[-1][1] >= a:
-                out[-1] = (out[-1][0], b)
-            else:
-                out.append((a, b))
+            out.append(i - w + 1)
     return out
 
 
+def united(starts: list[int], window: int) -> list[tuple[int, int]]:
+    """Windows that overlap or touch as one span."""
+    out: list[tuple[int, int]] = []
+    for a in starts:
+        if out and out[-1][1] >= a:
+            out[-1] = (out[-1][0], a + window)
+        else:
+            out.append((a, a + window))
+    return out
+
+
+def hot_windows(s: str, rule: EntropyRule) -> list[tuple[int, int]]:
+    """The spans of ``s`` before suppression."""
+    return united(hot_starts(s, rule), rule.window)
+
+
+def unsuppressed(s: str, starts: list[int], window: int, allow: list[re.Pattern]) -> list[int]:
+    """Those of ``starts`` whose windows hold no whole match of the allow-list."""
+    for p in allow:
+        if not starts:
+            break
+        found = [m.span() for m in p.finditer(s)]
+        if any(b - a == len(s) for a, b in found):  # the candidate is such a string itself
+            return []
+        starts = [i for i in starts if not any(i <= a and b <= i + window for a, b in found)]
+    return starts
+
+
 def find_spans(text: str, rule: EntropyRule = EntropyRule(), kinds: tuple[bool, bool, bool, bool] = (True,) * 4) -> list[tuple[str, int, int]]:
     """(kind, start, end) of every secret of ``text`` in code points, by start, then kind as listed."""
     out = []
@@ -140,7 +168,8 @@ def find_spans(text: str, rule: EntropyRule = EntropyRule(), kinds: tuple[bool,
         allow = [re.compile(p) for p in rule.allow]
         for m in _CANDIDATE.finditer(text):
             if len(m[0]) >= rule.window:
-                out += [("entropy", m.start() + a, m.start() + b) for a, b in hot_windows(m[0], rule) if not any(p.search(m[0][a:b]) for p in allow)]
+                starts = unsuppressed(m[0], hot_starts(m[0], rule), rule.window, allow)
+                out += [("entropy", m.start() + a, m.start() + b) for a, b in united(starts, rule.window)]
     return sorted(out, key=lambda s: (s[1], KINDS.index(s[0]), s[2]))
 
 

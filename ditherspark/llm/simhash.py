@@ -133,15 +133,17 @@ def links(distinct: DataFrame, distance: int = 2, segments: int = 16, wide_key:
 
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
-    """(node, root): the smallest node reachable, for every node of ``edges`` (u, v), by alternating star rounds."""
+    """(node, root): the smallest node reachable, for every node of ``edges`` (u, v), by alternating star rounds. Minima are
+    stored before they are joined back, so a hub's edges can be split between tasks or meet a broadcast minimum."""
     edges = edges.select(F.greatest("u", "v").alias("a"), F.least("u", "v").alias("b")).where("a <> b").distinct()
     edges = written(edges, "links")
     rows, before = edges.count(), None
     for _ in range(most):
         both = edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("a", "m"))
+        least = written(both.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("a", "m")), "least", rows)
         large = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        least = large.groupBy("a").agg(F.min("b").alias("m"))
+        large = written(large, "large", rows)
+        least = written(large.groupBy("a").agg(F.min("b").alias("m")), "least", rows)
         small = large.join(least, "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("e"))
         seen = Observation()
         after = small.select("e.*").where("a <> b").distinct().observe(seen, F.count(F.lit(1)).alias("n"), F.sum(F.hash("a", "b").cast("long")).alias("h"))
@@ -161,8 +163,8 @@ def classes(docs: DataFrame, shingle: int = 3, distance: int = 2, segments: int
     fps = written(fingerprints(docs, shingle), "fingerprints")
     distinct = written(fps.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "distinct", fps.count())
     found = components(links(distinct.select("fp"), distance, segments, wide_key))
-    labelled = distinct.join(found, distinct.fp == found.node).select("fp", "root", "least_id")
-    ids = labelled.groupBy("root").agg(F.min("least_id").alias("linked_id"))
+    labelled = written(distinct.join(found, distinct.fp == found.node).select("fp", "root", "least_id"), "labelled")
+    ids = written(labelled.groupBy("root").agg(F.min("least_id").alias("linked_id")), "ids")
     linked = labelled.join(ids, "root").select("fp", "linked_id")
     named = distinct.join(linked, "fp", "left").select("fp", F.coalesce("linked_id", "least_id").alias("component_id"))
     return fps, written(named, "classes", distinct.count())

@@ -1,16 +1,21 @@
 """WARC archives of individually compressed records under a shared Zstandard dictionary.
 
-A dictionary is built from payloads of records. Every archive begins with a skippable frame (magic 0x184D2A5D) that holds
-it, and each record is one Zstandard frame, so a reader needs nothing but the archive and can start at any record.
-Records with equal payloads of ``least_revisit`` bytes or more are stored once: that with the smallest page id is the
-response, the others are revisits that name it.
+A dictionary is built from records: parts from all over a record, header included, at most ``sample_bytes`` of each of
+about ``samples`` pages, those with the least hashes of their ids. Both bounds are parameters and affect compression only.
+Every archive begins with a skippable frame (magic 0x184D2A5D) that holds the dictionary, then a warcinfo record, and each
+record is one Zstandard frame, so a reader needs nothing but the archive and can start at any record. Records with equal
+payloads of ``least_revisit`` bytes or more are stored once: that with the smallest page id is the response, the others
+are revisits that name it. ``date`` is the WARC-Date of all records, as pages carry none.
+
+Only digests that repeat are joined back, from a stored table: as long as it can be broadcast pages are not shuffled,
+beyond that a common digest's pages can be split between tasks.
 
 Archives are rows (archive_id, content) of a table in the shared folder, each of about ``archive_bytes`` of payload: a
 task that is run again writes the same rows. ``export`` writes them as .warc.zst files to any folder that the driver sees.
 
 A null payload is an empty one; payloads shorter than the limit are all responses. Rows that repeat a page id and its
-payload are of one kind. Null ids are written as such, null urls as empty. An empty table gives no archive.
-Columns other than those named are not read.
+payload are of one kind. Ids may be whole numbers or strings and come back as they were; a null id is written without
+one, null urls as empty. An empty table gives no archive. Columns other than those named are not read.
 """
 
 from __future__ import annotations
@@ -19,6 +24,7 @@ import hashlib
 import struct
 from collections.abc import Iterator
 from dataclasses import dataclass
+from urllib.parse import quote, unquote
 
 import pyarrow as pa
 import zstandard
@@ -33,13 +39,16 @@ VERSION = "WARC/1.1"
 
 @dataclass(frozen=True)
 class ArchiveRule:
-    """Payload bytes an archive holds, dictionary size, payloads it is built from, level, and from where copies revisit."""
+    """Payload bytes an archive holds, dictionary size, pages it is built from and bytes of each, level, from where copies
+    revisit, and the records' date."""
 
     archive_bytes: int = 8 << 20
     dictionary_bytes: int = 64 << 10
     samples: int = 1000
+    sample_bytes: int = 16 << 10
     level: int = 3
     least_revisit: int = 100
+    date: str = "1970-01-01T00:00:00Z"
 
 
 def build_dictionary(payloads: list[bytes], size: int) -> bytes:
@@ -58,16 +67,40 @@ def _clean(url: str | None) -> str:
     return "".join(c for c in url or "" if c not in "\r\n")
 
 
-def record(page_id, url, payload: bytes, digest: str, refers_to) -> bytes:
+def uri(page_id) -> str:
+    """A record's id; percent signs keep any string within one header line."""
+    return "<urn:page>" if page_id is None else f"<urn:page:{quote(str(page_id), safe='')}>"
+
+
+def page_of(name: str | None) -> str | None:
+    """The page id, as text, of a record's id."""
+    return unquote(name[len("<urn:page:") : -1]) if name and name != "<urn:page>" else None
+
+
+def record(page_id, url, payload: bytes, digest: str, refers_to, date: str = ArchiveRule.date) -> bytes:
     """A response or revisit record. A revisit has the payload's length and digest, but not the payload."""
-    name = "null" if page_id is None else page_id
     kind, body = ("response", payload) if refers_to is None else ("revisit", b"")
-    fields = [("WARC-Type", kind), ("WARC-Record-ID", f"<urn:page:{name}>"), ("WARC-Target-URI", _clean(url)), ("WARC-Payload-Digest", f"sha256:{digest}"), ("X-Payload-Length", len(payload))]
+    fields = [("WARC-Type", kind), ("WARC-Record-ID", uri(page_id)), ("WARC-Date", date), ("WARC-Target-URI", _clean(url)), ("WARC-Payload-Digest", f"sha256:{digest}"), ("X-Payload-Length", len(payload))]
     if refers_to is not None:
-        fields += [("WARC-Refers-To", f"<urn:page:{refers_to}>"), ("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")]
+        fields += [("WARC-Refers-To", uri(refers_to)), ("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")]
     return _header([*fields, ("Content-Type", "text/html; charset=utf-8"), ("Content-Length", len(body))]) + body + b"\r\n\r\n"
 
 
+def info(date: str = ArchiveRule.date) -> bytes:
+    """The record that an archive begins with."""
+    body = b"format: WARC File Format 1.1\r\n"
+    return _header([("WARC-Type", "warcinfo"), ("WARC-Record-ID", "<urn:info>"), ("WARC-Date", date), ("Content-Type", "application/warc-fields"), ("Content-Length", len(body))]) + body + b"\r\n\r\n"
+
+
+def sample_of(whole: bytes, most: int) -> bytes:
+    """``most`` bytes of a record: its start, and parts at even distances."""
+    if len(whole) <= most:
+        return whole
+    part = most // 4
+    step = (len(whole) - part) / 3
+    return b"".join(whole[int(i * step) : int(i * step) + part] for i in range(4))
+
+
 def write_archive(records: Iterator[bytes], dictionary: bytes, level: int = 3) -> bytes:
     """Dictionary frame, then one frame a record."""
     packer = zstandard.ZstdCompressor(level=level, dict_data=zstandard.ZstdCompressionDict(dictionary) if dictionary else None, write_content_size=True, write_checksum=True)
@@ -98,26 +131,44 @@ def with_first(pages: DataFrame, rule: ArchiveRule = ArchiveRule()) -> DataFrame
     """(page_id, url, html, digest, refers_to): revisits name the least page id among equal payloads. Only digests are
     shuffled, summed in each task first; what comes back is a row for each payload that repeats."""
     rows = pages.select("page_id", "url", F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html"))
-    rows = rows.withColumn("digest", F.sha2(F.col("html").cast("binary"), 256))
-    keys = rows.where(F.octet_length("html") >= rule.least_revisit).groupBy("digest")
-    firsts = keys.agg(F.min("page_id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
-    out = rows.join(firsts, "digest", "left")
+    digest = F.sha2(F.col("html").cast("binary"), 256)
+    keys = rows.where(F.octet_length("html") >= rule.least_revisit).select("page_id", digest.alias("digest")).groupBy("digest")
+    firsts = written(keys.agg(F.min("page_id").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"), "firsts")
+    out = rows.withColumn("digest", digest).join(firsts, "digest", "left")
     again = F.col("first").isNotNull() & ((F.col("page_id") != F.col("first")) | F.col("page_id").isNull())
     return out.select("page_id", "url", "html", "digest", F.when(again, F.col("first")).alias("refers_to"))
 
 
+def dictionary_of(pages: DataFrame, rule: ArchiveRule = ArchiveRule()) -> bytes:
+    """A dictionary out of the records of some ``samples`` pages, chosen by a limit on the ids' hashes."""
+    share = min(1.0, rule.samples / max(1, pages.count()))
+    some = pages.where("html IS NOT NULL").where(F.pmod(F.xxhash64("page_id"), F.lit(1 << 20)) < share * (1 << 20))
+    some = some.select("page_id", "url", F.col("html").cast("string").alias("html"))
+
+    def run(batches):
+        for batch in batches:
+            for part in sliced(batch, "html"):
+                out = []
+                for p, u, h in zip(*(part[c].to_pylist() for c in ("page_id", "url", "html")), strict=True):
+                    payload = h.encode()
+                    out.append(sample_of(record(p, u, payload, hashlib.sha256(payload).hexdigest(), None, rule.date), rule.sample_bytes))
+                yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], ["part"])
+
+    parts = [bytes(r["part"]) for r in some.mapInArrow(run, "part binary").collect()]  # some samples * sample_bytes
+    return build_dictionary(sorted(parts), rule.dictionary_bytes)
+
+
 def archives(pages: DataFrame, rule: ArchiveRule = ArchiveRule()) -> DataFrame:
     """(archive_id, content), stored in the shared folder."""
     rows = with_first(pages, rule)
-    sample = pages.where("html IS NOT NULL").select("page_id", "html").orderBy(F.xxhash64("page_id"), "page_id").limit(rule.samples)
-    dictionary = build_dictionary([r["html"].encode()[: 16 << 10] for r in sample.toLocalIterator()], rule.dictionary_bytes)
+    dictionary = dictionary_of(pages, rule)
 
     def run(batches):
         held, size, made = [], 0, 0
 
         def archive():
             nonlocal held, size, made
-            content = write_archive(iter(held), dictionary, rule.level)
+            content = write_archive(iter([info(rule.date), *held]), dictionary, rule.level)
             name = hashlib.sha256(content).hexdigest()[:32]
             held, size, made = [], 0, made + 1
             return pa.RecordBatch.from_arrays([pa.array([name]), pa.array([content], pa.binary())], ["archive_id", "content"])
@@ -126,7 +177,7 @@ def archives(pages: DataFrame, rule: ArchiveRule = ArchiveRule()) -> DataFrame:
             for part in sliced(batch, "html"):
                 for p, u, h, d, r in zip(*(part[c].to_pylist() for c in ("page_id", "url", "html", "digest", "refers_to")), strict=True):
                     payload = h.encode()
-                    held.append(record(p, u, payload, d, r))
+                    held.append(record(p, u, payload, d, r, rule.date))
                     size += len(payload)
                     if size >= rule.archive_bytes:
                         yield archive()
@@ -140,28 +191,30 @@ def records(table: DataFrame, id_type: str = "bigint") -> DataFrame:
     """What the archives hold: page_id, url, record_type, payload_digest, payload_bytes, refers_to, body. The body of a
     response is checked against its digest and length."""
 
+    fields = [("page_id", pa.string()), ("url", pa.string()), ("record_type", pa.string()), ("payload_digest", pa.string()), ("payload_bytes", pa.int64()), ("refers_to", pa.string()), ("body", pa.binary())]
+
     def run(batches):
-        number = (lambda s: None if s in (None, "null") else int(s)) if id_type in ("int", "bigint") else (lambda s: s)
-        ident = lambda s: number(s[len("<urn:page:") : -1]) if s else None
-        fields = [("page_id", id_type), ("url", "string"), ("record_type", "string"), ("payload_digest", "string"), ("payload_bytes", "bigint"), ("refers_to", id_type), ("body", "binary")]
-        kinds = {"bigint": pa.int64(), "int": pa.int32(), "string": pa.string(), "binary": pa.binary()}
-        schema = pa.schema([(n, kinds[t]) for n, t in fields])
+        schema = pa.schema(fields)
+        made = lambda rows: pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), schema.types, strict=True)], schema=schema)
         for batch in batches:
             for content in batch["content"]:
                 rows, size = [], 0
                 for f, body in read_archive(content.as_py()):
+                    if f["WARC-Type"] == "warcinfo":
+                        continue
                     digest, length = f["WARC-Payload-Digest"].removeprefix("sha256:"), int(f["X-Payload-Length"])
                     if f["WARC-Type"] == "response" and (len(body) != length or hashlib.sha256(body).hexdigest() != digest):
                         raise ValueError("payload differs from its digest")
-                    rows.append((ident(f["WARC-Record-ID"]), f["WARC-Target-URI"], f["WARC-Type"], digest, length, ident(f.get("WARC-Refers-To")), body))
+                    rows.append((page_of(f["WARC-Record-ID"]), f["WARC-Target-URI"], f["WARC-Type"], digest, length, page_of(f.get("WARC-Refers-To")), body))
                     size += len(body)
                     if size > 4 << 20:
-                        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), schema.types, strict=True)], schema=schema)
+                        yield made(rows)
                         rows, size = [], 0
                 if rows:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), schema.types, strict=True)], schema=schema)
+                    yield made(rows)
 
-    return table.mapInArrow(run, f"page_id {id_type}, url string, record_type string, payload_digest string, payload_bytes bigint, refers_to {id_type}, body binary")
+    out = table.mapInArrow(run, "page_id string, url string, record_type string, payload_digest string, payload_bytes bigint, refers_to string, body binary")
+    return out.withColumns({c: F.col(c).cast(id_type) for c in ("page_id", "refers_to")}) if id_type != "string" else out
 
 
 def export(table: DataFrame, folder: str) -> list[str]:

@@ -285,7 +285,9 @@ def test_archives(spark, sf):
 def test_archive_file_stands_alone(spark, sf, tmp_path):
     pages = spark.read.parquet(f"{sf}/pages.parquet")
     paths = warc.export(warc.archives(pages), str(tmp_path))
-    assert sum(1 for p in paths for _ in warc.read_archive(open(p, "rb").read())) == pages.count()
+    kinds = [f for p in paths for f, _ in warc.read_archive(open(p, "rb").read())]
+    assert sum(f["WARC-Type"] != "warcinfo" for f in kinds) == pages.count()
+    assert sum(f["WARC-Type"] == "warcinfo" for f in kinds) == len(paths) and all("WARC-Date" in f for f in kinds)
     with pytest.raises(ValueError):
         list(warc.read_archive(b"\0" * 16))
 

@@ -45,3 +45,20 @@ def test_counts_follow_the_window():
             if h >= rule.threshold(*kinds, sum((a in DIGIT) != (b in DIGIT) for a, b in zip(w, w[1:]))) - 1e-9:
                 want |= set(range(i, i + 20))
         assert {i for a, b in secret_scan.hot_windows(s, rule) for i in range(a, b)} == want
+
+
+def test_keys_without_a_digit():
+    g = np.random.default_rng(16)
+    for alphabet, length, least in ((LOWER + UPPER, 40, 0.95), (LOWER + UPPER, 24, 0.7), (LOWER, 64, 0.5)):
+        keys = ["".join(alphabet[i] for i in g.integers(0, len(alphabet), length)) for _ in range(600)]
+        assert np.mean([any(k == "entropy" for k, _, _ in secret_scan.find_spans(f"x {k} y")) for k in keys]) >= least
+
+
+def test_suppression_covers_what_it_matches():
+    key, other = "q7Zp2LmX9vRt4KsW8yBn3Hc6", "t5Gx1QwE8rTz6UiP0aSd4Fg9"
+    assert secret_scan.find_spans(key) and not secret_scan.find_spans("q7Zp2LmEXAMPLE9vRt4KsW8")
+    found = secret_scan.find_spans(key + "EXAMPLE" + other)  # windows that don't hold the word cover both keys
+    assert {i for _, a, b in found for i in range(a, b)} >= {*range(24), *range(31, 55)}
+    assert not secret_scan.find_spans("x" * 5 + "EXAMPLE" + key[:8])
+    assert not secret_scan.find_spans("3f2504e0-4f89-11d3-9a0c-0305e82c3301")
+    assert secret_scan.find_spans(key + "aaaaaa" + other)
