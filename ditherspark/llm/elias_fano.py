@@ -47,6 +47,7 @@ class Sequence:
     def __init__(self, arrays: dict[str, np.ndarray]):
         self.n, self.low_bits, self.n_zeros = (int(x) for x in arrays["size"])
         self.upper, self.zeros, self.low = arrays["upper"], arrays["zeros"], arrays["low"]
+        self.ones = np.arange(len(self.zeros)) * 64 * _BLOCK - self.zeros
 
     def _select0(self, k: np.ndarray) -> np.ndarray:
         """Position of the k-th zero, counted from 0."""
@@ -80,13 +81,16 @@ class Sequence:
         got |= np.where(shift > 0, self.low[word + 1] << ((np.uint64(64) - shift) & np.uint64(63)), np.uint64(0))
         return got & np.uint64((1 << self.low_bits) - 1)
 
-    def _bisect(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """For each key: the first index not less within its high part, the end of that part, low part, high part known."""
+    def _bisect(self, keys: np.ndarray, first: np.ndarray | None = None, stop: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """For each key: the first index not less within its high part and ``first``..``stop``, the end of that range, low
+        part, high part known."""
         high = keys >> np.uint64(self.low_bits)
         inside = high < np.uint64(self.n_zeros)
         h = np.where(inside, high, np.uint64(0)).astype(np.int64)
         lo = np.where(h > 0, self._select0(np.maximum(h - 1, 0)) - h + 1, 0)
         end = self._select0(h) - h
+        if first is not None:
+            lo, end = np.maximum(lo, first), np.minimum(end, stop)
         hi, low = end.copy(), keys & np.uint64((1 << self.low_bits) - 1)
         open_ = np.flatnonzero(lo < hi)
         while len(open_):
@@ -104,11 +108,11 @@ class Sequence:
         lo, _, _, inside = self._bisect(np.asarray(keys, np.uint64))
         return np.where(inside, lo, self.n)
 
-    def find(self, keys: np.ndarray) -> np.ndarray:
-        """Index of each key, -1 where it is not in the sequence."""
+    def find(self, keys: np.ndarray, first: np.ndarray | None = None, stop: np.ndarray | None = None) -> np.ndarray:
+        """Index of each key, -1 where it is not in the sequence, or not between ``first`` and ``stop`` if these are given."""
         if not self.n:
             return np.full(len(keys), -1)
-        lo, end, low, inside = self._bisect(np.asarray(keys, np.uint64))
+        lo, end, low, inside = self._bisect(np.asarray(keys, np.uint64), first, stop)
         ok = np.flatnonzero(inside & (lo < end))
         ok = ok[self._low_at(lo[ok]) == low[ok]]
         out = np.full(len(keys), -1)
@@ -117,9 +121,8 @@ class Sequence:
 
     def access(self, i: np.ndarray) -> np.ndarray:
         """The numbers at ``i``: the i-th one is found by bisection over blocks, then bits."""
-        ones_before = np.arange(len(self.zeros)) * 64 * _BLOCK - self.zeros
-        block = np.searchsorted(ones_before, i, side="right") - 1
-        left, word = i - ones_before[block], block * _BLOCK
+        block = np.searchsorted(self.ones, i, side="right") - 1
+        left, word = i - self.ones[block], block * _BLOCK
         for _ in range(_BLOCK - 1):
             have = np.bitwise_count(self.upper[word]).astype(np.int64)
             on = left >= have

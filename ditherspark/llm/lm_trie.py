@@ -1,17 +1,21 @@
 """LM scoring by an Elias-Fano n-gram trie in memory-mapped levels.
 
 Words are known by 64-bit hashes. Level one is the rising sequence of the hashes of all training words: the position is
-the word's id, and its count stands beside it. Level two holds, for each word, the words that follow it, as context base
-plus word id, which rises over the whole level; a monotone pointer sequence gives where each context's successors begin,
-and a bigram is found by a successor search from its context's base. Beside each bigram stands its smoothed log10
-probability, quantised to one of 256 levels. Probabilities are interpolated with a Dirichlet prior on the next lower
-order: (c(v,w) + strength * p(w)) / (c(v) + strength), p(w) = (c(w) + 0.5) / (N + 0.5 (V + 1)); what a bigram lacks is
-backed off with weight strength / (c(v) + strength). A text is a chain that begins and ends with the end token.
-
-Levels are built in shards by key, each about the same size whatever the words' frequencies, as keys are hashed and
-counts are summed in each task first. Tasks write shard files into the shared folder (a task run again writes the same
-bytes) and score texts by mapping them; where the folder is not a mounted one, a shard is copied to a local file that is
-unlinked as soon as it is mapped. No n-gram is pruned, and the driver holds only the shards' sizes.
+the word's id, and its count stands beside it. Level two holds, for each word, the words that follow it. The context
+chooses the shard, so its successors lie together; only a context of more than ``SPLIT_TOKENS`` tokens is dealt to
+several, by the word that follows. In a shard the contexts' ids rise, a monotone pointer sequence gives where each one's
+successors begin, and these are stored as the context's place times the vocabulary plus the word's id, which rises over
+the whole level. A bigram is found by looking up its context, reading the two pointers, and a successor search from the
+context's base between them, once for each different pair of a slice of texts. Beside each bigram stands its smoothed
+log10 probability, quantised to one of 256 levels. Probabilities are interpolated with a Dirichlet prior on the next
+lower order: (c(v,w) + strength * p(w)) / (c(v) + strength), p(w) = (c(w) + 0.5) / (N + 0.5 (V + 1)); what a bigram lacks
+is backed off with weight strength / (c(v) + strength). A text is a chain that begins and ends with the end token.
+
+Levels are built in shards whose number follows the bytes and the tokens, each about the same size whatever the words'
+frequencies, as counts are summed in each task first. Tasks write shard files into the shared folder (a task run again
+writes the same bytes) and score texts by mapping them, once a worker; where the folder is not a mounted one, a worker
+copies a shard to a local file that is unlinked as soon as it is mapped. No n-gram is pruned, and the driver holds only
+the shards' sizes.
 
 Nulls count as empty texts, which are the end token alone. Without training rows N and V are zero and every score comes
 from the floor p = 1. Repeated rows are scored each and count each. An empty table gives an empty result. Columns other
@@ -26,6 +30,7 @@ import os
 import tempfile
 import uuid
 from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -41,6 +46,8 @@ from ditherspark.llm.pretoken import per_text
 END = np.uint64(xxhash.xxh64_intdigest(b" end", 7))
 #: Training tokens a level-two shard is meant for, and keys that a task gathers before it hands them on.
 SHARD_TOKENS, GATHER = 2_000_000, 4_000_000
+#: Bytes of text for which one word shard is made, and tokens of a context in one shard.
+WORD_SHARD_BYTES, SPLIT_TOKENS = 64 << 20, 250_000
 LEVELS = 256
 
 
@@ -55,6 +62,7 @@ class Model:
     tokens: int
     vocabulary: int
     strength: float
+    split_tokens: int = SPLIT_TOKENS
 
 
 def _store(folder: str, name: str, arrays: dict[str, np.ndarray]) -> None:
@@ -114,13 +122,7 @@ class Trie:
         self.words = [elias_fano.Sequence(f) for f in files]
         self.by_shard = [f["counts"] for f in files]
         self.first = np.array(model.first_ids, np.int64)
-        self.pairs, self.codes, self.books = [], [], []
-        if pairs:
-            for s in range(1 << model.pair_bits):
-                f = _mapped_file(model.folder, f"pairs-{s}")
-                self.pairs.append(elias_fano.Sequence(f))
-                self.codes.append(f["codes"])
-                self.books.append(f["book"])
+        self.pairs = [PairShard(_mapped_file(model.folder, f"pairs-{s}"), model.vocabulary) for s in range(1 << model.pair_bits)] if pairs else []
         self.end_id, _ = self.lookup(np.array([END], np.uint64))
         self.end_id = int(self.end_id[0])
 
@@ -139,21 +141,81 @@ class Trie:
                 counts[rows[ok]] = self.by_shard[s][at[ok]]
         return ids, counts
 
-    def pair_logs(self, keys: np.ndarray) -> np.ndarray:
-        """Quantised log10 probability of level-two keys; nan where there is none."""
-        out = np.full(len(keys), np.nan)
-        shard = _mix(keys, self.model.pair_bits)
+    def counts(self, ids: np.ndarray) -> np.ndarray:
+        """Counts of words by their ids."""
+        out, shard = np.zeros(len(ids), np.int64), np.searchsorted(self.first, ids, side="right") - 1
+        for s in np.unique(shard):
+            rows = shard == s
+            out[rows] = self.by_shard[s][ids[rows] - self.first[s]]
+        return out
+
+    def shards(self, context: np.ndarray, word: np.ndarray) -> np.ndarray:
+        """The shard of each pair: the context's, or for a large context that of the following word's part of it."""
+        parts = 1 + self.counts(context) // self.model.split_tokens
+        return _mix(context.astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + (word % parts).astype(np.uint64), self.model.pair_bits)
+
+    def pair_logs(self, context: np.ndarray, word: np.ndarray) -> np.ndarray:
+        """Quantised log10 probability of each pair; nan where level two lacks it."""
+        v = np.uint64(self.model.vocabulary)
+        keys, back = np.unique(context.astype(np.uint64) * v + word.astype(np.uint64), return_inverse=True)
+        context, word = (keys // v).astype(np.int64), (keys % v).astype(np.int64)
+        out, shard = np.full(len(keys), np.nan), self.shards(context, word)
         order = np.argsort(shard, kind="stable")
         edge = np.searchsorted(shard[order], np.arange(len(self.pairs) + 1))
-        for s, seq in enumerate(self.pairs):
+        for s, held in enumerate(self.pairs):
             rows = order[edge[s] : edge[s + 1]]
             if len(rows):
-                at = seq.find(keys[rows])
-                ok = at >= 0
-                out[rows[ok]] = self.books[s][self.codes[s][at[ok]]]
+                out[rows] = held.logs(context[rows], word[rows])
+        return out[back]
+
+
+class PairShard:
+    """A shard of level two: contexts, pointers to their successors, successors from each context's base."""
+
+    def __init__(self, f: dict[str, np.ndarray], vocabulary: int):
+        part = lambda p: elias_fano.Sequence({k.removeprefix(p): a for k, a in f.items() if k.startswith(p)})
+        self.contexts, self.pointers, self.level = part("ctx_"), part("ptr_"), elias_fano.Sequence(f)
+        self.codes, self.book, self.vocabulary = f["codes"], f["book"], np.uint64(vocabulary)
+
+    @staticmethod
+    def build(context: np.ndarray, word: np.ndarray, logs: np.ndarray, vocabulary: int) -> dict[str, np.ndarray]:
+        """Arrays of pairs in rising order of context and word."""
+        low, high = (float(logs.min()), float(logs.max())) if len(logs) else (0.0, 0.0)
+        codes = np.minimum((logs - low) * (LEVELS / max(high - low, 1e-9)), LEVELS - 1).astype(np.uint8)  # equal steps bound the error
+        total = np.bincount(codes, logs, minlength=LEVELS)
+        book = (total / np.maximum(1, np.bincount(codes, minlength=LEVELS))).astype(np.float32)
+        new = np.concatenate([[True], context[1:] != context[:-1]])[: len(context)]
+        begin = np.flatnonzero(new)
+        level = (np.cumsum(new) - 1).astype(np.uint64) * np.uint64(vocabulary) + word.astype(np.uint64)
+        pointers = elias_fano.build(np.append(begin, len(context))) if len(context) else elias_fano.build(np.zeros(0, np.uint64))
+        parts = {f"ptr_{k}": a for k, a in pointers.items()} | {f"ctx_{k}": a for k, a in elias_fano.build(context[begin]).items()}
+        return elias_fano.build(level) | parts | {"codes": codes, "book": book}
+
+    def ranges(self, context: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(place, first, stop) of each context's successors; an empty range where the shard lacks it."""
+        at = self.contexts.find(context.astype(np.uint64))
+        first, stop = np.zeros(len(at), np.int64), np.zeros(len(at), np.int64)
+        ok = np.flatnonzero(at >= 0)
+        first[ok], stop[ok] = self.pointers.access(at[ok]), self.pointers.access(at[ok] + 1)
+        return at, first, stop
+
+    def logs(self, context: np.ndarray, word: np.ndarray) -> np.ndarray:
+        """Log10 probabilities of pairs in order of context; each different context is looked up once."""
+        new = np.concatenate([[True], context[1:] != context[:-1]])
+        own = np.cumsum(new) - 1
+        at, first, stop = (x[own] for x in self.ranges(context[new]))
+        found = self.level.find(np.maximum(at, 0).astype(np.uint64) * self.vocabulary + word.astype(np.uint64), first, stop)
+        out, ok = np.full(len(word), np.nan), found >= 0
+        out[ok] = self.book[self.codes[found[ok]]]
         return out
 
 
+@lru_cache(maxsize=2)
+def worker_trie(model: Model) -> Trie:
+    """The levels as a Python worker maps them, for all the tasks it runs."""
+    return Trie(model)
+
+
 def _top(hashes: np.ndarray, bits: int) -> np.ndarray:
     return (hashes >> np.uint64(64 - bits)).astype(np.int64) if bits else np.zeros(len(hashes), np.int64)
 
@@ -183,11 +245,11 @@ def _summed(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return keys[first], np.add.reduceat(counts, first) if len(first) else counts
 
 
-def _counted(docs: DataFrame, kernel, shard_of) -> DataFrame:
+def _counted(docs: DataFrame, kernel) -> DataFrame:
     """(shard, keys, counts): packed sums that tasks hand on, at most once per shard and ``GATHER`` keys."""
 
     def run(batches):
-        count, keys, sums, held = kernel(), [], [], 0
+        (count, shard_of), keys, sums, held = kernel(), [], [], 0
 
         def summed():
             nonlocal keys, sums, held
@@ -227,18 +289,19 @@ def _merged(group: pa.Table) -> tuple[np.ndarray, np.ndarray]:
     return _summed(np.concatenate(keys), np.concatenate(counts).astype(np.int64))
 
 
-def train(docs: DataFrame, strength: float = 100.0) -> Model:
+def train(docs: DataFrame, strength: float = 100.0, shard_tokens: int = SHARD_TOKENS, split_tokens: int = SPLIT_TOKENS) -> Model:
     """A model of ``docs`` (text): one pass for words, one for pairs."""
     spark = docs.sparkSession
     folder = shared_folder(spark)
-    word_bits = max(2, (int(spark.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length())
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    word_bits = max(2, (max(1, -(-size // WORD_SHARD_BYTES)) - 1).bit_length())
 
     def word_kernel():
         def count(texts):
             _, hashes, code, _ = tokens(texts)
             return hashes, np.bincount(code, minlength=len(hashes)).astype(np.int64)
 
-        return count
+        return count, lambda k: _top(k, word_bits)
 
     def build_words(group: pa.Table) -> pa.Table:
         keys, counts = _merged(group)
@@ -246,15 +309,15 @@ def train(docs: DataFrame, strength: float = 100.0) -> Model:
         _store(folder, f"words-{shard}", elias_fano.build(keys) | {"counts": counts})
         return pa.table({"shard": pa.array([shard], pa.int32()), "n": pa.array([len(keys)]), "total": pa.array([int(counts.sum())])})
 
-    blobs = _counted(docs, word_kernel, lambda k: _top(k, word_bits))
+    blobs = _counted(docs, word_kernel)
     made = {r["shard"]: r for r in blobs.groupBy("shard").applyInArrow(build_words, "shard int, n bigint, total bigint").collect()}
     sizes = [made[s]["n"] if s in made else 0 for s in range(1 << word_bits)]
     for s in set(range(1 << word_bits)) - set(made):
         _store(folder, f"words-{s}", elias_fano.build(np.zeros(0, np.uint64)) | {"counts": np.zeros(0, np.int64)})
     first = tuple(int(x) for x in np.cumsum([0, *sizes])[:-1])
     total = sum(r["total"] for r in made.values())
-    pair_bits = max(0, (max(1, -(-total // SHARD_TOKENS)) - 1).bit_length())
-    model = Model(folder, word_bits, first, pair_bits, total, sum(sizes), strength)
+    pair_bits = max(0, (max(1, -(-total // shard_tokens)) - 1).bit_length())
+    model = Model(folder, word_bits, first, pair_bits, total, sum(sizes), strength, split_tokens)
 
     def pair_kernel():
         trie = Trie(model, pairs=False)
@@ -265,29 +328,23 @@ def train(docs: DataFrame, strength: float = 100.0) -> Model:
             keys = _pair_keys(ids[code], n, trie)
             return _summed(keys, np.ones(len(keys), np.int64))
 
-        return count
+        v = np.uint64(model.vocabulary)
+        return count, lambda k: trie.shards((k // v).astype(np.int64), (k % v).astype(np.int64))
 
     def build_pairs(group: pa.Table) -> pa.Table:
         keys, counts = _merged(group)
         shard, trie = group["shard"][0].as_py(), Trie(model, pairs=False)
         v = np.uint64(model.vocabulary)
         context, word = (keys // v).astype(np.int64), (keys % v).astype(np.int64)
-        every = np.concatenate(trie.by_shard)
-        p = (every[word] + 0.5) / (model.tokens + 0.5 * (model.vocabulary + 1))
-        logs = np.log10((counts + strength * p) / (every[context] + strength))
-        low, high = (float(logs.min()), float(logs.max())) if len(logs) else (0.0, 0.0)
-        codes = np.minimum((logs - low) * (LEVELS / max(high - low, 1e-9)), LEVELS - 1).astype(np.uint8)  # equal steps bound the error
-        total = np.bincount(codes, logs, minlength=LEVELS)
-        book = (total / np.maximum(1, np.bincount(codes, minlength=LEVELS))).astype(np.float32)
-        begin = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]])) if len(keys) else np.zeros(0, np.int64)
-        pointers = {f"ptr_{k}": a for k, a in elias_fano.build(begin).items()} | {f"ctx_{k}": a for k, a in elias_fano.build(context[begin]).items()}
-        _store(folder, f"pairs-{shard}", elias_fano.build(keys) | pointers | {"codes": codes, "book": book})
+        p = (trie.counts(word) + 0.5) / (model.tokens + 0.5 * (model.vocabulary + 1))
+        logs = np.log10((counts + strength * p) / (trie.counts(context) + strength))
+        _store(folder, f"pairs-{shard}", PairShard.build(context, word, logs, model.vocabulary))
         return pa.table({"shard": pa.array([shard], pa.int32()), "n": pa.array([len(keys)])})
 
-    built = {r["shard"] for r in _counted(docs, pair_kernel, lambda k: _mix(k, pair_bits)).groupBy("shard").applyInArrow(build_pairs, "shard int, n bigint").collect()}
+    built = {r["shard"] for r in _counted(docs, pair_kernel).groupBy("shard").applyInArrow(build_pairs, "shard int, n bigint").collect()}
     for s in set(range(1 << pair_bits)) - built:
-        empty = elias_fano.build(np.zeros(0, np.uint64))
-        _store(folder, f"pairs-{s}", empty | {"codes": np.zeros(0, np.uint8), "book": np.zeros(LEVELS, np.float32)} | {f"ptr_{k}": a for k, a in empty.items()} | {f"ctx_{k}": a for k, a in empty.items()})
+        none = np.zeros(0, np.int64)
+        _store(folder, f"pairs-{s}", PairShard.build(none, none, np.zeros(0), model.vocabulary))
     return model
 
 
@@ -300,21 +357,15 @@ def _pair_keys(ids: np.ndarray, n: np.ndarray, trie: Trie) -> np.ndarray:
 
 
 def successors(model: Model, word: bytes) -> dict[int, float]:
-    """Word ids that follow ``word`` and their log10 probabilities, by the pointers of each shard."""
-    trie, out = Trie(model, pairs=False), {}
+    """Word ids that follow ``word`` and their log10 probabilities."""
+    trie, out = Trie(model), {}
     ids, _ = trie.lookup(np.array([xxhash.xxh64_intdigest(word)], np.uint64))
-    if ids[0] < 0:
-        return out
-    for s in range(1 << model.pair_bits):
-        f = _mapped_file(model.folder, f"pairs-{s}")
-        contexts, pointers, level = (elias_fano.Sequence({k.removeprefix(p): a for k, a in f.items() if k.startswith(p)} if p else f) for p in ("ctx_", "ptr_", ""))
-        at = contexts.find(ids.astype(np.uint64))
+    for held in trie.pairs if ids[0] >= 0 else ():
+        at, first, stop = held.ranges(ids)
         if at[0] >= 0:
-            a = int(pointers.access(at)[0])
-            b = int(pointers.access(at + 1)[0]) if at[0] + 1 < pointers.n else level.n
-            rows = np.arange(a, b)
-            base = np.uint64(ids[0]) * np.uint64(model.vocabulary)
-            out |= dict(zip((level.access(rows) - base).tolist(), f["book"][f["codes"][a:b]].tolist(), strict=True))
+            base = at.astype(np.uint64)[0] * held.vocabulary
+            found = held.level.access(np.arange(first[0], stop[0])) - base
+            out |= dict(zip(found.tolist(), held.book[held.codes[first[0] : stop[0]]].tolist(), strict=True))
     return out
 
 
@@ -333,8 +384,7 @@ def score_batch(texts: pa.Array, trie: Trie) -> dict[str, np.ndarray]:
     known = (ids[code] >= 0) & (ids[behind] >= 0)
     logs = back
     if known.any():
-        keys = ids[behind[known]].astype(np.uint64) * np.uint64(m.vocabulary) + ids[code[known]].astype(np.uint64)
-        got = trie.pair_logs(keys)
+        got = trie.pair_logs(ids[behind[known]], ids[code[known]])
         logs[known] = np.where(np.isnan(got), logs[known], got)
     add = lambda x: np.add.reduceat(x, begin) if len(begin) else np.zeros(0)
     return {"n_tokens": n, "n_known": per_text((counts > 0).astype(np.int64)[code], n), "base": add(single), "score": add(logs)}
@@ -344,7 +394,7 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
     """(id, n_tokens, n_known, base_score, score) for every row."""
 
     def kernel():
-        trie = Trie(model)
+        trie = worker_trie(model)
 
         def step(batch):
             r = score_batch(batch["text"], trie)

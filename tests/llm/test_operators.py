@@ -154,6 +154,34 @@ def test_trie_successors_and_empty_training(docs, texts, none):
     assert lm_trie.digest(none).count() == 0
 
 
+def test_scoring_reads_the_pointers(spark, docs):
+    """With pointers that leave every context an empty range, scores are those of backing off."""
+    import pyarrow as pa
+
+    some = docs.where("doc_id < 60").cache()
+    m = lm_trie.train(some, 20.0)
+    before = {r.doc_id: r.score for r in lm_trie.score(some, m).collect()}
+    trie = lm_trie.Trie(m)
+    texts = pa.array([r.text for r in some.collect()])
+    assert np.allclose(lm_trie.score_batch(texts, trie)["score"], [before[r.doc_id] for r in some.collect()])
+    for held in trie.pairs:
+        held.pointers.access = lambda i: np.zeros(len(i), np.int64)
+    cut = lm_trie.score_batch(texts, trie)["score"]
+    assert (cut < np.array([before[r.doc_id] for r in some.collect()])).all()
+
+
+def test_large_contexts_are_split(docs):
+    some = docs.where("doc_id < 100").cache()
+    whole, m = lm_trie.train(some), lm_trie.train(some, shard_tokens=2000, split_tokens=50)
+    assert m.pair_bits > 1
+    trie = lm_trie.Trie(m)
+    ids, counts = trie.lookup(np.array([lm_trie.END], np.uint64))
+    assert counts[0] > 50 and sum(h.ranges(ids)[0][0] >= 0 for h in trie.pairs) > 1
+    assert lm_trie.successors(m, b"the").keys() == lm_trie.successors(whole, b"the").keys()
+    a, b = ({r.doc_id: r for r in lm_trie.score(some, x).collect()} for x in (whole, m))
+    assert all(abs(a[d].score - b[d].score) <= 0.03 * a[d].n_tokens for d in a)
+
+
 def test_elias_fano():
     g = np.random.default_rng(0)
     for n, top in ((0, 1), (1, 2**63), (5, 6), (900, 900), (5000, 2**64 - 1), (5000, 2**40)):
