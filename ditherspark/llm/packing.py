@@ -7,7 +7,8 @@ opens. Sequences in the same state are interchangeable, so the choice is made am
 
 Pieces are dealt at random to shards of about ``shard_items``, packed independently: memory is bounded, and a shard
 wastes less than one sequence against packing all together, some 0.01 %. A lost executor's shards are packed again to
-the same result, as the pieces are stored first and dealt by a hash.
+the same result, as the pieces are stored first and dealt by a hash of their place in the stored table, so that repeated
+rows are spread, too.
 
 Nulls count as empty texts, which are one piece that holds the end token alone. Only a document longer than a sequence
 is cut; its first piece is the shorter one. Repeated rows are packed each. An empty table gives an empty result. Columns
@@ -121,7 +122,7 @@ def pack(pieces: DataFrame, cap: Capacity = Capacity(), shard_items: int = SHARD
     """``pieces`` (with ``length``) and their ``sequence_id`` and ``offset``."""
     pieces = written(pieces, "pieces")
     shards = max(1, -(-pieces.count() // shard_items))
-    dealt = pieces.withColumn("__shard", F.pmod(F.xxhash64(*[c for c in pieces.columns]), F.lit(shards)).cast("int"))
+    dealt = pieces.withColumn("__shard", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(shards)).cast("int"))  # identical rows apart
     schema = f"{', '.join(f'`{f.name}` {f.dataType.simpleString()}' for f in pieces.schema)}, sequence_id bigint, offset bigint"
 
     def one(pdf: pd.DataFrame) -> pd.DataFrame:

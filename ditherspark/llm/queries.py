@@ -66,11 +66,18 @@ def op10_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.digest(_table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("byte_bpe_50k.json"))
 
 
+def packing_under_limits(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Operator 10 where all three capacities bind: sequences of 4,096 tokens and pieces of 1,024, at most 8 documents and
+    the attention of two whole pieces."""
+    pieces = packing.token_pieces(_table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("byte_bpe_50k.json"))
+    return packing.pack(pieces, packing.Capacity(4096, 8, 2 << 20, weights=(1.0, 1.0, 1.0)))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
         op1_secret_scan, op2_simhash, op3_lm_trie, op4_token_counts, op5_piece_transducer,
-        op6_warc_dictionary, op7_multiset_hash, op8_language_id, op9_quality_rules, op10_best_fit_packing,
+        op6_warc_dictionary, op7_multiset_hash, op8_language_id, op9_quality_rules, op10_best_fit_packing, packing_under_limits,
     )
 }
 
