@@ -294,7 +294,7 @@ def train(docs: DataFrame, strength: float = 100.0, shard_tokens: int = SHARD_TO
     spark = docs.sparkSession
     folder = shared_folder(spark)
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    word_bits = max(2, (max(1, -(-size // WORD_SHARD_BYTES)) - 1).bit_length())
+    word_bits = max(4, (max(1, -(-size // WORD_SHARD_BYTES)) - 1).bit_length())
 
     def word_kernel():
         def count(texts):

@@ -30,6 +30,8 @@ from ditherspark.llm.common import free_name, mapped, row_hash, written
 SEED, BITS = 42, 64
 #: A key shared by more fingerprints than this takes the linear way instead of the join.
 WIDE_KEY = 24
+#: Edges from which a round's minima are stored.
+STORED_FROM = 1_000_000
 
 
 def fingerprint_of(text: str | None, shingle: int = 3) -> int:
@@ -133,17 +135,19 @@ def links(distinct: DataFrame, distance: int = 2, segments: int = 16, wide_key:
 
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
-    """(node, root): the smallest node reachable, for every node of ``edges`` (u, v), by alternating star rounds. Minima are
-    stored before they are joined back, so a hub's edges can be split between tasks or meet a broadcast minimum."""
+    """(node, root): the smallest node reachable, for every node of ``edges`` (u, v), by alternating star rounds. Where
+    there are more edges than a task may well hold (``STORED_FROM``), minima are stored before they are joined back, so that
+    a hub's edges can be split between tasks or meet a broadcast minimum."""
     edges = edges.select(F.greatest("u", "v").alias("a"), F.least("u", "v").alias("b")).where("a <> b").distinct()
     edges = written(edges, "links")
     rows, before = edges.count(), None
     for _ in range(most):
+        kept = (lambda df, name: written(df, name, rows)) if rows > STORED_FROM else (lambda df, _: df)  # noqa: B023
         both = edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = written(both.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("a", "m")), "least", rows)
+        least = kept(both.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("a", "m")), "least")
         large = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        large = written(large, "large", rows)
-        least = written(large.groupBy("a").agg(F.min("b").alias("m")), "least", rows)
+        large = kept(large, "large")
+        least = kept(large.groupBy("a").agg(F.min("b").alias("m")), "least")
         small = large.join(least, "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("e"))
         seen = Observation()
         after = small.select("e.*").where("a <> b").distinct().observe(seen, F.count(F.lit(1)).alias("n"), F.sum(F.hash("a", "b").cast("long")).alias("h"))
