@@ -94,8 +94,8 @@ def _by_row(flags: np.ndarray, row: np.ndarray, rows: int) -> np.ndarray:
 
 
 def sets(docs: DataFrame, shingle: int, least: float, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """(doc_id, row, fp, sid, n, weight, prefix, grams): the set's fingerprint, number, size, how common its shingles are,
-    its keys in the common order, and all of it. A task gives the last two once for each set."""
+    """(doc_id, row, fp, sid, n, weight, prefix): the set's fingerprint, number, size, how common its shingles are, and its
+    keys in the common order, which a task gives once for each set."""
     held = docs.sparkSession.sparkContext.broadcast(common)
     lists = pa.list_(pa.int64())
 
@@ -109,7 +109,7 @@ def sets(docs: DataFrame, shingle: int, least: float, common: tuple[np.ndarray,
     def one(batch, grams, count, seen):
         rows = batch.num_rows
         h, row = shingle_hashes(batch["text"], shingle)
-        rank = np.zeros(len(h), np.int64)
+        rank = np.zeros(len(h), np.int64)  # 0: not common
         if len(grams) and len(h):
             at = np.minimum(np.searchsorted(grams, h), len(grams) - 1)
             rank = np.where(grams[at] == h, count[at], 0)
@@ -139,12 +139,11 @@ def sets(docs: DataFrame, shingle: int, least: float, common: tuple[np.ndarray,
         keep = here[row]
         inner = np.arange(len(h)) - edge[row]
         prefix = pa.ListArray.from_arrays(off(np.where(here, first, 0)), pa.array(signed[keep & (inner < first[row])]))
-        whole = pa.ListArray.from_arrays(off(np.where(here, n, 0)), pa.array(signed[keep]))
-        cols = [batch["doc_id"], batch["row"], pa.array(fp.view(np.int64)), pa.array(sid.view(np.int64)), pa.array(n.astype(np.int32)), pa.array(weight), prefix.cast(lists), whole.cast(lists)]
-        return pa.RecordBatch.from_arrays(cols, ["doc_id", "row", "fp", "sid", "n", "weight", "prefix", "grams"])
+        cols = [batch["doc_id"], batch["row"], pa.array(fp.view(np.int64)), pa.array(sid.view(np.int64)), pa.array(n.astype(np.int32)), pa.array(weight), prefix.cast(lists)]
+        return pa.RecordBatch.from_arrays(cols, ["doc_id", "row", "fp", "sid", "n", "weight", "prefix"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "row", "text").mapInArrow(run, f"doc_id {kind}, row bigint, fp bigint, sid bigint, n int, weight double, prefix array<bigint>, grams array<bigint>")
+    return docs.select("doc_id", "row", "text").mapInArrow(run, f"doc_id {kind}, row bigint, fp bigint, sid bigint, n int, weight double, prefix array<bigint>")
 
 
 def _allowed(least: float) -> str:
@@ -165,12 +164,31 @@ def _ordered(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.least("a_sid", "b_sid").alias("u"), F.greatest("a_sid", "b_sid").alias("v"))
 
 
-def alike(pairs: DataFrame, whole: DataFrame, least: float) -> DataFrame:
+def whole_sets(texts: DataFrame, asked: DataFrame, shingle: int) -> DataFrame:
+    """(sid, grams) of the ``asked`` sets (sid, doc_id, row): made again from the texts of one row each, so that only sets
+    that are compared are ever stored."""
+
+    def kernel():
+        def step(batch):
+            h, row = shingle_hashes(batch["text"], shingle)
+            order = np.lexsort((h, row))
+            h, row = h[order], row[order]
+            new = np.ones(len(h), bool)
+            new[1:] = (h[1:] != h[:-1]) | (row[1:] != row[:-1])
+            ends = np.concatenate([[0], np.cumsum(np.bincount(row[new], minlength=batch.num_rows))]).astype(np.int32)
+            return pa.RecordBatch.from_arrays([batch["sid"], pa.ListArray.from_arrays(pa.array(ends), pa.array(h[new].view(np.int64)))], ["sid", "grams"])
+
+        return step
+
+    own = texts.join(asked, ["doc_id", "row"]).select("sid", "text")
+    return mapped(own, kernel, "sid bigint, grams array<bigint>").dropDuplicates(["sid"])
+
+
+def alike(pairs: DataFrame, texts: DataFrame, own: DataFrame, shingle: int, least: float) -> DataFrame:
     """The (u, v) of ``pairs`` whose whole sets have the similarity, stored."""
     pairs = written(pairs.distinct(), "candidates")
-    asked = pairs.select(F.explode(F.array("u", "v")).alias("sid")).distinct()
-    grams = whole.where("n > 0 AND size(grams) > 0").select("sid", "grams").join(asked, "sid", "left_semi").dropDuplicates(["sid"])
-    grams = written(grams, "asked")
+    asked = written(pairs.select(F.explode(F.array("u", "v")).alias("sid")).distinct().join(own.select("sid", "doc_id", "row"), "sid"), "asked")
+    grams = written(whole_sets(texts, asked, shingle), "grams")
     both = pairs.join(grams.select(F.col("sid").alias("u"), F.col("grams").alias("gu")), "u").join(grams.select(F.col("sid").alias("v"), F.col("grams").alias("gv")), "v")
     shared, total = F.size(F.array_intersect("gu", "gv")), F.size("gu") + F.size("gv")
     return written(both.where(shared >= least * (total - shared) - 1e-6).select("u", "v"), "alike")
@@ -184,22 +202,33 @@ def _crowd(placed: DataFrame, roots: DataFrame) -> tuple[DataFrame, DataFrame, i
     return now, rest, int(rest.agg(F.sum("all")).first()[0] or 0)
 
 
-def links(whole: DataFrame, least: float, wide_key: int = simhash.WIDE_KEY) -> DataFrame:
+def shared_keys(whole: DataFrame, own: DataFrame) -> DataFrame:
+    """(key, sid, n, at, fp, weight, many, centre) of keys that several sets have. Only keys and sets' numbers are shuffled
+    for all rows, first as the least and largest set of each key; the rest is joined to what is left."""
+    keys = whole.select("sid", "n", F.posexplode("prefix").alias("at", "key")).select("key", "sid", (F.shiftleft(F.col("at").cast("long"), 32) + F.col("n")).alias("place"))
+    several = keys.groupBy("key").agg(F.min("sid").alias("lo"), F.max("sid").alias("hi")).where("lo <> hi").select("key")
+    left = written(keys.join(several, "key").distinct(), "shared")
+    about = left.join(own.select("sid", "fp", "weight"), "sid")
+    about = about.select("key", "sid", F.col("place").bitwiseAND(F.lit((1 << 32) - 1)).cast("int").alias("n"), F.shiftright("place", 32).cast("int").alias("at"), "fp", "weight")
+    about = written(about, "about")
+    sizes = written(about.groupBy("key").agg(F.count("*").alias("many"), F.max(F.struct("weight", "sid"))["sid"].alias("centre")), "sizes")
+    return written(about.join(sizes, "key"), "shared")
+
+
+def links(whole: DataFrame, texts: DataFrame, own: DataFrame, shingle: int, least: float, wide_key: int = simhash.WIDE_KEY) -> DataFrame:
     """(node, root) over the sets of ``whole`` that have a similar one."""
-    keys = whole.select("sid", "n", "fp", "weight", F.posexplode("prefix").alias("at", "key"))
-    sizes = keys.groupBy("key").agg(F.count("*").alias("many"), F.min("sid").alias("lo"), F.max("sid").alias("hi"), F.max(F.struct("weight", "sid"))["sid"].alias("centre")).where("lo <> hi")
-    shared = written(keys.join(sizes.drop("lo", "hi"), "key").distinct(), "shared")
+    shared = shared_keys(whole, own)
     plain = ["key", "sid", "n", "at", "fp"]
     narrow = shared.where(F.col("many") <= wide_key).select(plain)
     wide = shared.where(F.col("many") > wide_key)
     found = _ordered(_paired(narrow, narrow, least).where("a_sid < b_sid"))
     stars = _ordered(wide.where("sid <> centre").select(F.col("sid").alias("a_sid"), F.col("centre").alias("b_sid")))
     # operator 2's links, between one set of each fingerprint, and from it to the others of the fingerprint
-    of = whole.where("n > 0").groupBy("fp").agg(F.min("sid").alias("one"), F.max("sid").alias("last"))
+    of = own.where("n > 0").groupBy("fp").agg(F.min("sid").alias("one"), F.max("sid").alias("last"))
     near = simhash.links(of.select("fp"))
     near = near.join(of.select(F.col("fp").alias("u"), F.col("one").alias("a_sid")), "u").join(of.select(F.col("fp").alias("v"), F.col("one").alias("b_sid")), "v")
-    same = whole.select("fp", "sid").join(of.where("one <> last"), "fp").where("sid <> one").select(F.col("sid").alias("a_sid"), F.col("one").alias("b_sid"))
-    edges = alike(found.union(stars).union(_ordered(near)).union(_ordered(same)), whole, least)
+    same = own.where("n > 0").select("fp", "sid").join(of.where("one <> last"), "fp").where("sid <> one").select(F.col("sid").alias("a_sid"), F.col("one").alias("b_sid"))
+    edges = alike(found.union(stars).union(_ordered(near)).union(_ordered(same)), texts, own, shingle, least)
     roots = written(simhash.components(edges), "roots")
     if wide.isEmpty():
         return roots
@@ -211,13 +240,13 @@ def links(whole: DataFrame, least: float, wide_key: int = simhash.WIDE_KEY) -> D
         if pairs <= MANY_PAIRS:
             break
         centres = written(rest.groupBy("key").agg(F.max(F.struct("weight", "sid", "n", "at", "fp", "root")).alias("c")).select("key", "c.*"), "centres")
-        more = alike(_ordered(_paired(centres.drop("weight"), placed.drop("weight", "done"), least).where("a_root <> b_root")), whole, least)
+        more = alike(_ordered(_paired(centres.drop("weight"), placed.drop("weight", "done"), least).where("a_root <> b_root")), texts, own, shingle, least)
         placed = placed.join(centres.select("key", "sid", F.lit(True).alias("was")), ["key", "sid"], "left").withColumn("done", F.col("done") | F.coalesce("was", F.lit(False))).drop("was")
         edges = edges.union(more)
         roots = written(simhash.components(edges), "roots")
     else:
         placed, rest, pairs = _crowd(placed, roots)
-    more = alike(_ordered(_paired(rest.drop("weight", "all"), placed.drop("weight", "done"), least).where("a_root <> b_root")), whole, least)
+    more = alike(_ordered(_paired(rest.drop("weight", "all"), placed.drop("weight", "done"), least).where("a_root <> b_root")), texts, own, shingle, least)
     return roots if more.isEmpty() else simhash.components(edges.union(more))
 
 
@@ -229,5 +258,6 @@ def one_of_each(docs: DataFrame, shingle: int = 5, least: float = 0.8, wide_key:
     row = free_name(docs, "lm_row")
     src = docs.select("doc_id", row_hash(docs).alias("row"), F.col("text").cast("string").alias("text")).where("doc_id IS NOT NULL")
     whole = written(sets(src, shingle, least, common_shingles(src, shingle)), "sets")
-    roots = links(whole, least, wide_key).withColumnRenamed("node", "sid")
+    own = written(whole.groupBy("sid").agg(F.min(F.struct("doc_id", "row")).alias("one"), F.first("fp").alias("fp"), F.first("n").alias("n"), F.first("weight").alias("weight")).select("sid", "one.*", "fp", "n", "weight"), "own")
+    roots = links(whole, src, own, shingle, least, wide_key).withColumnRenamed("node", "sid")
     return simhash.keep_least(docs, row, whole.select("sid", "doc_id", "row"), roots, "sid")
