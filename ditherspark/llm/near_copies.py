@@ -3,9 +3,10 @@
 Each text is the set of its shingles' 64-bit hashes, with operator 2's majority fingerprint of that set. Two sources
 give candidates: fingerprints that pigeonring chains link, and shared rare shingles. For the latter all sets are put in
 one order, common shingles last, so two sets of the required similarity share one of the first
-n - ceil(least*n) + 1 shingles of each. Such a pair goes on if the sizes, the places of the shingle and the distance of
-the fingerprints (``near_bits``) still allow the similarity; then the whole sets are compared, which alone decides.
-At similarity 0.8 fingerprints differ in 10 of 64 bits, with a deviation of 3, so 28 loses a pair in some 10^9.
+n - ceil(least*n) + 1 shingles of each. Such a pair goes on if the sizes, the places of the shingle and, for sets of
+``FROM_SIZE`` shingles or more, the distance of the fingerprints (``NEAR_BITS``) still allow the similarity; then the
+whole sets are compared, which alone decides. At similarity 0.8 fingerprints differ in 10 of 64 bits with a deviation of
+3, so a limit of 24 loses a pair in some 10^7.
 
 How common a shingle is comes from a sample (``sample_docs``). It only orders the keys: the result is the same for
 any sample. A key that more than ``wide_key`` sets share is not joined with itself: its members are compared with
@@ -29,8 +30,9 @@ from ditherspark.llm import simhash
 from ditherspark.llm.common import buffers, free_name, mapped, row_hash, sliced, words, written
 
 SAMPLE_DOCS, MOST_COMMON = 8_000, 200_000
-#: Fingerprint bits in which sets of the similarity may differ, and sets that a task remembers to have handed on.
-NEAR_BITS, SEEN_SETS = 28, 1_000_000
+#: Fingerprint bits in which sets of the similarity may differ, from what size; sets that a task remembers to have handed
+#: on; sets to compare whose numbers are broadcast (24 bytes each).
+NEAR_BITS, FROM_SIZE, SEEN_SETS, BROADCAST_SETS = 24, 32, 1_000_000, 400_000
 #: Pairs of a last join, beyond which further centres are tried first, and how many times.
 MANY_PAIRS, MORE_CENTRES = 20_000_000, 6
 _ODD = np.uint64(0x9E3779B97F4A7C15)
@@ -150,7 +152,7 @@ def _allowed(least: float) -> str:
     """Sizes and places of the common key, and fingerprints: if the key is the first shingle that both sets have, what
     both can share is it and what follows it."""
     needed = f"{least} / (1 + {least}) * (a_n + b_n) - 1e-6"
-    return f"a_sid <> b_sid AND least(a_n - a_at, b_n - b_at) >= {needed} AND bit_count(a_fp ^ b_fp) <= {NEAR_BITS}"
+    return f"a_sid <> b_sid AND least(a_n - a_at, b_n - b_at) >= {needed} AND (least(a_n, b_n) < {FROM_SIZE} OR bit_count(a_fp ^ b_fp) <= {NEAR_BITS})"
 
 
 def _paired(a: DataFrame, b: DataFrame, least: float) -> DataFrame:
@@ -165,8 +167,8 @@ def _ordered(pairs: DataFrame) -> DataFrame:
 
 
 def whole_sets(texts: DataFrame, asked: DataFrame, shingle: int) -> DataFrame:
-    """(sid, grams) of the ``asked`` sets (sid, doc_id, row): made again from the texts of one row each, so that only sets
-    that are compared are ever stored."""
+    """(sid, grams) of the ``asked`` sets (sid, doc_id, row): made again from the texts of one row each (and of rows that
+    are identical to it), so that only sets that are compared are ever stored."""
 
     def kernel():
         def step(batch):
@@ -180,8 +182,9 @@ def whole_sets(texts: DataFrame, asked: DataFrame, shingle: int) -> DataFrame:
 
         return step
 
+    asked = F.broadcast(asked) if asked.count() <= BROADCAST_SETS else asked
     own = texts.join(asked, ["doc_id", "row"]).select("sid", "text")
-    return mapped(own, kernel, "sid bigint, grams array<bigint>").dropDuplicates(["sid"])
+    return mapped(own, kernel, "sid bigint, grams array<bigint>")
 
 
 def alike(pairs: DataFrame, texts: DataFrame, own: DataFrame, shingle: int, least: float) -> DataFrame:
@@ -191,7 +194,7 @@ def alike(pairs: DataFrame, texts: DataFrame, own: DataFrame, shingle: int, leas
     grams = written(whole_sets(texts, asked, shingle), "grams")
     both = pairs.join(grams.select(F.col("sid").alias("u"), F.col("grams").alias("gu")), "u").join(grams.select(F.col("sid").alias("v"), F.col("grams").alias("gv")), "v")
     shared, total = F.size(F.array_intersect("gu", "gv")), F.size("gu") + F.size("gv")
-    return written(both.where(shared >= least * (total - shared) - 1e-6).select("u", "v"), "alike")
+    return written(both.where(shared >= least * (total - shared) - 1e-6).select("u", "v").distinct(), "alike")
 
 
 def _crowd(placed: DataFrame, roots: DataFrame) -> tuple[DataFrame, DataFrame, int]:
@@ -203,15 +206,17 @@ def _crowd(placed: DataFrame, roots: DataFrame) -> tuple[DataFrame, DataFrame, i
 
 
 def shared_keys(whole: DataFrame, own: DataFrame) -> DataFrame:
-    """(key, sid, n, at, fp, weight, many, centre) of keys that several sets have. Only keys and sets' numbers are shuffled
-    for all rows, first as the least and largest set of each key; the rest is joined to what is left."""
+    """(key, sid, n, at, fp, weight, many, centre, b_...: the centre's numbers) of keys that several sets have. Only keys and sets' numbers are shuffled
+    for all rows, first as the least and largest hash of a set's number of each key; the rest is joined to what is left."""
     keys = whole.select("sid", "n", F.posexplode("prefix").alias("at", "key")).select("key", "sid", (F.shiftleft(F.col("at").cast("long"), 32) + F.col("n")).alias("place"))
-    several = keys.groupBy("key").agg(F.min("sid").alias("lo"), F.max("sid").alias("hi")).where("lo <> hi").select("key")
-    left = written(keys.join(several, "key").distinct(), "shared")
+    short = F.hash("sid")  # 32 bits tell the sets of one key apart
+    several = keys.groupBy("key").agg(F.min(short).alias("lo"), F.max(short).alias("hi")).where("lo <> hi").select("key")
+    left = keys.join(several, "key").distinct()
     about = left.join(own.select("sid", "fp", "weight"), "sid")
     about = about.select("key", "sid", F.col("place").bitwiseAND(F.lit((1 << 32) - 1)).cast("int").alias("n"), F.shiftright("place", 32).cast("int").alias("at"), "fp", "weight")
     about = written(about, "about")
-    sizes = written(about.groupBy("key").agg(F.count("*").alias("many"), F.max(F.struct("weight", "sid"))["sid"].alias("centre")), "sizes")
+    sizes = written(about.groupBy("key").agg(F.count("*").alias("many"), F.max(F.struct("weight", "sid", "n", "at", "fp")).alias("c")), "sizes")
+    sizes = sizes.select("key", "many", F.col("c.sid").alias("centre"), *[F.col(f"c.{x}").alias(f"b_{x}") for x in ("sid", "n", "at", "fp")])
     return written(about.join(sizes, "key"), "shared")
 
 
@@ -222,7 +227,7 @@ def links(whole: DataFrame, texts: DataFrame, own: DataFrame, shingle: int, leas
     narrow = shared.where(F.col("many") <= wide_key).select(plain)
     wide = shared.where(F.col("many") > wide_key)
     found = _ordered(_paired(narrow, narrow, least).where("a_sid < b_sid"))
-    stars = _ordered(wide.where("sid <> centre").select(F.col("sid").alias("a_sid"), F.col("centre").alias("b_sid")))
+    stars = _ordered(wide.select(*[F.col(x).alias(f"a_{x}") for x in ("sid", "n", "at", "fp")], "b_sid", "b_n", "b_at", "b_fp").where(_allowed(least)))
     # operator 2's links, between one set of each fingerprint, and from it to the others of the fingerprint
     of = own.where("n > 0").groupBy("fp").agg(F.min("sid").alias("one"), F.max("sid").alias("last"))
     near = simhash.links(of.select("fp"))
