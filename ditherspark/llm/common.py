@@ -46,6 +46,16 @@ def written(df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+#: Rows of a few numbers that a join may send to the driver and broadcast.
+BROADCAST_ROWS = 200_000
+
+
+def merged(df: DataFrame, rows: int | None = None) -> DataFrame:
+    """``df`` for a join by merging, unless it has few ``rows``. Spark takes the rows that explode makes for as many as it
+    was given and files for as large as they are compressed, so by itself it broadcasts tables that the driver can't hold."""
+    return df if rows is not None and rows <= BROADCAST_ROWS else df.hint("merge")
+
+
 def free_name(df: DataFrame, base: str) -> str:
     """A column name that ``df`` does not have."""
     taken = {c.lower() for c in df.columns}

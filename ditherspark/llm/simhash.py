@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
-from ditherspark.llm.common import free_name, mapped, row_hash, written
+from ditherspark.llm.common import free_name, mapped, merged, row_hash, written
 
 SEED, BITS = 42, 64
 #: A key shared by more fingerprints than this takes the linear way instead of the join.
@@ -118,11 +118,11 @@ def links(distinct: DataFrame, distance: int = 2, segments: int = 16, wide_key:
     fingerprints from wide ones."""
     keys = ring_keys(distinct, distance, segments)
     sizes = keys.groupBy("start", "key").agg(F.count("*").alias("n")).where("n > 1")
-    shared = keys.join(sizes, ["start", "key"])
+    shared = keys.join(merged(sizes), ["start", "key"])
     narrow = shared.where(F.col("n") <= wide_key)
     a = narrow.select("start", "key", F.col("ring").alias("ra"), F.col("fp").alias("u"))
     b = narrow.select("start", "key", F.col("ring").alias("rb"), F.col("fp").alias("v"))
-    pairs = a.join(b, ["start", "key"]).where(F.col("u") < F.col("v"))
+    pairs = a.join(merged(b), ["start", "key"]).where(F.col("u") < F.col("v"))
     pairs = pairs.where(chain_holds(F.col("ra").bitwiseXOR(F.col("rb")), distance, segments)).select("u", "v")
     if distance != 2:
         raise ValueError("wide keys are resolved for a distance of 2")
@@ -145,10 +145,10 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
         kept = (lambda df, name: written(df, name, rows)) if rows > STORED_FROM else (lambda df, _: df)  # noqa: B023
         both = edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = kept(both.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("a", "m")), "least")
-        large = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        large = both.where("b > a").join(merged(least, rows), "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         large = kept(large, "large")
         least = kept(large.groupBy("a").agg(F.min("b").alias("m")), "least")
-        small = large.join(least, "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("e"))
+        small = large.join(merged(least, rows), "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("e"))
         seen = Observation()
         after = small.select("e.*").where("a <> b").distinct().observe(seen, F.count(F.lit(1)).alias("n"), F.sum(F.hash("a", "b").cast("long")).alias("h"))
         edges = written(after, "links", rows)
@@ -166,19 +166,20 @@ def classes(docs: DataFrame, shingle: int = 3, distance: int = 2, segments: int
     """((doc_id, fp) of every row, (fp, component_id) of every different fingerprint), both stored."""
     fps = written(fingerprints(docs, shingle), "fingerprints")
     distinct = written(fps.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "distinct", fps.count())
+    rows = distinct.count()
     found = components(links(distinct.select("fp"), distance, segments, wide_key))
-    labelled = written(distinct.join(found, distinct.fp == found.node).select("fp", "root", "least_id"), "labelled")
+    labelled = written(distinct.join(merged(found, rows), distinct.fp == found.node).select("fp", "root", "least_id"), "labelled")
     ids = written(labelled.groupBy("root").agg(F.min("least_id").alias("linked_id")), "ids")
-    linked = labelled.join(ids, "root").select("fp", "linked_id")
-    named = distinct.join(linked, "fp", "left").select("fp", F.coalesce("linked_id", "least_id").alias("component_id"))
-    return fps, written(named, "classes", distinct.count())
+    linked = labelled.join(merged(ids, rows), "root").select("fp", "linked_id")
+    named = distinct.join(merged(linked, rows), "fp", "left").select("fp", F.coalesce("linked_id", "least_id").alias("component_id"))
+    return fps, written(named, "classes", rows)
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 3, distance: int = 2, segments: int = 16, wide_key: int = WIDE_KEY) -> DataFrame:
     """(doc_id, fp, component_id): one row per row of ``docs`` with the smallest id reachable over links. Both sides of
     this last join are stored tables, so a fingerprint that many rows share can be split between tasks."""
     fps, named = classes(docs, shingle, distance, segments, wide_key)
-    return fps.join(named, "fp").select("doc_id", "fp", "component_id")
+    return fps.join(merged(named, named.count()), "fp").select("doc_id", "fp", "component_id")
 
 
 def digest(docs: DataFrame) -> DataFrame:
@@ -192,14 +193,17 @@ def keep_least(docs: DataFrame, row: str, rows: DataFrame, roots: DataFrame, of:
     documents are shuffled only where the rows that go are too many to be broadcast."""
     ids = written(rows.groupBy(of, "doc_id", "row").agg(F.count("*").alias("times")), "ids")
     own = ids.groupBy(of).agg(F.min(F.struct("doc_id", "row")).alias("least"))
-    kept = own.join(roots, of, "left").groupBy(F.coalesce("root", of).alias("root")).agg(F.min("least").alias("least"))
+    kept = own.join(merged(roots, roots.count()), of, "left").groupBy(F.coalesce("root", of).alias("root")).agg(F.min("least").alias("least"))
     kept = written(kept.select("least.*"), "kept")
-    gone = written(ids.join(kept, ["doc_id", "row"], "left_anti").select("doc_id", "row"), "gone")
-    again = written(ids.where("times > 1").join(kept, ["doc_id", "row"], "left_semi").select("doc_id", "row"), "again")
+    few = merged(kept, kept.count())
+    gone = written(ids.join(few, ["doc_id", "row"], "left_anti").select("doc_id", "row"), "gone")
+    again = written(ids.where("times > 1").join(few, ["doc_id", "row"], "left_semi").select("doc_id", "row"), "again")
     marked = docs.withColumn(row, row_hash(docs))
     same = lambda other: marked["doc_id"].eqNullSafe(other["doc_id"]) & (marked[row] == other["row"])
+    times = again.count()
+    gone, again = merged(gone, gone.count()), merged(again, times)
     out = marked.join(gone, same(gone), "left_anti")
-    if again.isEmpty():
+    if not times:
         return out.select(docs.columns)
     once = marked.join(again, same(again), "left_semi").dropDuplicates(["doc_id", row])
     return out.join(again, same(again), "left_anti").union(once).select(docs.columns)
