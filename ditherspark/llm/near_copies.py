@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ditherspark.llm import simhash
-from ditherspark.llm.common import buffers, free_name, mapped, row_hash, sliced, words, written
+from ditherspark.llm.common import buffers, free_name, mapped, merged, row_hash, sliced, words, written
 
 SAMPLE_DOCS, MOST_COMMON = 8_000, 200_000
 #: Fingerprint bits in which sets of the similarity may differ, from what size; sets that a task remembers to have handed
@@ -159,7 +159,7 @@ def _paired(a: DataFrame, b: DataFrame, least: float) -> DataFrame:
     """The rows of ``a`` and ``b`` that share a key and may be alike."""
     a = a.select("key", *[F.col(c).alias(f"a_{c}") for c in a.columns if c != "key"])
     b = b.select("key", *[F.col(c).alias(f"b_{c}") for c in b.columns if c != "key"])
-    return a.join(b, "key").where(_allowed(least))
+    return a.join(merged(b), "key").where(_allowed(least))
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
@@ -182,7 +182,7 @@ def whole_sets(texts: DataFrame, asked: DataFrame, shingle: int) -> DataFrame:
 
         return step
 
-    asked = F.broadcast(asked) if asked.count() <= BROADCAST_SETS else asked
+    asked = F.broadcast(asked) if asked.count() <= BROADCAST_SETS else merged(asked)
     own = texts.join(asked, ["doc_id", "row"]).select("sid", "text")
     return mapped(own, kernel, "sid bigint, grams array<bigint>")
 
@@ -190,18 +190,18 @@ def whole_sets(texts: DataFrame, asked: DataFrame, shingle: int) -> DataFrame:
 def alike(pairs: DataFrame, texts: DataFrame, own: DataFrame, shingle: int, least: float) -> DataFrame:
     """The (u, v) of ``pairs`` whose whole sets have the similarity, stored."""
     pairs = written(pairs.distinct(), "candidates")
-    asked = written(pairs.select(F.explode(F.array("u", "v")).alias("sid")).distinct().join(own.select("sid", "doc_id", "row"), "sid"), "asked")
+    asked = written(pairs.select(F.explode(F.array("u", "v")).alias("sid")).distinct().join(merged(own.select("sid", "doc_id", "row"), own.count()), "sid"), "asked")
     grams = written(whole_sets(texts, asked, shingle), "grams")
-    both = pairs.join(grams.select(F.col("sid").alias("u"), F.col("grams").alias("gu")), "u").join(grams.select(F.col("sid").alias("v"), F.col("grams").alias("gv")), "v")
+    both = pairs.join(merged(grams.select(F.col("sid").alias("u"), F.col("grams").alias("gu"))), "u").join(merged(grams.select(F.col("sid").alias("v"), F.col("grams").alias("gv"))), "v")
     shared, total = F.size(F.array_intersect("gu", "gv")), F.size("gu") + F.size("gv")
     return written(both.where(shared >= least * (total - shared) - 1e-6).select("u", "v").distinct(), "alike")
 
 
 def _crowd(placed: DataFrame, roots: DataFrame) -> tuple[DataFrame, DataFrame, int]:
     """(members of wide keys with their present component, those outside their key's main component, pairs left)."""
-    now = written(placed.drop("root").join(roots.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid")), "placed")
+    now = written(placed.drop("root").join(merged(roots.withColumnRenamed("node", "sid"), roots.count()), "sid", "left").withColumn("root", F.coalesce("root", "sid")), "placed")
     most = now.groupBy("key", "root").agg(F.count("*").alias("c")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.sum("c").alias("all"))
-    rest = written(now.join(most, "key").where("root <> main AND NOT done").drop("main", "done"), "rest")
+    rest = written(now.join(merged(most), "key").where("root <> main AND NOT done").drop("main", "done"), "rest")
     return now, rest, int(rest.agg(F.sum("all")).first()[0] or 0)
 
 
@@ -211,13 +211,13 @@ def shared_keys(whole: DataFrame, own: DataFrame) -> DataFrame:
     keys = whole.select("sid", "n", F.posexplode("prefix").alias("at", "key")).select("key", "sid", (F.shiftleft(F.col("at").cast("long"), 32) + F.col("n")).alias("place"))
     short = F.hash("sid")  # 32 bits tell the sets of one key apart
     several = keys.groupBy("key").agg(F.min(short).alias("lo"), F.max(short).alias("hi")).where("lo <> hi").select("key")
-    left = keys.join(several, "key").distinct()
-    about = left.join(own.select("sid", "fp", "weight"), "sid")
+    left = keys.join(merged(several), "key").distinct()
+    about = left.join(merged(own.select("sid", "fp", "weight"), own.count()), "sid")
     about = about.select("key", "sid", F.col("place").bitwiseAND(F.lit((1 << 32) - 1)).cast("int").alias("n"), F.shiftright("place", 32).cast("int").alias("at"), "fp", "weight")
     about = written(about, "about")
     sizes = written(about.groupBy("key").agg(F.count("*").alias("many"), F.max(F.struct("weight", "sid", "n", "at", "fp")).alias("c")), "sizes")
     sizes = sizes.select("key", "many", F.col("c.sid").alias("centre"), *[F.col(f"c.{x}").alias(f"b_{x}") for x in ("sid", "n", "at", "fp")])
-    return written(about.join(sizes, "key"), "shared")
+    return written(about.join(merged(sizes), "key"), "shared")
 
 
 def links(whole: DataFrame, texts: DataFrame, own: DataFrame, shingle: int, least: float, wide_key: int = simhash.WIDE_KEY) -> DataFrame:
@@ -231,8 +231,9 @@ def links(whole: DataFrame, texts: DataFrame, own: DataFrame, shingle: int, leas
     # operator 2's links, between one set of each fingerprint, and from it to the others of the fingerprint
     of = own.where("n > 0").groupBy("fp").agg(F.min("sid").alias("one"), F.max("sid").alias("last"))
     near = simhash.links(of.select("fp"))
-    near = near.join(of.select(F.col("fp").alias("u"), F.col("one").alias("a_sid")), "u").join(of.select(F.col("fp").alias("v"), F.col("one").alias("b_sid")), "v")
-    same = own.where("n > 0").select("fp", "sid").join(of.where("one <> last"), "fp").where("sid <> one").select(F.col("sid").alias("a_sid"), F.col("one").alias("b_sid"))
+    rows = own.count()
+    near = near.join(merged(of.select(F.col("fp").alias("u"), F.col("one").alias("a_sid")), rows), "u").join(merged(of.select(F.col("fp").alias("v"), F.col("one").alias("b_sid")), rows), "v")
+    same = own.where("n > 0").select("fp", "sid").join(merged(of.where("one <> last"), rows), "fp").where("sid <> one").select(F.col("sid").alias("a_sid"), F.col("one").alias("b_sid"))
     edges = alike(found.union(stars).union(_ordered(near)).union(_ordered(same)), texts, own, shingle, least)
     roots = written(simhash.components(edges), "roots")
     if wide.isEmpty():
@@ -246,7 +247,7 @@ def links(whole: DataFrame, texts: DataFrame, own: DataFrame, shingle: int, leas
             break
         centres = written(rest.groupBy("key").agg(F.max(F.struct("weight", "sid", "n", "at", "fp", "root")).alias("c")).select("key", "c.*"), "centres")
         more = alike(_ordered(_paired(centres.drop("weight"), placed.drop("weight", "done"), least).where("a_root <> b_root")), texts, own, shingle, least)
-        placed = placed.join(centres.select("key", "sid", F.lit(True).alias("was")), ["key", "sid"], "left").withColumn("done", F.col("done") | F.coalesce("was", F.lit(False))).drop("was")
+        placed = placed.join(merged(centres.select("key", "sid", F.lit(True).alias("was"))), ["key", "sid"], "left").withColumn("done", F.col("done") | F.coalesce("was", F.lit(False))).drop("was")
         edges = edges.union(more)
         roots = written(simhash.components(edges), "roots")
     else:

@@ -3,7 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
-from ditherspark.llm import simhash
+from ditherspark.llm import common, near_copies, simhash
 
 
 def broadcasts(df):
@@ -27,3 +27,15 @@ def test_links_send_no_keys_to_the_driver(spark, default_broadcasts):
     """16 keys a fingerprint, which the size of the fingerprints does not show."""
     fps = spark.range(300).select(F.xxhash64("id").alias("fp")).union(spark.range(40).select((F.lit(1 << 40) + F.col("id")).alias("fp")))
     assert broadcasts(simhash.links(fps)) == 0
+
+def test_near_copies_send_no_keys_to_the_driver(spark, default_broadcasts, monkeypatch):
+    """Keys that sets share, and the sets themselves, whatever their files' size."""
+    tables = {}
+    monkeypatch.setattr(near_copies, "written", lambda df, name: tables.setdefault(name, []).append(broadcasts(df)) or df.localCheckpoint())
+    words = [" ".join(f"w{(i // 3) * 1000 + j}" for j in range(60)) + f" end{i}" for i in range(30)]
+    docs = spark.createDataFrame([(i, i, t) for i, t in enumerate(words)], "doc_id long, row long, text string").coalesce(1)
+    monkeypatch.setattr(common, "BROADCAST_ROWS", 0)
+    whole = near_copies.sets(docs, 5, 0.8, near_copies.common_shingles(docs, 5)).localCheckpoint()
+    own = whole.select("sid", "doc_id", "row", "fp", "n", "weight")
+    assert near_copies.shared_keys(whole, own).count()
+    assert set(tables) == {"about", "sizes", "shared"} and not any(map(sum, tables.values()))
