@@ -166,35 +166,51 @@ def _ordered(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.least("a_sid", "b_sid").alias("u"), F.greatest("a_sid", "b_sid").alias("v"))
 
 
-def whole_sets(texts: DataFrame, asked: DataFrame, shingle: int) -> DataFrame:
-    """(sid, grams) of the ``asked`` sets (sid, doc_id, row): made again from the texts of one row each (and of rows that
-    are identical to it), so that only sets that are compared are ever stored."""
+def asked_texts(texts: DataFrame, asked: DataFrame) -> DataFrame:
+    """(sid, text) of the ``asked`` sets (sid, doc_id, row), from one row each (and rows that are identical to it)."""
+    asked = F.broadcast(asked) if asked.count() <= BROADCAST_SETS else merged(asked)
+    return texts.join(asked, ["doc_id", "row"]).select("sid", "text")
 
-    def kernel():
-        def step(batch):
-            h, row = shingle_hashes(batch["text"], shingle)
-            order = np.lexsort((h, row))
-            h, row = h[order], row[order]
-            new = np.ones(len(h), bool)
-            new[1:] = (h[1:] != h[:-1]) | (row[1:] != row[:-1])
-            ends = np.concatenate([[0], np.cumsum(np.bincount(row[new], minlength=batch.num_rows))]).astype(np.int32)
-            return pa.RecordBatch.from_arrays([batch["sid"], pa.ListArray.from_arrays(pa.array(ends), pa.array(h[new].view(np.int64)))], ["sid", "grams"])
 
-        return step
+def _own_sets(texts: pa.Array, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """The different shingle hashes of each text, and the row of each."""
+    h, row = shingle_hashes(texts, shingle)
+    order = np.lexsort((h, row))
+    h, row = h[order], row[order]
+    new = np.ones(len(h), bool)
+    new[1:] = (h[1:] != h[:-1]) | (row[1:] != row[:-1])
+    return h[new], row[new]
 
-    asked = F.broadcast(asked) if asked.count() <= BROADCAST_SETS else merged(asked)
-    own = texts.join(asked, ["doc_id", "row"]).select("sid", "text")
-    return mapped(own, kernel, "sid bigint, grams array<bigint>")
+
+def _compared(both: DataFrame, shingle: int, least: float) -> DataFrame:
+    """The (u, v) of ``both`` (u, v, tu, tv: texts) whose whole sets have the similarity."""
+
+    def one(batch):
+        (hu, ru), (hv, rv) = _own_sets(batch["tu"], shingle), _own_sets(batch["tv"], shingle)
+        h, row = np.concatenate([hu, hv]), np.concatenate([ru, rv])
+        order = np.lexsort((h, row))
+        h, row = h[order], row[order]
+        twice = (h[1:] == h[:-1]) & (row[1:] == row[:-1])
+        shared, total = np.bincount(row[1:][twice], minlength=batch.num_rows), np.bincount(row, minlength=batch.num_rows)
+        return batch.select(["u", "v"]).filter(pa.array(shared >= least * (total - shared) - 1e-6))
+
+    def run(batches):
+        for batch in batches:
+            for part in sliced(batch, "tu"):
+                yield from map(one, sliced(part, "tv"))
+
+    return both.select("u", "v", "tu", "tv").mapInArrow(run, "u bigint, v bigint")
 
 
 def alike(pairs: DataFrame, texts: DataFrame, own: DataFrame, shingle: int, least: float) -> DataFrame:
-    """The (u, v) of ``pairs`` whose whole sets have the similarity, stored."""
+    """The (u, v) of ``pairs`` whose whole sets have the similarity, stored. Texts move to their pairs and sets are made
+    there, as words compress and hashes don't."""
     pairs = written(pairs.distinct(), "candidates")
     asked = written(pairs.select(F.explode(F.array("u", "v")).alias("sid")).distinct().join(merged(own.select("sid", "doc_id", "row"), own.count()), "sid"), "asked")
-    grams = written(whole_sets(texts, asked, shingle), "grams")
-    both = pairs.join(merged(grams.select(F.col("sid").alias("u"), F.col("grams").alias("gu"))), "u").join(merged(grams.select(F.col("sid").alias("v"), F.col("grams").alias("gv"))), "v")
-    shared, total = F.size(F.array_intersect("gu", "gv")), F.size("gu") + F.size("gv")
-    return written(both.where(shared >= least * (total - shared) - 1e-6).select("u", "v").distinct(), "alike")
+    found = written(asked_texts(texts, asked), "texts")
+    side = lambda sid, text: merged(found.select(F.col("sid").alias(sid), F.col("text").alias(text)))
+    both = pairs.join(side("u", "tu"), "u").join(side("v", "tv"), "v")
+    return written(_compared(both, shingle, least).distinct(), "alike")
 
 
 def _crowd(placed: DataFrame, roots: DataFrame) -> tuple[DataFrame, DataFrame, int]:

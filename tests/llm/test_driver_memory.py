@@ -39,3 +39,14 @@ def test_near_copies_send_no_keys_to_the_driver(spark, default_broadcasts, monke
     own = whole.select("sid", "doc_id", "row", "fp", "n", "weight")
     assert near_copies.shared_keys(whole, own).count()
     assert set(tables) == {"about", "sizes", "shared"} and not any(map(sum, tables.values()))
+
+
+def test_compared_sets_are_neither_stored_nor_moved(spark, monkeypatch):
+    """Texts go to their pairs, and whole sets decide there: 8 of 9 shingles are alike, 6 of 11 are not."""
+    schemas, kept = {}, near_copies.written
+    monkeypatch.setattr(near_copies, "written", lambda df, name: schemas.setdefault(name, df.dtypes) and kept(df, name))
+    texts = spark.createDataFrame([(1, 1, "a b c d e f g h i"), (2, 2, "a b c d e f g h i j"), (3, 3, "a b c d e f g x y z"), (4, 4, "a A b a b")], "doc_id long, row long, text string")
+    own = texts.select(F.col("doc_id").alias("sid"), "doc_id", "row")
+    pairs = spark.createDataFrame([(1, 2), (1, 3), (2, 3), (1, 2), (1, 4)], "u long, v long")
+    assert [tuple(r) for r in near_copies.alike(pairs, texts, own, 2, 0.8).collect()] == [(1, 2)]
+    assert not any("array" in kind for columns in schemas.values() for _, kind in columns)
