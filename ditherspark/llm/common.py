@@ -8,7 +8,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text that one step of a vectorised kernel holds; its scratch arrays take some 40 times that.
@@ -56,6 +56,25 @@ def merged(df: DataFrame, rows: int | None = None) -> DataFrame:
     return df if rows is not None and rows <= BROADCAST_ROWS else df.hint("merge")
 
 
+#: Rows whose 64-bit numbers a filter may hold in each worker, 8 bytes a row.
+HELD_ROWS = 4_000_000
+
+
+def among(rows: DataFrame, *on: str) -> Column:
+    """True where the ``on`` columns are those of one of ``rows`` (at most ``HELD_ROWS``), and elsewhere only if their 64-bit
+    hashes are the same. The numbers go to the workers, so what is filtered is not shuffled, however wide it is."""
+    numbers = np.sort(rows.select(F.xxhash64(*on).alias("number")).toArrow()["number"].to_numpy())
+    if not len(numbers):
+        return F.lit(False)
+    held = rows.sparkSession.sparkContext.broadcast(numbers)
+
+    def there(number: pa.Array) -> pa.Array:
+        asked = number.to_numpy(zero_copy_only=False)
+        return pa.array(held.value[np.minimum(np.searchsorted(held.value, asked), len(held.value) - 1)] == asked)
+
+    return F.arrow_udf(there, "boolean")(F.xxhash64(*on))
+
+
 def free_name(df: DataFrame, base: str) -> str:
     """A column name that ``df`` does not have."""
     taken = {c.lower() for c in df.columns}

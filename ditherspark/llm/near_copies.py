@@ -26,8 +26,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ditherspark.llm import simhash
-from ditherspark.llm.common import buffers, free_name, mapped, merged, row_hash, sliced, words, written
+from ditherspark.llm import common, simhash
+from ditherspark.llm.common import among, buffers, free_name, mapped, merged, row_hash, sliced, words, written
 
 SAMPLE_DOCS, MOST_COMMON = 8_000, 200_000
 #: Fingerprint bits in which sets of the similarity may differ, from what size; sets that a task remembers to have handed
@@ -95,10 +95,10 @@ def _by_row(flags: np.ndarray, row: np.ndarray, rows: int) -> np.ndarray:
     return np.bincount(row, flags, rows).astype(np.int64)
 
 
-def sets(docs: DataFrame, shingle: int, least: float, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+def sets(docs: DataFrame, shingle: int, least: float, frequent: tuple[np.ndarray, np.ndarray]) -> DataFrame:
     """(doc_id, row, fp, sid, n, weight, prefix): the set's fingerprint, number, size, how common its shingles are, and its
     keys in the common order, which a task gives once for each set."""
-    held = docs.sparkSession.sparkContext.broadcast(common)
+    held = docs.sparkSession.sparkContext.broadcast(frequent)
     lists = pa.list_(pa.int64())
 
     def run(batches):
@@ -167,8 +167,13 @@ def _ordered(pairs: DataFrame) -> DataFrame:
 
 
 def asked_texts(texts: DataFrame, asked: DataFrame) -> DataFrame:
-    """(sid, text) of the ``asked`` sets (sid, doc_id, row), from one row each (and rows that are identical to it)."""
-    asked = F.broadcast(asked) if asked.count() <= BROADCAST_SETS else merged(asked)
+    """(sid, text) of the ``asked`` sets (sid, doc_id, row), from one row each (and rows that are identical to it). Other
+    texts are not shuffled, up to ``HELD_ROWS`` sets."""
+    rows = asked.count()
+    if rows <= BROADCAST_SETS:
+        asked = F.broadcast(asked)
+    else:
+        asked, texts = merged(asked), texts.where(among(asked, "doc_id", "row")) if rows <= common.HELD_ROWS else texts
     return texts.join(asked, ["doc_id", "row"]).select("sid", "text")
 
 

@@ -25,7 +25,8 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
-from ditherspark.llm.common import free_name, mapped, merged, row_hash, written
+from ditherspark.llm import common
+from ditherspark.llm.common import among, free_name, mapped, merged, row_hash, written
 
 SEED, BITS = 42, 64
 #: A key shared by more fingerprints than this takes the linear way instead of the join.
@@ -190,7 +191,7 @@ def digest(docs: DataFrame) -> DataFrame:
 def keep_least(docs: DataFrame, row: str, rows: DataFrame, roots: DataFrame, of: str) -> DataFrame:
     """``docs`` without the ``rows`` (``of``, doc_id, row: a hash of the row) that are not the least of their group;
     ``roots`` (``of``, root) joins groups. Identical rows are one. What goes is found among ids and hashes alone, so the
-    documents are shuffled only where the rows that go are too many to be broadcast."""
+    documents are shuffled only where more than ``HELD_ROWS`` go."""
     ids = written(rows.groupBy(of, "doc_id", "row").agg(F.count("*").alias("times")), "ids")
     own = ids.groupBy(of).agg(F.min(F.struct("doc_id", "row")).alias("least"))
     kept = own.join(merged(roots, roots.count()), of, "left").groupBy(F.coalesce("root", of).alias("root")).agg(F.min("least").alias("least"))
@@ -198,15 +199,28 @@ def keep_least(docs: DataFrame, row: str, rows: DataFrame, roots: DataFrame, of:
     few = merged(kept, kept.count())
     gone = written(ids.join(few, ["doc_id", "row"], "left_anti").select("doc_id", "row"), "gone")
     again = written(ids.where("times > 1").join(few, ["doc_id", "row"], "left_semi").select("doc_id", "row"), "again")
-    marked = docs.withColumn(row, row_hash(docs))
-    same = lambda other: marked["doc_id"].eqNullSafe(other["doc_id"]) & (marked[row] == other["row"])
-    times = again.count()
-    gone, again = merged(gone, gone.count()), merged(again, times)
-    out = marked.join(gone, same(gone), "left_anti")
-    if not times:
-        return out.select(docs.columns)
-    once = marked.join(again, same(again), "left_semi").dropDuplicates(["doc_id", row])
-    return out.join(again, same(again), "left_anti").union(once).select(docs.columns)
+    out = without(docs, row, ids, gone.union(again))
+    if again.isEmpty():
+        return out
+    return out.union(only(docs, row, again).dropDuplicates(["doc_id", row]).select(docs.columns))
+
+
+def without(docs: DataFrame, row: str, ids: DataFrame, rows: DataFrame) -> DataFrame:
+    """``docs`` without the ``rows`` (doc_id, row), which are some of the stored ``ids``. Up to ``HELD_ROWS`` of them, numbers
+    tell them, if among ``ids`` these mean no other row; else documents and rows are merged."""
+    marked, n = docs.withColumn(row, row_hash(docs)), rows.count()
+    if n <= common.HELD_ROWS and ids.where(among(rows, "doc_id", "row")).count() == n:
+        named = rows.withColumnRenamed("row", row)
+        return marked.where(F.col("doc_id").isNull() | ~among(named, "doc_id", row)).select(docs.columns)
+    return marked.join(merged(rows), (marked["doc_id"] == rows["doc_id"]) & (marked[row] == rows["row"]), "left_anti").select(docs.columns)
+
+
+def only(docs: DataFrame, row: str, rows: DataFrame) -> DataFrame:
+    """The ``rows`` (doc_id, row) of ``docs``, with their hash."""
+    marked, named = docs.withColumn(row, row_hash(docs)), rows.withColumnRenamed("row", row)
+    n = rows.count()
+    near = marked.where(among(named, "doc_id", row)) if n <= common.HELD_ROWS else marked
+    return near.join(merged(named, n), ["doc_id", row], "left_semi")
 
 
 def one_of_each(docs: DataFrame, shingle: int = 3) -> DataFrame:
