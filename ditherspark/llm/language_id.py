@@ -29,7 +29,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ditherspark.llm.common import buffers, doc_crc, free_name, mapped
+from ditherspark.llm.common import NARROW_BYTES, buffers, doc_crc, free_name, mapped
 
 _WORDLIKE = re.compile(r"[^\W\d_]")  # letters, and numbers such as fractions or circled digits
 _BLANK = np.arange(256, dtype=np.uint8)
@@ -187,7 +187,7 @@ def predict(docs: DataFrame, model: Filters | None, names: tuple[str, str] = ("_
         return step
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return mapped(docs, kernel, f"{fields}, {names[0]} string, {names[1]} double")
+    return mapped(docs, kernel, f"{fields}, {names[0]} string, {names[1]} double", budget=NARROW_BYTES)
 
 
 def training(docs: DataFrame) -> DataFrame:

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ditherspark.llm import common, simhash
-from ditherspark.llm.common import among, buffers, free_name, mapped, merged, row_hash, sliced, words, written
+from ditherspark.llm.common import NARROW_BYTES, among, buffers, free_name, mapped, merged, released, row_hash, sliced, words, written
 
 SAMPLE_DOCS, MOST_COMMON = 8_000, 200_000
 #: Fingerprint bits in which sets of the similarity may differ, from what size; sets that a task remembers to have handed
@@ -105,8 +105,11 @@ def sets(docs: DataFrame, shingle: int, least: float, frequent: tuple[np.ndarray
         grams, count = held.value
         seen: set[int] = set()
         for batch in batches:
-            for part in sliced(batch):
+            released()
+            for part in sliced(batch, budget=NARROW_BYTES):
                 yield one(part, grams, count, seen)
+        seen.clear()
+        released()
 
     def one(batch, grams, count, seen):
         rows = batch.num_rows
@@ -201,8 +204,10 @@ def _compared(both: DataFrame, shingle: int, least: float) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for part in sliced(batch, "tu"):
-                yield from map(one, sliced(part, "tv"))
+            released()
+            for part in sliced(batch, "tu", NARROW_BYTES):
+                yield from map(one, sliced(part, "tv", NARROW_BYTES))
+        released()
 
     return both.select("u", "v", "tu", "tv").mapInArrow(run, "u bigint, v bigint")
 

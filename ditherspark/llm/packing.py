@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ditherspark.llm.common import buffers, mapped, written
+from ditherspark.llm.common import NARROW_BYTES, buffers, mapped, written
 from ditherspark.llm.pretoken import BytePairs
 
 SHARD_ITEMS = 20_000
@@ -115,7 +115,7 @@ def token_pieces(docs: DataFrame, tokenizer: str, end_id: int = 2, most: int = 1
 
     src = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     kind = dict(docs.dtypes)[id_col]
-    return mapped(src, kernel, f"id {kind}, piece int, start bigint, length bigint, ids_crc32 bigint").withColumnRenamed("id", id_col)
+    return mapped(src, kernel, f"id {kind}, piece int, start bigint, length bigint, ids_crc32 bigint", budget=NARROW_BYTES).withColumnRenamed("id", id_col)
 
 
 def pack(pieces: DataFrame, cap: Capacity = Capacity(), shard_items: int = SHARD_ITEMS) -> DataFrame:

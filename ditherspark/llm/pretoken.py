@@ -8,11 +8,12 @@ is left out where the character before might be any kind of space; a longer piec
 from __future__ import annotations
 
 import json
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
 
-from ditherspark.llm.common import SPACE_LUT, strings
+from ditherspark.llm.common import SPACE_LUT, buffers, strings
 
 #: Different pieces that a worker's cache holds before it starts anew; an entry takes about 200 bytes.
 CACHE_ENTRIES = 400_000
@@ -102,9 +103,7 @@ class BytePairs:
     PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""  # fixed value
 
     def __init__(self, path: str):
-        from tokenizers import Tokenizer
-
-        self.library = Tokenizer.from_file(path)
+        self.path = path
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         self.added = [t["content"] for t in spec.get("added_tokens") or []]
@@ -121,8 +120,17 @@ class BytePairs:
 
             ranks = {bytes(letters[c] for c in t): i for t, i in vocab.items() if t not in self.added}
             self.core = tiktoken.Encoding("file", pat_str=self.PATTERN, mergeable_ranks=ranks, special_tokens={})
+            self.size = np.zeros(max(ranks.values()) + 1, np.int64)
+            self.size[list(ranks.values())] = list(map(len, ranks))
         self.cache: dict[bytes, bytes] = {}
 
+    @cached_property
+    def library(self):
+        """The tokenizers library's own object, which takes as much memory as all else here: made when first asked."""
+        from tokenizers import Tokenizer
+
+        return Tokenizer.from_file(self.path)
+
     def encode(self, piece: bytes) -> bytes:
         """The piece's ids as little-endian 32-bit numbers."""
         ids = self.core.encode_ordinary(piece.decode()) if self.core else self.library.encode(piece.decode(), add_special_tokens=False).ids
@@ -130,13 +138,35 @@ class BytePairs:
 
     def ids(self, data: np.ndarray, offsets: np.ndarray, tail: int | None = None) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts end to end, each followed by ``tail`` if given, and how many each text has."""
-        out, n = gathered(*byte_pieces(data, offsets), self.encode, self.cache)
+        pieces, counts = byte_pieces(data, offsets)
+        out, n = self._at_once(pieces, counts) if self.core and len(pieces) else gathered(pieces, counts, self.encode, self.cache)
         if self.added:
             out, n = self._with_added(data, offsets, out, n)
         if tail is not None:
             out, n = np.insert(out, np.cumsum(n), tail), n + 1
         return out, n
 
+    def _at_once(self, pieces: pa.Array, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """What ``gathered`` returns. The merge loop takes the different pieces laid end to end, where each begins with a
+        space and ends with none, so no token crosses; the few others go alone. Nothing is kept for later slices."""
+        coded = pieces.dictionary_encode()
+        data, off = buffers(coded.dictionary)
+        last = data[off[1:] - 1]
+        joins = SPACE_LUT[data[off[:-1]]] & (last > 0x20) & (last < 0x7F) & (np.diff(off) <= LONGEST)
+        held, edge = buffers(coded.dictionary.filter(pa.array(joins)))
+        flat = self.core.encode_to_numpy(held.tobytes().decode(), disallowed_special=()) if len(held) else np.zeros(0, np.uint32)
+        total = np.cumsum(self.size[flat])
+        ends = np.searchsorted(total, edge[1:]) + 1
+        if len(held) and not np.array_equal(total[ends - 1], edge[1:]):
+            raise ValueError("a token crosses two pieces")
+        alone = [self.encode(p) for p in coded.dictionary.filter(pa.array(~joins)).to_pylist()]
+        lens, starts = np.zeros(len(joins), np.int64), np.zeros(len(joins), np.int64)
+        lens[joins], lens[~joins] = np.diff(ends, prepend=0), np.fromiter(map(len, alone), np.int64, len(alone)) >> 2
+        starts[joins], starts[~joins] = ends - lens[joins], len(flat) + np.cumsum(lens[~joins]) - lens[~joins]
+        flat = np.concatenate([flat, np.frombuffer(b"".join(alone), "<u4")])
+        code = coded.indices.to_numpy(zero_copy_only=False)
+        return flat[ragged(starts[code], lens[code])], per_text(lens[code], counts)
+
     def _with_added(self, data, offsets, out, n):
         """Texts that hold an added token's string, as the library takes it."""
         blob = data.tobytes()
